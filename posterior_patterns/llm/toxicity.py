@@ -5,7 +5,7 @@ r = log of the smoothed share of toxic over clean training texts that hold it; f
 within Z standard errors of 0 are left out.  Logistic regression runs on presence times r, and the
 product of its weights with r scores every text.
 
-The fit uses a bounded sample of labelled rows: up to SAMPLE toxic and 2 x SAMPLE clean texts of at
+The fit uses a bounded sample of labelled rows (counts of texts fit 16 bits): up to SAMPLE toxic and 2 x SAMPLE clean texts of at
 most SAMPLE_BYTES bytes, taken in the order of a hash of the id.  Scoring reads all rows whole.
 
 Defined cases: null texts count as empty; an empty text scores what the intercept gives; labels that
@@ -25,8 +25,8 @@ from pyspark.sql import functions as F
 
 from .text import BATCH_ROWS, blob
 
-SAMPLE, SAMPLE_BYTES = 1500, 1 << 16
-LENGTHS, Z, FEATURES = (4, 5, 6), 4.0, 3000
+SAMPLE, SAMPLE_BYTES = 1000, 1 << 15
+LENGTHS, Z, FEATURES = (4, 5, 6), 4.0, 1500
 REJECT = 0.7
 _BUCKET_BITS, _STEP = 22, np.uint64(0x9E3779B97F4A7C15)
 
@@ -49,6 +49,7 @@ def _bucket(codes: np.ndarray) -> np.ndarray:
 
 
 def _ratio(pos: np.ndarray, neg: np.ndarray, n_pos: int, n_neg: int) -> tuple[np.ndarray, np.ndarray]:
+    pos, neg = pos.astype(float), neg.astype(float)
     r = np.log((pos + 1.0) / (n_pos + 2.0)) - np.log((neg + 1.0) / (n_neg + 2.0))
     return r, np.abs(r) / np.sqrt(1 / (pos + 1.0) + 1 / (neg + 1.0))
 
@@ -62,16 +63,20 @@ class Model:
     def __post_init__(self):
         self.seen: np.ndarray | None = None
 
-    def score(self, data: bytes) -> float:
+    def held(self, data: bytes) -> np.ndarray:
+        """Places of the features that a text holds."""
+        if not len(self.codes):
+            return np.zeros(0, dtype=np.int64)
         if self.seen is None:
             self.seen = np.zeros(1 << _BUCKET_BITS, dtype=bool)
             self.seen[_bucket(self.codes)] = True
-        total = self.intercept
-        if len(self.codes):
-            codes = _codes(data)
-            near = np.unique(codes[self.seen[_bucket(codes)]])
-            at = np.minimum(np.searchsorted(self.codes, near), len(self.codes) - 1)
-            total += float(self.weights[at[self.codes[at] == near]].sum())
+        codes = _codes(data)
+        near = np.unique(codes[self.seen[_bucket(codes)]])
+        at = np.minimum(np.searchsorted(self.codes, near), len(self.codes) - 1)
+        return at[self.codes[at] == near]
+
+    def score(self, data: bytes) -> float:
+        total = self.intercept + float(self.weights[self.held(data)].sum())
         return float(1 / (1 + np.exp(-np.clip(total, -30, 30))))
 
 
@@ -80,29 +85,32 @@ def fit(toxic: list[bytes], clean: list[bytes], rounds: int = 400, l2: float = 1
     if not n_pos or not n_neg:
         share = min(max(n_pos / max(1, n_pos + n_neg), 1e-9), 1 - 1e-9)
         return Model(np.zeros(0, dtype=np.uint64), np.zeros(0), float(np.log(share / (1 - share))))
-    counts = np.zeros((2, 1 << _BUCKET_BITS), dtype=np.int32)
+    counts = np.zeros((2, 1 << _BUCKET_BITS), dtype=np.uint16)
     for side, texts in enumerate((clean, toxic)):
         for t in texts:
             counts[side, np.unique(_bucket(_codes(t)))] += 1
-    open_ = _ratio(counts[1], counts[0], n_pos, n_neg)[1] >= Z - 1  # a bucket mixes n-grams, hence the margin
-    held = []
-    for t in (*clean, *toxic):
-        codes = _codes(t)
-        held.append(np.unique(codes[open_[_bucket(codes)]]))
+    part = 1 << 18
+    open_ = np.concatenate([_ratio(counts[1, i : i + part], counts[0, i : i + part], n_pos, n_neg)[1] >= Z - 0.5 for i in range(0, 1 << _BUCKET_BITS, part)])  # a bucket mixes n-grams, hence the margin
     del counts
-    label = np.r_[np.zeros(n_neg), np.ones(n_pos)]
-    codes, where = np.unique(np.concatenate(held), return_inverse=True)
-    row = np.repeat(np.arange(len(held)), [len(h) for h in held])
-    pos = np.bincount(where, weights=label[row], minlength=len(codes))
-    neg = np.bincount(where, minlength=len(codes)) - pos
-    r, z = _ratio(pos, neg, n_pos, n_neg)
+    # exact n-grams of the open buckets, counted one text at a time
+    exact: dict[int, list[int]] = {}
+    for side, texts in enumerate((clean, toxic)):
+        for t in texts:
+            codes = _codes(t)
+            for c in np.unique(codes[open_[_bucket(codes)]]).tolist():
+                exact.setdefault(c, [0, 0])[side] += 1
+    del open_
+    codes = np.array(sorted(exact), dtype=np.uint64)
+    both = np.array([exact[c] for c in codes.tolist()], dtype=float).reshape(-1, 2)
+    del exact
+    r, z = _ratio(both[:, 1], both[:, 0], n_pos, n_neg)
     keep = np.flatnonzero(z >= Z)
     keep = np.sort(keep[np.argsort(-z[keep], kind="stable")][:FEATURES])
-    column = np.full(len(codes), -1)
-    column[keep] = np.arange(len(keep))
-    x = np.zeros((len(held), len(keep)), dtype=np.float32)
-    used = column[where] >= 0
-    x[row[used], column[where[used]]] = 1
+    chosen = Model(codes[keep], r[keep], 0.0)
+    label = np.r_[np.zeros(n_neg), np.ones(n_pos)]
+    x = np.zeros((n_neg + n_pos, len(keep)), dtype=np.float32)
+    for i, t in enumerate((*clean, *toxic)):
+        x[i, chosen.held(t)] = 1
     x *= r[keep].astype(np.float32)
     w, b = np.zeros(len(keep), dtype=np.float32), float(np.log(n_pos / n_neg))
     v, vb, t = w.copy(), b, 1.0
