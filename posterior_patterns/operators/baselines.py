@@ -84,7 +84,7 @@ def pair_information(patterns: DataFrame, k: int) -> DataFrame:
     wanted = [1 << i for i in range(k)] + [1 << i | 1 << j for i in range(k) for j in range(i)]
     h = entropies.entropy(patterns, itemset_table(spark, wanted))
     one = h.filter("size = 1").select(F.col("mask").alias("m"), F.col("h").alias("h1"))
-    two = h.filter("size = 2").select("mask", "h", F.col("mask").bitwiseAND(-F.col("mask")).alias("lo")).withColumn("hi", F.col("mask").bitwiseXOR("lo"))
+    two = h.filter("size = 2").select("mask", "h", F.col("mask").bitwiseAND(-F.col("mask")).alias("lo")).withColumn("hi", F.col("mask").bitwiseXOR(F.col("lo")))
     met = two.join(one.select(F.col("m").alias("lo"), F.col("h1").alias("hl")), "lo").join(one.select(F.col("m").alias("hi"), F.col("h1").alias("hh")), "hi")
     place = lambda c: (F.round(F.log2(F.col(c).cast("double"))) + 1).cast("int")
     return met.select(place("lo").alias("x"), place("hi").alias("y"), F.abs(F.col("hl") + F.col("hh") - F.col("h")).alias("mi"))

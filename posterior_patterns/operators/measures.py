@@ -29,7 +29,7 @@ def correlations(points: DataFrame) -> DataFrame:
     def corr(a: str, b: str, only=None):
         keep = F.lit(True) if only is None else only
         x, y = F.when(keep, F.col(a).cast("double")), F.when(keep, F.col(b).cast("double"))
-        return F.when((F.stddev_pop(x) > 1e-12) & (F.stddev_pop(y) > 1e-12), F.corr(x, y))
+        return F.try_divide(F.covar_pop(x, y), F.when((F.stddev_pop(x) > 1e-12) & (F.stddev_pop(y) > 1e-12), F.stddev_pop(x) * F.stddev_pop(y)))
 
     pairs = F.col("size") == 2
     return points.agg(F.count("*").alias("n"), corr("score", "fr").alias("corr_fr"), corr("score", "h").alias("corr_h"), corr("score", "gap", pairs).alias("corr_gap"))

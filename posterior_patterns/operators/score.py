@@ -150,7 +150,7 @@ def explain(patterns: DataFrame, pairs: DataFrame) -> DataFrame:
     from .patterns import support
 
     n = total(patterns)
-    both = pairs.withColumn("xy", F.col("x").bitwiseOR("y"))
+    both = pairs.withColumn("xy", F.col("x").bitwiseOR(F.col("y")))
     wanted = both.select(F.explode(F.array("x", "xy")).alias("mask")).distinct().withColumn("size", F.bit_count("mask"))
     s = support(patterns, wanted).select("mask", "support")
     met = both.join(s.select(F.col("mask").alias("x"), F.col("support").alias("sx")), "x").join(s.select(F.col("mask").alias("xy"), F.col("support").alias("sxy")), "xy")
