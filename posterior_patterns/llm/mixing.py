@@ -131,9 +131,8 @@ def block_plan(rows: DataFrame, store: Durable, depth: int = DEPTH, seed: int =
     leaves = store.save(splitting_tree(quotas, depth, seed), "leaves")
     run = Window.partitionBy("rank").orderBy("shard")
     leaves = leaves.withColumn("end", F.sum("draws").over(run)).withColumn("start", F.col("end") - F.col("draws")).filter("draws > 0")
-    count = Window.partitionBy("rank")
-    drawn = turned.withColumn("n", F.count("*").over(count)).select("rank", "block", "n", "place", F.explode(F.expr("filter(sequence(0L, passes), e -> e < passes or extra = 1)")).alias("epoch"))
-    drawn = drawn.withColumn("position", F.col("epoch") * F.col("n") + F.col("place") - 1)
+    drawn = turned.select("rank", "block", "place", F.explode(F.expr("filter(sequence(0L, passes), e -> e < passes or extra = 1)")).alias("epoch"))
+    drawn = drawn.withColumn("position", F.row_number().over(Window.partitionBy("rank").orderBy("epoch", "place")) - 1)
     dealt = drawn.join(leaves, "rank").filter("position >= start and position < end").groupBy("rank", "block").agg(F.sort_array(F.collect_list(F.struct("epoch", "shard"))).alias("draws"))
     plan = turned.join(dealt, ["rank", "block"], "left").join(cuts, turned.source.eqNullSafe(cuts.cs) & (turned.block == cuts.cb), "left")
     return store.save(plan.select("source", "block", "source_size", "target", "passes", "words", "part", "cut", "cut_words", "draws"), "plan")
