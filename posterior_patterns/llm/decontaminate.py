@@ -19,6 +19,8 @@ from __future__ import annotations
 
 import re
 from collections import defaultdict
+from functools import cache
+from itertools import repeat
 
 import numpy as np
 import pandas as pd
@@ -38,6 +40,7 @@ def tokens(text: str) -> list[str]:
     return _TOKEN.findall(text.lower())
 
 
+@cache
 def _powers(n: int) -> np.ndarray:
     made = np.full(n + 1, _BASE, dtype=np.uint64)
     made[0] = 1
@@ -109,6 +112,13 @@ def tiles(item: np.ndarray, text: np.ndarray, least: int = MIN_MATCH) -> list[tu
             return made
 
 
+_TABLE_BITS = 20
+
+
+def _place(hashes: np.ndarray) -> np.ndarray:
+    return (hashes >> np.uint64(64 - _TABLE_BITS)).astype(np.int64)
+
+
 class Index:
     """Seeds of one block of benchmark items."""
 
@@ -125,17 +135,22 @@ class Index:
             for h in _windows(ids, size).tolist():
                 seeds[size][h].add(key)
         self.seeds = {size: {h: sorted(keys) for h, keys in x.items()} for size, x in seeds.items()}
-        self.hashes = {size: np.array(sorted(x), dtype=np.uint64) for size, x in self.seeds.items()}
+        # places of a seed table are looked at first, so that few windows are searched for
+        self.table = {}
+        for size, x in self.seeds.items():
+            self.table[size] = np.zeros(1 << _TABLE_BITS, dtype=bool)
+            self.table[size][_place(np.array(sorted(x), dtype=np.uint64))] = True
 
     def best(self, text: str) -> tuple[float, int | None, int]:
         """(greatest coverage, its item, number of items that share a seed)."""
         known = self.words
-        ids = np.array([known.get(w, 0) for w in tokens(text)], dtype=np.uint64)
+        found = tokens(text)
+        ids = np.fromiter(map(known.get, found, repeat(0)), dtype=np.uint64, count=len(found))
         keys: set = set()
-        for size, hashes in self.hashes.items():
+        for size, table in self.table.items():
             h = _windows(ids, size)
-            for x in np.unique(h[np.isin(h, hashes)]).tolist():
-                keys.update(self.seeds[size][x])
+            for x in set(h[table[_place(h)]].tolist()):
+                keys.update(self.seeds[size].get(x, ()))
         covered = [(-sum(n for *_, n in tiles(item, ids, size)) / len(item), key) for key in keys for item, size in self.items[key]]
         covered = [x for x in covered if x[0] < 0]
         if not covered:
