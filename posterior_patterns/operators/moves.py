@@ -49,8 +49,12 @@ def reduced_family(maxs: list[int], s: int) -> list[int]:
 
 def pair_count(parts: list[int]) -> int:
     """Pairs of items in different components."""
-    sizes = [p.bit_count() for p in parts]
-    return (sum(sizes) ** 2 - sum(n * n for n in sizes)) // 2
+    made = total = 0
+    for p in parts:
+        n = p.bit_count()
+        made += total * n
+        total += n
+    return made
 
 
 def joints(maxs: list[int]) -> dict[int, list[int]]:

@@ -15,8 +15,12 @@ from .family import bits
 from .moves import joints, occurrence, pair_count, reduced_family
 
 
+def _least(part: int) -> int:
+    return part & -part
+
+
 class ChainState:
-    __slots__ = ("k", "maxs", "occ", "once", "parts", "md", "rebuild")
+    __slots__ = ("k", "maxs", "occ", "once", "parts", "weights", "md", "rebuild")
 
     def __init__(self, k: int, maxs: list[int] | None = None, rebuild: bool = False):
         self.k, self.rebuild = k, rebuild
@@ -28,7 +32,8 @@ class ChainState:
         self.occ = occurrence(listed)
         self.once = sorted(p for p, n in self.occ.items() if n == 1)
         self.parts = joints(listed)
-        self.md = sum(map(pair_count, self.parts.values()))
+        self.weights = {s: pair_count(parts) for s, parts in self.parts.items()}
+        self.md = sum(self.weights.values())
 
     @property
     def degree(self) -> int:
@@ -45,12 +50,11 @@ class ChainState:
             return False, whole & ~pair, x, pair ^ x
         n -= len(self.once)
         for s in sorted(self.parts):
-            parts = self.parts[s]
-            count = pair_count(parts)
+            count = self.weights[s]
             if n >= count:
                 n -= count
                 continue
-            for v, w in combinations(parts, 2):
+            for v, w in combinations(self.parts[s], 2):
                 here = v.bit_count() * w.bit_count()
                 if n < here:
                     i, j = divmod(n, w.bit_count())
@@ -101,10 +105,12 @@ class ChainState:
 
     def _put(self, s: int, parts: list[int]) -> None:
         if s in self.parts:
-            self.md -= pair_count(self.parts.pop(s))
+            del self.parts[s]
+            self.md -= self.weights.pop(s)
         if len(parts) > 1:
-            self.parts[s] = sorted(parts, key=lambda p: p & -p)
-            self.md += pair_count(parts)
+            self.parts[s] = sorted(parts, key=_least)
+            self.weights[s] = count = pair_count(parts)
+            self.md += count
 
     def _join(self, s: int, x: int, y: int) -> None:
         """x's and y's components under s become one."""

@@ -509,6 +509,18 @@ def mcmc_variants(spark, d):
     return _rows(spark, made, "variant string, ok boolean")
 
 
+@query(_values([("ex9_k3", True)], "space, ok", "space, ok"))
+def mcmc_tv_to_exact(spark, d):
+    """Total variation between sampled and exact model posteriors over the eight families of three items."""
+    p = patterns.compress(example(spark).select(F.col("mask").bitwiseAND(7).alias("mask")))
+    families = catalogue.decomposable(3)
+    models = bic.model_rows(spark, dict(enumerate(families)))
+    exact = score.posterior(bic.score_models(models, entropy.entropy(p, bic.required(models)), patterns.total(p)).select("model_id", "log_bic"))
+    keys = _rows(spark, [(i, ",".join(map(str, sorted(f)))) for i, f in enumerate(families)], "model_id bigint, family string")
+    found = sampler.sample_models(p, 3, 600, 330, 7).select(F.array_join(F.array_sort(F.transform("maximal", lambda m: m.cast("bigint"))), ",").alias("family"))
+    return measures.tv_to_exact(found, exact.join(keys, "model_id").select("family", "p")).select(F.lit("ex9_k3").alias("space"), (F.col("tv") < 0.08).alias("ok"))
+
+
 # -- mining and measures ----------------------------------------------------------------------------
 
 
@@ -760,6 +772,17 @@ def udaf_entropy(spark, d):
     return load(spark, d, "events").groupBy("event_type").agg(F.round(entropy_agg(F.col("user_id").cast("string")), 6).alias("h"))
 
 
+@query("SELECT a.event_type AS x, b.event_type AS y, CAST(count(*) AS BIGINT) AS users FROM (SELECT DISTINCT user_id, event_type FROM events) AS a JOIN (SELECT DISTINCT user_id, event_type FROM events) AS b ON a.user_id = b.user_id AND a.event_type < b.event_type GROUP BY 1, 2")
+def rel_self_join_pairs(spark, d):
+    e = load(spark, d, "events").select("user_id", F.col("event_type").alias("x")).distinct()
+    return e.join(e.withColumnRenamed("x", "y"), "user_id").filter("x < y").groupBy("x", "y").agg(F.count("*").alias("users"))
+
+
+@query("SELECT l_returnflag, l_linestatus, CAST(count(DISTINCT l_partkey) AS BIGINT) AS parts, CAST(grouping(l_linestatus) AS INT) AS total FROM lineitem GROUP BY GROUPING SETS ((l_returnflag, l_linestatus), (l_returnflag))")
+def rel_grouping_sets(spark, d):
+    return spark.sql("SELECT l_returnflag, l_linestatus, count(DISTINCT l_partkey) AS parts, CAST(grouping(l_linestatus) AS INT) AS total FROM {t} GROUP BY GROUPING SETS ((l_returnflag, l_linestatus), (l_returnflag))", t=load(spark, d, "lineitem"))
+
+
 # -- streaming ----------------------------------------------------------------------------------------
 
 
@@ -788,6 +811,12 @@ def stream_session_baskets(spark, d):
     return streams.run_to_end(streams.session_baskets(_event_stream(spark, d)), "session_baskets")
 
 
+@query(f"""WITH w AS (SELECT user_id, {_TYPE_MASK} AS m, date_trunc('hour', ts) - INTERVAL 1 HOUR * (hour(ts) % 6) AS last FROM events)
+SELECT user_id, last - INTERVAL 1 HOUR * (6 * i) AS start, bit_or(CAST(m AS BIGINT)) AS mask FROM w, (SELECT unnest(range(0, 4)) AS i) AS r GROUP BY 1, 2""")
+def stream_sliding_baskets(spark, d):
+    return streams.run_to_end(streams.tumbling_baskets(_event_stream(spark, d), "1 day", "6 hours"), "sliding_baskets")
+
+
 @query("SELECT event_id, event_type FROM events")
 def stream_dedup(spark, d):
     twice = _event_stream(spark, d).withColumn("copy", F.explode(F.array(F.lit(1), F.lit(2))))
