@@ -50,6 +50,25 @@ def estimate(models: DataFrame, k: int, max_size: int | None = None, id_cols: tu
     return _shares(hits, models)
 
 
+def estimate_wide(models: DataFrame, max_size: int = 3) -> DataFrame:
+    """The same for any number of items, as (itemset, size, hits, n_models, score, se): itemsets of up to max_size items by name."""
+    from itertools import combinations
+
+    from .family import bits, canonical
+
+    def named_subsets(frames):
+        for pdf in frames:
+            rows = []
+            for maximal in pdf["maximal"]:
+                found = {c for m in maximal for r in range(1, max_size + 1) for c in combinations(tuple(bits(int(m))), r)}
+                rows += [(canonical(sum(c)), len(c)) for c in found]
+            yield pd.DataFrame(rows, columns=["itemset", "size"])
+
+    hits = models.select("maximal").mapInPandas(named_subsets, "itemset string, size int").groupBy("itemset", "size").agg(F.count("*").alias("hits"))
+    made = hits.crossJoin(F.broadcast(models.agg(F.count("*").alias("n_models")))).withColumn("score", F.col("hits") / F.col("n_models"))
+    return made.select("itemset", "size", "hits", "n_models", "score", F.sqrt(F.col("score") * (1 - F.col("score")) / F.col("n_models")).alias("se"))
+
+
 def _shares(hits: DataFrame, models: DataFrame) -> DataFrame:
     n = models.agg(F.count("*").alias("n_models"))
     made = hits.crossJoin(F.broadcast(n)).withColumn("score", F.col("hits") / F.col("n_models"))

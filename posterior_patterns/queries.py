@@ -509,6 +509,16 @@ def mcmc_variants(spark, d):
     return _rows(spark, made, "variant string, ok boolean")
 
 
+@query(_values([("singletons", True), ("monotone", True)], "check_, ok", "check_ AS \"check\", ok"))
+def mcmc_wide_words(spark, d):
+    """90 items, beyond one word of bits: every item scores 1, and no pair less than a triple that holds it."""
+    p = patterns.compress(encode.word_baskets(load(spark, d, "documents"), 90))
+    found = {tuple(map(int, r.itemset.split("-"))): r.score for r in score.estimate_wide(sampler.sample_models(p, 90, 4, 1500, 3)).collect()}
+    single = all(found.get((i,), 0) == 1 for i in range(1, 91))
+    mono = all(found[s[:i] + s[i + 1 :]] >= v for s, v in found.items() if len(s) > 1 for i in range(len(s)))
+    return _rows(spark, [("singletons", single), ("monotone", mono)], "check string, ok boolean")
+
+
 @query(_values([("ex9_k3", True)], "space, ok", "space, ok"))
 def mcmc_tv_to_exact(spark, d):
     """Total variation between sampled and exact model posteriors over the eight families of three items."""
