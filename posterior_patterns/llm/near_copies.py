@@ -1,19 +1,19 @@
-"""Near-duplicate texts: covering SimHash tables find candidates, exact shingle similarity decides.
+"""Near-duplicate texts: a prefix filter over rare shingles finds candidates, exact shingle similarity decides.
 
-Candidates come from several independent 64-bit SimHash fingerprints over a text's distinct words,
-each with the covering tables of :mod:`simhash`: a pair within the radius on any fingerprint is met
-with certainty.  A pair is linked if the Jaccard similarity of its 5-word shingle sets (32-bit
-shingle hashes) is at least 0.8, and a group is a connected set of linked texts.
+Two texts are linked if the Jaccard similarity of their 5-word shingle sets (64-bit shingle hashes) is
+at least 0.8, and a group is a connected set of linked texts.  Groups are exact: a set of n shingles
+lies within 0.8 of another only if all but n // 5 of its shingles are in both, so in any one order of
+all shingles two such sets share one of their first n // 5 + 1.  The order puts shingles common in a
+sample last, which keeps buckets small; it has no influence on the result.
 
-Buckets of up to HOT texts propose all their pairs.  Larger ones propose, for every member, the
-least member and the next ones in the order of another fingerprint, so that proposals stay in
-proportion to members; near texts of a large group meet again in the other tables.
-Proposals are decided nearest first: two rounds take each text's closest undecided partner outside
-its own group so far, a last pass takes all that still join different groups.
+A bucket holds the texts that share such a shingle.  Texts already in one group needn't be compared
+again, so a few turns compare each text of a bucket with one other only, and buckets whose texts have
+become one group are done.  The last turn compares all pairs of different groups in the buckets left,
+but those whose set sizes or parities of shingle classes rule out the similarity.
 
 Defined cases: null texts count as empty; texts without words are alike; fewer than five words make
-one shingle; rows with a null id are never grouped; repeated ids count as one text, the least
-fingerprints standing for them; an empty table gives an empty result; other columns are ignored.
+one shingle; rows with a null id are never grouped; repeated ids count as one text, the least shingle
+set standing for them; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,62 +25,64 @@ from pyspark.sql import functions as F
 
 from ..plans.durable import Durable
 from .graph import components
-from .simhash import BITS, _keys, shingles
-from .text import arrow_map, blob, words
+from .simhash import shingles
+from .text import arrow_map, blob
 
-FINGERPRINTS, RADIUS, HOT, NEXT = 6, 2, 24, 2
 SHINGLE_WORDS, SIMILARITY = 5, 0.8
-_MIX = np.array([0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3], dtype=np.uint64)  # fixed odd multipliers
+#: Texts, about, from which common shingles are counted; the least count, and the most shingles, to be called common.
+SAMPLE, SEEN, COMMON = 4096, 3, 100_000
+#: A power of 2, and a multiple of 64.
+PARITIES = 512
+_EMPTY = np.array([0], dtype=np.int64)  # the bucket of texts without words
 
 
-def word_fingerprints(data: bytes, n: int = FINGERPRINTS) -> list[int]:
-    """n independent fingerprints over the distinct words of a text."""
-    found = set(words(data))
-    if not found:
-        return [0] * n
-    base = np.fromiter((xxhash.xxh64_intdigest(w, 42) for w in found), dtype=np.uint64, count=len(found))
-    made = []
-    for i in range(n):
-        h = base * _MIX[i]
-        h = (h ^ (h >> np.uint64(29))) * _MIX[(i + 1) % len(_MIX)]
-        h = (h ^ (h >> np.uint64(32))).astype("<u8")
-        counts = np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-        made.append(int(np.packbits(counts * 2 > len(found), bitorder="little").view("<i8")[0]))
-    return made
+def _hashes(data: bytes) -> np.ndarray:
+    found = set(shingles(data, SHINGLE_WORDS))
+    return np.unique(np.fromiter((xxhash.xxh64_intdigest(s, 7) for s in found), dtype=np.uint64, count=len(found)).view(np.int64))
 
 
 def shingle_set(data: bytes) -> list[int]:
-    """Sorted distinct 32-bit hashes of the 5-word shingles."""
-    return sorted({xxhash.xxh32_intdigest(s, 7) - (1 << 31) for s in shingles(data, SHINGLE_WORDS)})
-
-
-def _distance(x: str, y: str):
-    return sum((F.bit_count(F.col(x)[i].bitwiseXOR(F.col(y)[i])) for i in range(FINGERPRINTS)), F.lit(0))
-
-
-def proposals(marked: DataFrame, store: Durable) -> DataFrame:
-    """marked(doc_id, fps) -> distinct (a, b, distance), a < b."""
-    seeds = F.array(*(F.struct(F.lit(i).alias("s"), F.col("fps")[i].alias("fp"), F.col("fps")[(i + 1) % FINGERPRINTS].alias("other")) for i in range(FINGERPRINTS)))
-    rows = marked.select("doc_id", F.explode(seeds).alias("x")).select("doc_id", "x.*")
-    tabled = rows.select("doc_id", "s", "fp", "other", F.explode(_keys(F.col("fp"), RADIUS)).alias("t")).select(F.xxhash64("s", "t.n", "t.key").alias("bucket"), "doc_id", "s", "fp", "other")
-    crowded = tabled.groupBy("bucket").agg(F.count("*").alias("members"), F.min("doc_id").alias("least")).filter("members > 1")
-    shared = store.save(tabled.join(crowded, "bucket"), "shared")
-    small = shared.filter(F.col("members") <= HOT)
-    pairs = (
-        small.select("bucket", "s", F.col("doc_id").alias("a"), F.col("fp").alias("fa"))
-        .join(small.select("bucket", F.col("doc_id").alias("b"), F.col("fp").alias("fb")), "bucket")
-        .filter((F.col("a") < F.col("b")) & (F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= RADIUS))
-        .select("a", "b")
-    )
-    hot, order = shared.filter(F.col("members") > HOT), Window.partitionBy("bucket").orderBy("other", "doc_id")
-    partners = F.array("least", *(F.lead("doc_id", i).over(order) for i in range(1, NEXT + 1)))
-    chained = (
-        hot.select("doc_id", partners.alias("p")).select("doc_id", F.explode(F.array_distinct("p")).alias("o")).filter("o is not null and o <> doc_id")
-        .select(F.least("doc_id", "o").alias("a"), F.greatest("doc_id", "o").alias("b"))
-    )
-    found = pairs.unionByName(chained).distinct()
-    side = lambda c: marked.select(F.col("doc_id").alias(c), F.col("fps").alias(f"f{c}"))
-    return found.join(side("a"), "a").join(side("b"), "b").select("a", "b", _distance("fa", "fb").alias("distance"))
+    """Sorted distinct 64-bit hashes of the 5-word shingles."""
+    return _hashes(data).tolist()
+
+
+def parities(found: list[int]) -> list[int]:
+    """Whether each of PARITIES classes of shingles has an odd number in the set, 64 to a word."""
+    odd = np.bincount(np.array(found, dtype=np.int64) & (PARITIES - 1), minlength=PARITIES) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view("<i8").tolist()
+
+
+def prefix(data: bytes, common: np.ndarray, rank: np.ndarray) -> np.ndarray:
+    """The first n // 5 + 1 of a text's n shingles: rare ones by hash, then common ones (sorted, with their ranks) by rank."""
+    found = _hashes(data)
+    if not len(found):
+        return _EMPTY
+    place = np.zeros(len(found), dtype=np.int64)
+    if len(common):
+        at = np.minimum(np.searchsorted(common, found), len(common) - 1)
+        place = np.where(common[at] == found, rank[at], 0)
+    return found[np.argsort(place, kind="stable")[: len(found) // 5 + 1]]
+
+
+def common_shingles(texts: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """The shingles that a sample of texts(doc_id, data) holds most often, sorted, and their ranks from 1, the most common last."""
+    share = max(1, texts.count() // SAMPLE)
+    sample = texts.filter(F.pmod(F.xxhash64(F.lit(11), "doc_id"), F.lit(share)) == 0)
+    held = arrow_map(sample.select("data"), lambda data: ([shingle_set(d) for d in data],), "shingles array<long>")
+    counted = held.select(F.explode("shingles").alias("token")).groupBy("token").agg(F.count("*").alias("n")).filter(F.col("n") >= SEEN)
+    got = counted.orderBy(F.col("n").desc(), "token").limit(COMMON).toArrow()  # bounded by COMMON
+    tokens = got.column("token").to_numpy()
+    order = np.argsort(tokens)
+    return tokens[order], (len(tokens) - np.arange(len(tokens)))[order]
+
+
+def buckets(texts: DataFrame, kind: str) -> DataFrame:
+    """texts(doc_id, data) -> (token, doc_id): every prefix shingle that two or more ids have, with all of them."""
+    shared = texts.sparkSession.sparkContext.broadcast(common_shingles(texts))
+    rows = arrow_map(texts, lambda ids, data: (ids, [prefix(d, *shared.value).tolist() for d in data]), f"doc_id {kind}, tokens array<long>")
+    same = Window.partitionBy("token")
+    rows = rows.select(F.explode("tokens").alias("token"), "doc_id")
+    return rows.select("token", "doc_id", F.min("doc_id").over(same).alias("x"), F.max("doc_id").over(same).alias("y")).filter("x <> y").select("token", "doc_id")
 
 
 def similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -91,32 +93,54 @@ def similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return both.filter((common >= F.lit(SIMILARITY) * union)).select("a", "b")
 
 
+def with_one(open_: DataFrame, turn: int) -> DataFrame:
+    """(a, b), a < b: each id of a bucket with one other of another group, picked by the turn."""
+    pick = (F.min, F.max)[turn % 2](F.struct((F.col("root") if turn < 2 else F.xxhash64(F.lit(turn), "doc_id")).alias("key"), "doc_id", "root"))
+    chosen = open_.groupBy("token").agg(pick.alias("p")).select("token", F.col("p.doc_id").alias("o"), F.col("p.root").alias("other"))
+    met = open_.join(chosen, "token").filter("root <> other")
+    return met.select(F.least("doc_id", "o").alias("a"), F.greatest("doc_id", "o").alias("b")).distinct()
+
+
+def with_all(open_: DataFrame, sets: DataFrame) -> DataFrame:
+    """(a, b), a < b: all ids of a bucket in different groups, unless set sizes or parities rule them out.
+
+    Every class whose parities differ holds a shingle of one set only, of which there are at most a ninth of both sizes.
+    """
+    sized = open_.join(sets.select("doc_id", F.size("shingles").alias("n"), "odd"), "doc_id")
+    side = lambda c: sized.select("token", F.col("doc_id").alias(c), F.col("root").alias(f"r{c}"), F.col("n").alias(f"n{c}"), *(F.col("odd")[i].alias(f"{c}{i}") for i in range(PARITIES // 64)))
+    differ = " + ".join(f"bit_count(a{i} ^ b{i})" for i in range(PARITIES // 64))
+    fits = f"a < b and ra <> rb and 5 * na >= 4 * nb and 5 * nb >= 4 * na and 9 * ({differ}) <= na + nb"
+    return side("a").join(side("b"), "token").filter(fits).select("a", "b").distinct()
+
+
+#: Turns in which a text of a bucket meets one other, before all pairs left are compared.
+TURNS = 3
+
+
 def near_copy_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, group_id) of every text that is in a group of two or more; group_id is the least id of the group."""
     store = Durable(docs.sparkSession, "nearcopies")
     kind = dict(docs.dtypes)[id_col]
     texts = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).alias("doc_id"), blob(F.col(text_col)).alias("data"))
-    marked = arrow_map(texts, lambda ids, data: (ids, [word_fingerprints(d) for d in data]), f"doc_id {kind}, fps array<long>")
-    marked = store.save(marked.groupBy("doc_id").agg(F.min("fps").alias("fps")), "marked")
-    open_ = store.save(proposals(marked, store), "proposals0")
-    wanted = open_.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    met = texts.join(wanted, "doc_id", "left_semi")
-    sets = arrow_map(met, lambda ids, data: (ids, [shingle_set(d) for d in data]), f"doc_id {kind}, shingles array<int>")
-    sets = store.save(sets.groupBy("doc_id").agg(F.min("shingles").alias("shingles")), "sets")
-    linked = store.spark.createDataFrame([], f"a {kind}, b {kind}")
-    groups = store.spark.createDataFrame([], f"node {kind}, root {kind}")
-    for turn in range(3):
-        if turn < 2:
-            ends = open_.select("a", "b", "distance", F.explode(F.array("a", "b")).alias("node"))
-            best = ends.groupBy("node").agg(F.min(F.struct("distance", "a", "b")).alias("x")).select("x.a", "x.b").distinct()
-        else:
-            best = open_.select("a", "b")
-        linked = store.save(linked.unionByName(similar(best, sets)), f"linked{turn}")
+    shared = store.save(buckets(texts, kind), "buckets")
+    met = texts.join(shared.select("doc_id").distinct(), "doc_id", "left_semi")
+    sets = arrow_map(met, lambda ids, data: (ids, [shingle_set(d) for d in data]), f"doc_id {kind}, shingles array<long>")
+    sets = sets.groupBy("doc_id").agg(F.min("shingles").alias("shingles"))
+    sets = store.save(arrow_map(sets, lambda ids, held: (ids, held, [parities(h) for h in held]), f"doc_id {kind}, shingles array<long>, odd array<long>"), "sets")
+    open_ = shared.withColumn("root", F.col("doc_id"))
+    linked = tested = groups = None
+    for turn in range(TURNS + 1):
+        pairs = with_one(open_, turn) if turn < TURNS else with_all(open_, sets)
+        pairs = store.save(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), f"pairs{turn}")
+        found = similar(pairs, sets)
+        linked = store.save(found if linked is None else linked.unionByName(found), f"linked{turn}")
         groups = components(linked, store, f"cc{turn}_")
-        if turn < 2:
-            at = lambda c: groups.select(F.col("node").alias(c), F.col("root").alias(f"r{c}"))  # noqa: B023, E731
-            rest = open_.join(best, ["a", "b"], "left_anti").join(at("a"), "a", "left").join(at("b"), "b", "left")
-            open_ = store.save(rest.filter("coalesce(ra, a) <> coalesce(rb, b)").select("a", "b", "distance"), f"proposals{turn + 1}")
+        if turn < TURNS:
+            tested = pairs if tested is None else tested.unionByName(pairs)
+            rooted = shared.join(groups.select(F.col("node").alias("doc_id"), "root"), "doc_id", "left").select("token", "doc_id", F.coalesce("root", "doc_id").alias("root"))
+            same = Window.partitionBy("token")
+            left = rooted.withColumn("x", F.min("root").over(same)).withColumn("y", F.max("root").over(same)).filter("x <> y")
+            open_ = store.save(left.select("token", "doc_id", "root"), f"open{turn}")
     return groups.select(F.col("node").alias("doc_id"), F.col("root").alias("group_id"))
 
 
@@ -124,6 +148,3 @@ def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     """docs without the texts that are near copies of one with a smaller id; all columns stay."""
     gone = near_copy_groups(docs, id_col, text_col).filter("doc_id <> group_id").select(F.col("doc_id").alias(id_col))
     return docs.join(gone, id_col, "left_anti").select(*docs.columns)
-
-
-assert FINGERPRINTS <= len(_MIX) and BITS == 64

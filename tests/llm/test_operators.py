@@ -157,6 +157,35 @@ def test_near_copies_are_found_and_others_left(spark):
     assert all(i // 10 == g // 10 for i, g in got.items())
 
 
+def brute_near_copies(texts):
+    """{id: least id of its group} for ids that aren't it, comparing all pairs of texts."""
+    sets = {i: set(near_copies.shingle_set(t.encode())) for i, t in texts}
+    root = {i: i for i in sets}
+
+    def top(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a, x in sets.items():
+        for b, y in sets.items():
+            if a < b and 5 * len(x & y) >= 4 * len(x | y):
+                p, q = top(a), top(b)
+                root[max(p, q)] = min(p, q)
+    return {i: top(i) for i in sets if top(i) != i}
+
+
+def test_near_copies_match_all_pairs(spark):
+    rng, vocabulary, texts = random.Random(11), [f"w{i}" for i in range(3000)], []
+    for i in range(60):
+        base = [rng.choice(vocabulary) for _ in range(rng.randrange(8, 260))]
+        texts += [(10 * i, " ".join(base)), *((10 * i + k, edited(rng, base, max(1, len(base) * k // 90))) for k in range(1, 5))]
+    given = [(r.doc_id, r.text or "") for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").collect()]
+    for rows in (texts, given):
+        want = brute_near_copies(rows)
+        assert want and {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, rows)).collect()} == want
+
+
 def test_near_copies_odd_rows(odd, empty):
     got = {r.doc_id: r.group_id for r in near_copies.near_copy_groups(odd).collect()}
     assert got[7] == 6 and got[4] == 3 and got[1] == got[2] == 0
