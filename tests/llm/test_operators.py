@@ -186,6 +186,20 @@ def test_near_copies_match_all_pairs(spark):
         assert want and {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, rows)).collect()} == want
 
 
+def test_near_copies_of_large_families_match_all_pairs(spark):
+    rng, vocabulary, texts = random.Random(12), [f"w{i}" for i in range(3000)], []
+    for f in range(3):  # versions drift: far ones are alike only through those between
+        base = [rng.choice(vocabulary) for _ in range(150)]
+        for k in range(150):
+            base = edited(rng, base, 2).split()
+            texts.append((f * 1000 + k * 37 % 150, " ".join(base)))
+    head = [rng.choice(vocabulary) for _ in range(100)]  # one passage, tails at any distance
+    texts += [(5000 + k, " ".join(head + [rng.choice(vocabulary) for _ in range(rng.randrange(1, 30))])) for k in range(150)]
+    want = brute_near_copies(texts)
+    assert len(set(want.values())) >= 3
+    assert {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, texts)).collect()} == want
+
+
 def test_near_copies_odd_rows(odd, empty):
     got = {r.doc_id: r.group_id for r in near_copies.near_copy_groups(odd).collect()}
     assert got[7] == 6 and got[4] == 3 and got[1] == got[2] == 0
