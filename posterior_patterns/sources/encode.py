@@ -110,8 +110,8 @@ SPECS = {
             tuple(f"p_type = '{t}' AND p_size BETWEEN {lo} AND {hi}" for t in _TYPES for lo, hi in ((1, 16), (17, 33), (34, 50))), group="o_custkey",
         ),
         BasketSpec("doclabel", "{documents} AS d JOIN {labels} AS b ON d.doc_id = b.doc_id", ("quality = 1", "toxic = 1", "lang = 'en'", "n_chars > 1000", "text LIKE '%http%'", "source = 'src0'")),
-        BasketSpec("size", "(SELECT l_suppkey, date_trunc('month', l_shipdate) AS m, p_size FROM " + _LINE_PART + " WHERE l_suppkey <= 40) AS s", tuple(f"p_size = {i}" for i in range(1, 51)), group="l_suppkey, m", ordered=True),
-        BasketSpec("hour", "{events} WHERE event_id % 7 = 0", tuple(f"hour(ts) = {h}" for h in range(24)), group="user_id", ordered=True),
+        BasketSpec("size", "(SELECT l_suppkey, date_trunc('month', l_shipdate) AS m, p_size FROM " + _LINE_PART + ") AS s", tuple(f"p_size = {i}" for i in range(1, 51)), group="l_suppkey, m", ordered=True),
+        BasketSpec("hour", "{events}", tuple(f"hour(ts) = {h}" for h in range(24)), group="user_id", ordered=True),
         BasketSpec("sign", "{embeddings}", tuple(f"{{at}}(embedding, {i}) > 0" for i in range(1, 17))),
         BasketSpec("tag", "{pages}", tuple(f"html LIKE '%<{t}%'" for t in _TAGS), _TAGS),
         BasketSpec("role", _ROLES, ("has_system = 1", "has_assistant = 1", "turns > 2", "turns > 4", "turns > 6", "has_the = 1", "has_de = 1")),

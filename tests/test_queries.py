@@ -9,6 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from posterior_patterns import queries as Q
+from posterior_patterns import workloads as W
 from posterior_patterns.operators import entropy, patterns, sampler, score
 from posterior_patterns.plans.durable import Durable
 from posterior_patterns.sources import sinks, tables
@@ -32,6 +33,16 @@ def rows(df):
     return sorted(tuple("null" if null(v) else repr(float(v)) if isinstance(v, float) else str(v) for v in r) for r in df.itertuples(index=False))
 
 
+@pytest.mark.parametrize("name, relation, key, item", [("hour", "events", "user_id", "hour(ts)"), ("size", "lineitem JOIN part ON l_partkey = p_partkey", "(l_suppkey, date_trunc('month', l_shipdate))", "p_size")])
+def test_grouped_encodings_count_all_rows(spark, name, relation, key, item):
+    con = duckdb.connect()
+    con.execute("SET TimeZone='UTC'")
+    for t in ("events", "lineitem", "part"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('/root/testdata/sf0.01/{t}.parquet')")
+    want = con.execute(f"SELECT count(DISTINCT {key}), count(DISTINCT ({key}, {item})) FROM {relation}").fetchone()
+    assert tuple(W.patterns_of(spark, "/root/testdata/sf0.01", name).agg(F.sum("n"), F.sum(F.col("n") * F.bit_count("mask"))).first()) == want
+
+
 @pytest.mark.parametrize("name", sorted(set(Q.SQL) - SKIPPED))
 def test_query_equals_sql(spark, sf_dir, con, name):
     got, want = Q.QUERIES[name](spark, sf_dir).toPandas(), con.execute(Q.SQL[name]).df()
