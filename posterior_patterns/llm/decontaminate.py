@@ -11,7 +11,8 @@ The benchmark is read in blocks of bounded size, each broadcast and tested again
 the rows themselves: no shuffle, no pair table.
 
 Defined cases: null texts count as empty; items and documents without words never match; equal items
-tie, the least id is reported; repeated rows are decided alike; an empty benchmark leaks nothing; an
+tie, the least id is reported; items with a null id match like others and are reported as null, after
+all ids at a tie; repeated rows are decided alike; an empty benchmark leaks nothing; an
 empty table gives an empty result; further columns are ignored, or kept by the filter.
 """
 
@@ -33,6 +34,8 @@ MIN_MATCH, COVERAGE = 5, 0.5
 #: UTF-8 bytes of benchmark text in a broadcast block at most (a single longer item makes its own block).
 BLOCK_BYTES = 8 << 20
 _TOKEN = re.compile(r"[^\W_]+")
+#: Stands for a null item id, after all others.
+_NO_ID = float("inf")
 _BASE = 0x9E3779B97F4A7C15 | 1
 
 
@@ -156,18 +159,18 @@ class Index:
         if not covered:
             return 0.0, None, 0
         share, key = min(covered)
-        return -share, key, len(keys)
+        return -share, None if key == _NO_ID else key, len(keys)
 
 
 def blocks(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", limit: int = BLOCK_BYTES):
     """The benchmark as lists of (id, text) of bounded size; one block is in memory at a time."""
     now, held = [], 0
-    for row in benchmark.filter(F.col(id_col).isNotNull()).select(F.col(id_col).alias("i"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t")).toLocalIterator():
+    for row in benchmark.select(F.col(id_col).alias("i"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t")).toLocalIterator():
         n = len(row.t.encode("utf-8", "replace"))
         if now and held + n > limit:
             yield now
             now, held = [], 0
-        now.append((row.i, row.t))
+        now.append((_NO_ID if row.i is None else row.i, row.t))
         held += n
     if now:
         yield now
@@ -202,7 +205,7 @@ def _one_argument(f):
 
 
 def _better(a: Column, b: Column) -> Column:
-    best = F.when((b.coverage > a.coverage) | ((b.coverage == a.coverage) & (b.item_id < a.item_id)), F.struct(b.coverage.alias("coverage"), b.item_id.alias("item_id"))).otherwise(F.struct(a.coverage.alias("coverage"), a.item_id.alias("item_id")))
+    best = F.when((b.coverage > a.coverage) | ((b.coverage == a.coverage) & ((b.item_id < a.item_id) | (a.item_id.isNull() & b.item_id.isNotNull()))), F.struct(b.coverage.alias("coverage"), b.item_id.alias("item_id"))).otherwise(F.struct(a.coverage.alias("coverage"), a.item_id.alias("item_id")))
     return F.struct(best.coverage.alias("coverage"), best.item_id.alias("item_id"), (a["items"] + b["items"]).alias("items"))
 
 

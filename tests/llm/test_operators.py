@@ -363,6 +363,15 @@ def brute_tiles(item, text, least):
                 made.append((i, t, n))
 
 
+def test_items_without_an_id_are_matched(spark):
+    bench = spark.createDataFrame([(None, "a b c d e f g h"), (4, "q r s t u v"), (9, "i j k l m n o p"), (None, "i j k l m n o p")], "item_id long, text string")
+    docs = docs_of(spark, [(0, "x a b c d e f g h y"), (1, "i j k l m n o p"), (2, "other words")])
+    for limit in (1 << 20, 10):
+        got = {r.doc_id: (r.contaminated, r.item_id, r.coverage) for r in decontaminate.decontaminate(docs, bench, limit=limit).collect()}
+        assert got == {0: (True, None, 1.0), 1: (True, 9, 1.0), 2: (False, None, 0.0)}
+    assert [r.doc_id for r in decontaminate.keep_uncontaminated(docs, bench).collect()] == [2]
+
+
 def test_tiles_cover_what_greedy_tiling_covers():
     rng = random.Random(2)
     for _ in range(150):
