@@ -12,8 +12,8 @@ become one group are done.  The last turn compares all pairs of different groups
 but those whose set sizes or parities of shingle classes rule out the similarity.
 
 Defined cases: null texts count as empty; texts without words are alike; fewer than five words make
-one shingle; rows with a null id are never grouped; repeated ids count as one text, the least shingle
-set standing for them; an empty table gives an empty result; other columns are ignored.
+one shingle; rows with a null id are never grouped; repeated ids count as one text, the smallest
+shingle set standing for them; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ SHINGLE_WORDS, SIMILARITY = 5, 0.8
 #: Texts, about, from which common shingles are counted; the least count, and the most shingles, to be called common.
 SAMPLE, SEEN, COMMON = 4096, 3, 100_000
 #: A power of 2, and a multiple of 64.
-PARITIES = 512
+PARITIES = 1024
 _EMPTY = np.array([0], dtype=np.int64)  # the bucket of texts without words
 
 
@@ -46,15 +46,14 @@ def shingle_set(data: bytes) -> list[int]:
     return _hashes(data).tolist()
 
 
-def parities(found: list[int]) -> list[int]:
+def parities(found: np.ndarray) -> list[int]:
     """Whether each of PARITIES classes of shingles has an odd number in the set, 64 to a word."""
-    odd = np.bincount(np.array(found, dtype=np.int64) & (PARITIES - 1), minlength=PARITIES) & 1
+    odd = np.bincount(found & (PARITIES - 1), minlength=PARITIES) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view("<i8").tolist()
 
 
-def prefix(data: bytes, common: np.ndarray, rank: np.ndarray) -> np.ndarray:
-    """The first n // 5 + 1 of a text's n shingles: rare ones by hash, then common ones (sorted, with their ranks) by rank."""
-    found = _hashes(data)
+def prefix(found: np.ndarray, common: np.ndarray, rank: np.ndarray) -> np.ndarray:
+    """The first n // 5 + 1 of n sorted shingles: rare ones by hash, then common ones (sorted, with their ranks) by rank."""
     if not len(found):
         return _EMPTY
     place = np.zeros(len(found), dtype=np.int64)
@@ -76,13 +75,22 @@ def common_shingles(texts: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return tokens[order], (len(tokens) - np.arange(len(tokens)))[order]
 
 
-def buckets(texts: DataFrame, kind: str) -> DataFrame:
-    """texts(doc_id, data) -> (token, doc_id): every prefix shingle that two or more ids have, with all of them."""
-    shared = texts.sparkSession.sparkContext.broadcast(common_shingles(texts))
-    rows = arrow_map(texts, lambda ids, data: (ids, [prefix(d, *shared.value).tolist() for d in data]), f"doc_id {kind}, tokens array<long>")
+def marked(texts: DataFrame, kind: str) -> DataFrame:
+    """texts(doc_id, data) -> (doc_id, n, odd, tokens): size, parities and prefix of every row's shingle set."""
+    shared = texts.sparkSession.sparkContext.broadcast(common_shingles(texts))  # bounded by COMMON
+
+    def mark(ids, data):
+        made = ((len(h), parities(h), prefix(h, *shared.value).tolist()) for h in map(_hashes, data))
+        return (ids, *map(list, zip(*made, strict=True))) if ids else (ids, [], [], [])
+
+    return arrow_map(texts, mark, f"doc_id {kind}, n int, odd array<long>, tokens array<long>")
+
+
+def buckets(rows: DataFrame) -> DataFrame:
+    """marked rows -> (token, doc_id): every prefix shingle that two or more ids have, with all of them."""
     same = Window.partitionBy("token")
-    rows = rows.select(F.explode("tokens").alias("token"), "doc_id")
-    return rows.select("token", "doc_id", F.min("doc_id").over(same).alias("x"), F.max("doc_id").over(same).alias("y")).filter("x <> y").select("token", "doc_id")
+    tabled = rows.select(F.explode("tokens").alias("token"), "doc_id")
+    return tabled.select("token", "doc_id", F.min("doc_id").over(same).alias("x"), F.max("doc_id").over(same).alias("y")).filter("x <> y").select("token", "doc_id")
 
 
 def similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -93,24 +101,28 @@ def similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return both.filter((common >= F.lit(SIMILARITY) * union)).select("a", "b")
 
 
-def with_one(open_: DataFrame, turn: int) -> DataFrame:
-    """(a, b), a < b: each id of a bucket with one other of another group, picked by the turn."""
+def _fits() -> str:
+    """Sizes na, nb and parities oa, ob allow the similarity: every class whose parities differ holds a
+    shingle of one set only, of which there are at most a ninth of both sizes."""
+    differ = " + ".join(f"bit_count(oa[{i}] ^ ob[{i}])" for i in range(PARITIES // 64))
+    return f"5 * na >= 4 * nb and 5 * nb >= 4 * na and 9 * ({differ}) <= na + nb"
+
+
+def with_one(open_: DataFrame, sketches: DataFrame, turn: int) -> DataFrame:
+    """(a, b), a < b, that may be alike: each id of a bucket with one other of another group, picked by the turn."""
     pick = (F.min, F.max)[turn % 2](F.struct((F.col("root") if turn < 2 else F.xxhash64(F.lit(turn), "doc_id")).alias("key"), "doc_id", "root"))
     chosen = open_.groupBy("token").agg(pick.alias("p")).select("token", F.col("p.doc_id").alias("o"), F.col("p.root").alias("other"))
     met = open_.join(chosen, "token").filter("root <> other")
-    return met.select(F.least("doc_id", "o").alias("a"), F.greatest("doc_id", "o").alias("b")).distinct()
-
+    pairs = met.select(F.least("doc_id", "o").alias("a"), F.greatest("doc_id", "o").alias("b")).distinct()
+    side = lambda c: sketches.select(F.col("doc_id").alias(c), F.col("n").alias(f"n{c}"), F.col("odd").alias(f"o{c}"))
+    return pairs.join(side("a"), "a").join(side("b"), "b").filter(_fits()).select("a", "b")
 
-def with_all(open_: DataFrame, sets: DataFrame) -> DataFrame:
-    """(a, b), a < b: all ids of a bucket in different groups, unless set sizes or parities rule them out.
 
-    Every class whose parities differ holds a shingle of one set only, of which there are at most a ninth of both sizes.
-    """
-    sized = open_.join(sets.select("doc_id", F.size("shingles").alias("n"), "odd"), "doc_id")
-    side = lambda c: sized.select("token", F.col("doc_id").alias(c), F.col("root").alias(f"r{c}"), F.col("n").alias(f"n{c}"), *(F.col("odd")[i].alias(f"{c}{i}") for i in range(PARITIES // 64)))
-    differ = " + ".join(f"bit_count(a{i} ^ b{i})" for i in range(PARITIES // 64))
-    fits = f"a < b and ra <> rb and 5 * na >= 4 * nb and 5 * nb >= 4 * na and 9 * ({differ}) <= na + nb"
-    return side("a").join(side("b"), "token").filter(fits).select("a", "b").distinct()
+def with_all(open_: DataFrame, sketches: DataFrame) -> DataFrame:
+    """(a, b), a < b, that may be alike: all ids of a bucket in different groups."""
+    sized = open_.join(sketches, "doc_id")
+    side = lambda c: sized.select("token", F.col("doc_id").alias(c), F.col("root").alias(f"r{c}"), F.col("n").alias(f"n{c}"), F.col("odd").alias(f"o{c}"))
+    return side("a").join(side("b"), "token").filter(f"a < b and ra <> rb and {_fits()}").select("a", "b").distinct()
 
 
 #: Turns in which a text of a bucket meets one other, before all pairs left are compared.
@@ -122,18 +134,25 @@ def near_copy_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     store = Durable(docs.sparkSession, "nearcopies")
     kind = dict(docs.dtypes)[id_col]
     texts = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).alias("doc_id"), blob(F.col(text_col)).alias("data"))
-    shared = store.save(buckets(texts, kind), "buckets")
-    met = texts.join(shared.select("doc_id").distinct(), "doc_id", "left_semi")
-    sets = arrow_map(met, lambda ids, data: (ids, [shingle_set(d) for d in data]), f"doc_id {kind}, shingles array<long>")
-    sets = sets.groupBy("doc_id").agg(F.min("shingles").alias("shingles"))
-    sets = store.save(arrow_map(sets, lambda ids, held: (ids, held, [parities(h) for h in held]), f"doc_id {kind}, shingles array<long>, odd array<long>"), "sets")
+    rows = store.save(marked(texts, kind), "marked")
+    shared = store.save(buckets(rows), "buckets")
+    sketches = rows.groupBy("doc_id").agg(F.min(F.struct("n", "odd")).alias("s")).select("doc_id", "s.*")
+    sketches = store.save(sketches.join(shared.select("doc_id").distinct(), "doc_id", "left_semi"), "sketches")
+    store.drop("marked")
+
+    def sets_of(pairs: DataFrame, turn: int) -> DataFrame:
+        met = texts.join(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "doc_id", "left_semi")
+        made = arrow_map(met, lambda ids, data: (ids, *map(list, zip(*((len(h), parities(h), h.tolist()) for h in map(_hashes, data)), strict=True))) if ids else (ids, [], [], []), f"doc_id {kind}, n int, odd array<long>, shingles array<long>")
+        return store.save(made.groupBy("doc_id").agg(F.min(F.struct("n", "odd", "shingles")).alias("s")).select("doc_id", "s.shingles"), f"sets{turn}")
+
     open_ = shared.withColumn("root", F.col("doc_id"))
     linked = tested = groups = None
     for turn in range(TURNS + 1):
-        pairs = with_one(open_, turn) if turn < TURNS else with_all(open_, sets)
+        pairs = with_one(open_, sketches, turn) if turn < TURNS else with_all(open_, sketches)
         pairs = store.save(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), f"pairs{turn}")
-        found = similar(pairs, sets)
+        found = similar(pairs, sets_of(pairs, turn))
         linked = store.save(found if linked is None else linked.unionByName(found), f"linked{turn}")
+        store.drop(f"sets{turn}")
         groups = components(linked, store, f"cc{turn}_")
         if turn < TURNS:
             tested = pairs if tested is None else tested.unionByName(pairs)
