@@ -27,9 +27,7 @@ def blob(text: Column) -> Column:
 
 def arrow_map(df: DataFrame, fn: Callable[..., Iterator[tuple]], schema: str | StructType) -> DataFrame:
     """Apply fn(*columns as Python lists) to Arrow batches; fn returns the output columns as lists."""
-    spark = df.sparkSession
-    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
-        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    bound_batches(df)
     kind = df.sparkSession.createDataFrame([], schema).schema
     from pyspark.sql.pandas.types import to_arrow_schema
 
@@ -46,3 +44,32 @@ def arrow_map(df: DataFrame, fn: Callable[..., Iterator[tuple]], schema: str | S
 def digest(text: Column) -> Column:
     """128-bit content hash as binary."""
     return F.unhex(F.md5(blob(text)))
+
+
+#: Classes with more than one part in so many of all rows are broadcast; there are at most so many of them.
+HOT_PARTS = 1000
+
+
+def with_class(rows: DataFrame, classes: DataFrame, key: str, size: str, spread: str) -> DataFrame:
+    """rows left-joined to stored classes (one row for each binary `key`, `size` rows have it), as a struct column `class`.
+
+    Hot classes, at most HOT_PARTS, are broadcast, and their rows go through the shuffle of the others under the hash
+    of the column `spread`, so a class with a third of all rows does not land in one task.
+    """
+    total = classes.agg(F.sum(size).alias("n")).first().n or 0
+    is_hot = F.col(size) * HOT_PARTS > F.lit(total)
+    held = F.struct(*(F.col(c) for c in classes.columns if c != key))
+    hot = classes.filter(is_hot).select(F.col(key).alias("_hot_key"), held.alias("_hot"))
+    cold = classes.filter(~is_hot).select(F.col(key).alias("_cold_key"), held.alias("_cold"))
+    met = rows.join(F.broadcast(hot), F.col(key) == F.col("_hot_key"), "left")
+    scattered = F.unhex(F.md5(F.concat(F.lit("spread"), F.xxhash64(spread).cast("string")).cast("binary")))
+    met = met.withColumn("_key", F.when(F.col("_hot_key").isNull(), F.col(key)).otherwise(scattered))
+    met = met.join(cold, F.col("_key") == F.col("_cold_key"), "left")
+    return met.select(*(rows[c] for c in rows.columns), F.coalesce("_hot", "_cold").alias("class"))
+
+
+def bound_batches(df: DataFrame) -> None:
+    """Arrow batches of at most BATCH_ROWS rows in df's session."""
+    conf = df.sparkSession.conf
+    if int(conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
+        conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))

@@ -1,17 +1,20 @@
 """WARC archives: a distributed writer and a splittable reader.
 
-Writer: one gzip member for each record, records dealt to files by page id and written by tasks under
-temporary names, then renamed, so a task that runs again replaces its own file.  A payload that an
-earlier record (least page id) holds is written as a revisit that names the other's record.
+Writer: one gzip member for each record, dealt to files by a hash of the record and written by tasks under
+temporary names, then renamed, so a task that runs again replaces its own files; archives of an earlier run
+in the folder are removed first.  A payload that an earlier record (least page id) holds is written as a
+revisit that names the other's record.
 
 Reader: files are cut into byte ranges; a task looks for gzip magic in its range, accepts a candidate
 only if its member's start decompresses to a WARC version line and the headers parse, and owns the
 records that start inside its range, reading past the end to finish the last one.
 
 Defined cases: null payloads count as empty, null urls are written as an empty target; payloads below the
-least size are all responses; rows with a null page id are written and read with a null id; repeated
-rows become records of their own, one of them the response; an empty table makes no file and reads as
-an empty result; further columns are ignored.
+least size are all responses; rows with a null page id are written and read with a null id, as revisits if a
+row with an id has their payload, else as responses; repeated rows, and rows of one id with equal payloads,
+become records of their own, one of them the response and the others revisits that name their own id; rows
+of one id with different payloads are judged each by its payload; an empty table makes no file and reads as
+an empty result; further columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -27,7 +30,8 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .text import blob
+from ..plans.durable import Durable
+from .text import blob, bound_batches, with_class
 
 MAGIC = b"\x1f\x8b\x08"
 #: Bytes of a range that a read task owns, and of one read.
@@ -80,45 +84,74 @@ def parse_record(raw: bytes) -> tuple | None:
 
 
 def classify(pages: DataFrame, least_bytes: int = 0, id_col: str = "page_id", html_col: str = "html", url_col: str = "url") -> DataFrame:
-    """(page_id, url, payload, payload_digest, refers_to, revisit): the least page id of equal payloads is the response."""
-    data = blob(F.col(html_col))
-    rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), data.alias("payload"), F.sha1(data).alias("sha"), F.md5(data).alias("md5"))
-    first = rows.filter(F.octet_length("payload") >= least_bytes).groupBy("sha", "md5").agg(F.min("page_id").alias("first"))
-    both = rows.join(first, ["sha", "md5"], "left")
-    return both.select("page_id", "url", "payload", "sha", F.when(F.col("page_id") != F.col("first"), F.col("first")).alias("refers_to"))
+    """(page_id, url, payload, sha, refers_to, copies, first): equal rows are one with their number; `first` marks the
+    response of the payload, or of a row of its own where refers_to is null.
+
+    Classes of equal payloads are found over rows without payloads; the payloads move once, to meet their verdict.
+    """
+    store, data = Durable(pages.sparkSession, "warc-classes"), blob(F.col(html_col))
+    rows = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), data.alias("payload"), F.unhex(F.sha1(data)).alias("sha"), F.unhex(F.md5(data)).alias("md5"))
+    named = F.concat_ws("|", F.coalesce(F.col("page_id").cast("string"), F.lit("none")), F.when(F.col("url").isNull(), "0").otherwise(F.concat(F.lit("1"), "url")))
+    rows = rows.withColumn("key", F.concat("sha", "md5")).withColumn("rec", F.unhex(F.sha2(F.concat(F.col("key"), named.cast("binary")), 256)))
+    narrow = rows.groupBy("rec", "key", "page_id").agg(F.count("*").alias("copies"), F.min(F.octet_length("payload")).alias("length"))
+    narrow = store.save(narrow, "records")
+    shared = narrow.filter((F.col("length") >= least_bytes) & F.col("page_id").isNotNull())
+    classes = store.save(shared.groupBy("key").agg(F.min(F.struct("page_id", "rec")).alias("least"), F.count("*").alias("n")), "classes")
+    met = with_class(narrow, classes, "key", "n", "rec")
+    known = (F.col("length") >= least_bytes) & F.col("class").isNotNull()
+    verdict = met.select("rec", "copies", F.when(known, F.col("class.least.page_id")).alias("refers_to"), F.when(known, F.col("class.least.rec") == F.col("rec")).otherwise(True).alias("first"))
+    whole = rows.groupBy("rec").agg(*(F.first(c).alias(c) for c in ("page_id", "url", "payload", "sha")))
+    return whole.join(verdict, "rec").select("page_id", "url", "payload", F.lower(F.hex("sha")).alias("sha"), "refers_to", "copies", "first")
 
 
 def write_archives(records: DataFrame, folder: str, pages_per_file: int = PAGES_PER_FILE) -> int:
-    """Write the records of classify() below folder; the number of records."""
+    """Write the records of classify() below folder, in place of the archives there; the number of records.
+
+    Every task writes its own files, of at most pages_per_file records each.
+    """
     spark = records.sparkSession
-    n = records.count()
-    if not n:
-        return 0
-    files = -(-n // pages_per_file)
+    _clear(spark, folder)
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         context = TaskContext.get()
         fs, root = _open(folder)
-        name, temp = f"{root}/part-{context.partitionId():06d}.warc.gz", f"{root}/_{context.taskAttemptId()}.tmp"
-        out, count = None, 0
+        temp, out, count, files = f"{root}/_{context.taskAttemptId()}.tmp", None, 0, 0
+
+        def close() -> None:
+            out.close()
+            fs.move(temp, f"{root}/part-{context.partitionId():06d}-{files:04d}.warc.gz")
+
         for batch in batches:
-            for page_id, url, payload, sha, refers_to in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if out is None:
-                    fs.create_dir(root, recursive=True)
-                    out = fs.open_output_stream(temp)
+            for page_id, url, payload, sha, refers_to, copies, first in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 digest = base64.b32encode(bytes.fromhex(sha)).decode()
-                out.write(record_bytes(page_id, url, payload, digest, refers_to, refers_to is not None))
-                count += 1
+                for copy in range(copies):
+                    if out is not None and count % pages_per_file == 0:
+                        close()
+                        out, files = None, files + 1
+                    if out is None:
+                        fs.create_dir(root, recursive=True)
+                        out = fs.open_output_stream(temp)
+                    revisit = refers_to is not None and not (first and copy == 0)
+                    out.write(record_bytes(page_id, url, payload, digest, refers_to if revisit else None, revisit))
+                    count += 1
         if out is not None:
-            out.close()
-            fs.move(temp, name)
+            close()
         yield pa.RecordBatch.from_pydict({"n": pa.array([count], pa.int64())})
 
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(min(512, int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")))))
-    dealt = records.repartition(files, F.xxhash64("page_id")).sortWithinPartitions("page_id", "sha")
-    return sum(r.n for r in dealt.mapInArrow(write, "n long").collect())  # one small row for each file
+    bound_batches(records)
+    return records.mapInArrow(write, "n long").agg(F.sum("n").alias("n")).first().n or 0
+
+
+def _clear(spark: SparkSession, folder: str) -> None:
+    """Remove archives and unfinished files that an earlier run left in a folder."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    fs = at.getFileSystem(spark._jsc.hadoopConfiguration())
+    for status in fs.listStatus(at) if fs.exists(at) else ():
+        name = status.getPath().getName()
+        if name.endswith(".warc.gz") or (name.startswith("_") and name.endswith(".tmp")):
+            fs.delete(status.getPath(), False)
 
 
 def _list(spark: SparkSession, folder: str) -> list[tuple[str, int]]:
