@@ -51,7 +51,7 @@ HOT_PARTS = 1000
 
 
 def with_class(rows: DataFrame, classes: DataFrame, key: str, size: str, spread: str) -> DataFrame:
-    """rows left-joined to stored classes (one row for each binary `key`, `size` rows have it), as a struct column `class`.
+    """rows left-joined to stored classes (one row for each string or binary `key`, `size` rows have it), as a struct column `class`.
 
     Hot classes, at most HOT_PARTS, are broadcast, and their rows go through the shuffle of the others under the hash
     of the column `spread`, so a class with a third of all rows does not land in one task.
@@ -62,7 +62,7 @@ def with_class(rows: DataFrame, classes: DataFrame, key: str, size: str, spread:
     hot = classes.filter(is_hot).select(F.col(key).alias("_hot_key"), held.alias("_hot"))
     cold = classes.filter(~is_hot).select(F.col(key).alias("_cold_key"), held.alias("_cold"))
     met = rows.join(F.broadcast(hot), F.col(key) == F.col("_hot_key"), "left")
-    scattered = F.unhex(F.md5(F.concat(F.lit("spread"), F.xxhash64(spread).cast("string")).cast("binary")))
+    scattered = F.md5(F.concat(F.lit("spread"), F.xxhash64(spread).cast("string")).cast("binary")).cast(dict(rows.dtypes)[key])
     met = met.withColumn("_key", F.when(F.col("_hot_key").isNull(), F.col(key)).otherwise(scattered))
     met = met.join(cold, F.col("_key") == F.col("_cold_key"), "left")
     return met.select(*(rows[c] for c in rows.columns), F.coalesce("_hot", "_cold").alias("class"))
@@ -73,3 +73,27 @@ def bound_batches(df: DataFrame) -> None:
     conf = df.sparkSession.conf
     if int(conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
         conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+
+
+#: Digests of distinct new contents that may be broadcast, 32 bytes each.
+BROADCAST_DIGESTS = 100_000
+
+
+def one_of_each_new(rows: DataFrame, new: DataFrame, key: str) -> DataFrame:
+    """rows(key, data) -> (key, data) for every key of the stored table new(key), each once.
+
+    Copies collapse in the map tasks; where few contents are new, only their texts are shuffled.
+    """
+    few = new.count() <= BROADCAST_DIGESTS
+    if few:
+        rows = rows.join(F.broadcast(new), key, "left_semi")
+    once = rows.groupBy(key).agg(F.first("data").alias("data"))
+    return once if few else once.join(new, key, "left_semi")
+
+
+def free_name(df: DataFrame, name: str) -> str:
+    """A column name that df lacks."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
