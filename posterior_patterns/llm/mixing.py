@@ -3,22 +3,25 @@
 Targets: sources in code-point order (null last) weigh 5, 2, 1, repeating, and share a budget of words;
 no source gets more than twice its own size, the excess going to the others by weight.
 
-Each source's documents fall into a fixed number of blocks by a keyed hash.  A source whose target is
-e full passes and a rest draws all its blocks e times and, in the order of a keyed permutation, as
-many more as the rest takes; in the block where the rest ends, documents are taken in hash order, and
-the one at the cut in part, so a source's taken words equal its rounded target.  The numbers of drawn blocks form one vector
-over the sources.  A binary tree splits it: at every node the left child's share of each source is a
-hypergeometric draw conditional on the sources before it, so halves have exact sizes and a leaf (an
-output shard) holds the mix that random dealing would give.  Each leaf owns a contiguous run of each
-source's permuted draws; inside a shard rows are ordered by a keyed hash.
-
-Everything is DataFrame functions.  Only block and source totals are aggregated: sizes follow the
-number of sources times BLOCKS, never the documents, and a hot source is spread over its blocks.
+Each source's documents fall into blocks by a keyed hash, at least BLOCKS of them and as many as keep a
+block at about BLOCK_WORDS words.  A source whose target is e full passes and a rest has a quota of draws:
+all its blocks e times and, in the order of a keyed permutation, as many more as the rest takes.  The
+quotas form one vector over the sources.  A binary tree splits it: at every node the left child's share of
+each source is a hypergeometric draw conditional on the sources before it, so halves have exact sizes and a
+leaf (an output shard) holds the mix that random dealing would give.  Each leaf draws a run of its own of
+each source's permuted blocks, so draws are disjoint; what the mix takes of a document follows from the
+draws of its block that the leaves were dealt.  In the block where the rest ends, documents are taken in
+hash order, and the one at the cut in part, so a source's taken words equal its rounded target.  Inside a
+shard rows are ordered by a keyed hash.
+
+Everything is DataFrame functions.  Aggregates follow the numbers of sources and blocks, never the
+documents, and a hot source is spread over its blocks.
 
 Defined cases: null texts have size 0 and are never taken; a null source is a source of its own;
 a source without words has target 0; rows that agree in id, source and size are treated alike; an
 empty table gives an empty result; columns of the input other than the three named are ignored by
-assign() and kept by mix_documents(), whose own columns replace ones of the same name.
+assign() and kept by mix_documents(), whose own columns replace ones of the same name; any other column
+name is left alone.
 """
 
 from __future__ import annotations
@@ -30,8 +33,10 @@ from ..plans.durable import Durable
 from .text import WORD
 
 WEIGHTS, BUDGET, MOST_PASSES = (5, 2, 1), 1.5, 2
-BLOCKS, DEPTH, SEED = 256, 4, 20250101
-#: Rows of the block table up to which it may be broadcast (each is under 300 bytes).
+BLOCKS, BLOCK_WORDS, DEPTH, SEED = 256, 1 << 24, 4, 20250101
+#: Words, about, of an output shard of a large mix.
+SHARD_WORDS = 1 << 26
+#: Rows of the source or block table up to which it may be broadcast (each is under 300 bytes).
 BROADCAST_ROWS = 100_000
 
 
@@ -98,8 +103,8 @@ def splitting_tree(quotas: DataFrame, depth: int = DEPTH, seed: int = SEED) -> D
     return nodes.select((F.col("node") - (1 << depth)).alias("shard"), F.explode("q").alias("x")).select("shard", "x.rank", "x.draws")
 
 
-def _block(id_: Column, size: Column, seed: int) -> Column:
-    return F.pmod(F.xxhash64(F.lit(seed), id_, size), F.lit(BLOCKS)).cast("int")
+def _block(id_: Column, size: Column, blocks: Column, seed: int) -> Column:
+    return F.pmod(F.xxhash64(F.lit(seed), id_, size), blocks)
 
 
 def _place(id_: Column, size: Column, seed: int) -> Column:
@@ -107,78 +112,108 @@ def _place(id_: Column, size: Column, seed: int) -> Column:
     return F.struct(F.xxhash64(F.lit(seed + 7), id_, size).alias("h"), id_.alias("id"))
 
 
-def block_plan(rows: DataFrame, store: Durable, depth: int = DEPTH, seed: int = SEED) -> DataFrame:
-    """rows(doc_id, source, size) -> one row for each (source, block): passes, whether the last pass takes it all, in part or not, and the shards of its draws."""
-    rows = rows.withColumn("block", _block(F.col("doc_id"), F.col("size"), seed))
-    blocks = store.save(rows.groupBy("source", "block").agg(F.sum("size").alias("words")), "blocks")
-    sources = store.save(source_targets(blocks.groupBy("source").agg(F.sum("words").alias("source_size"))), "sources")
+def _few(df: DataFrame) -> DataFrame:
+    """A stored table, broadcast if it is within BROADCAST_ROWS."""
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+
+
+def _in_blocks(rows: DataFrame, sources: DataFrame, seed: int) -> DataFrame:
+    """rows(id, source, size, ...) -> with rank, source_size, target and block."""
+    at = _few(sources).select(F.col("source").alias("at_source"), "rank", "source_size", "target", "blocks")
+    met = rows.join(at, F.col("source").eqNullSafe(F.col("at_source")))
+    return met.withColumn("block", _block(F.col("id"), F.col("size"), F.col("blocks"), seed)).drop("at_source", "blocks")
+
+
+def _dealt(turned: DataFrame, leaves: DataFrame) -> DataFrame:
+    """(rank, block, draws): which leaf draws each block in each pass.
+
+    Leaves and draws of a source are put on one line; a draw belongs to the last leaf that starts at or before it.
+    """
+    run = Window.partitionBy("rank").orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
+    starts = leaves.filter("draws > 0").withColumn("position", F.coalesce(F.sum("draws").over(run), F.lit(0)))
+    starts = starts.select("rank", "position", F.lit(0).alias("what"), "shard", F.lit(None).cast("long").alias("block"), F.lit(None).cast("long").alias("epoch"))
+    drawn = turned.select("rank", "block", "place", F.explode(F.expr("filter(sequence(0L, passes), e -> e < passes or extra = 1)")).alias("epoch"))
+    drawn = drawn.withColumn("position", F.row_number().over(Window.partitionBy("rank").orderBy("epoch", "place")).cast("long") - 1)
+    drawn = drawn.select("rank", "position", F.lit(1).alias("what"), F.lit(None).cast("long").alias("shard"), "block", "epoch")
+    line = Window.partitionBy("rank").orderBy("position", "what").rowsBetween(Window.unboundedPreceding, 0)
+    owned = starts.unionByName(drawn).withColumn("shard", F.last("shard", ignorenulls=True).over(line)).filter("what = 1")
+    return owned.groupBy("rank", "block").agg(F.sort_array(F.collect_list(F.struct("epoch", "shard"))).alias("draws"))  # one for each pass
+
+
+def block_plan(rows: DataFrame, store: Durable, depth: int = DEPTH, seed: int = SEED) -> tuple[DataFrame, DataFrame]:
+    """rows(id, source, size) -> (sources, plan): targets and numbers of blocks; for each block its leaves' draws and, where the rest ends, the cut."""
+    totals = rows.groupBy("source").agg(F.sum("size").alias("source_size"))
     passes = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
-    at = sources.withColumn("passes", passes).withColumn("rest", F.round(F.col("target") - F.col("passes") * F.col("source_size")).cast("long"))
+    count = F.greatest(F.lit(BLOCKS).cast("long"), F.ceil(F.col("source_size") / F.lit(BLOCK_WORDS)).cast("long"))
+    sources = source_targets(totals).withColumn("passes", passes).withColumn("blocks", count)
+    sources = store.save(sources.withColumn("rest", F.round(F.col("target") - F.col("passes") * F.col("source_size")).cast("long")), "sources")
+    rows = _in_blocks(rows, sources, seed)
+    blocks = store.save(rows.groupBy("rank", "block").agg(F.sum("size").alias("words")), "blocks")
     order = Window.partitionBy("rank").orderBy("turn", "block")
-    turned = blocks.join(at, blocks.source.eqNullSafe(at.source)).select(at["*"], "block", "words").withColumn("turn", F.xxhash64(F.lit(seed + 3), "rank", "block"))
+    turned = blocks.join(_few(sources.select("rank", "passes", "rest")), "rank").withColumn("turn", F.xxhash64(F.lit(seed + 3), "rank", "block"))
     turned = turned.withColumn("place", F.row_number().over(order)).withColumn("before", F.coalesce(F.sum("words").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
     room = F.col("rest") - F.col("before")
     turned = turned.withColumn("part", F.when(room <= 0, F.lit(0).cast("long")).otherwise(F.least(room, F.col("words"))))
     turned = store.save(turned.withColumn("extra", F.when(F.col("part") > 0, 1).otherwise(0)), "turned")
     # the block in which the rest ends, and the document at the cut
-    ends = turned.filter("part > 0 and part < words").select("source", "block", "part")
-    inside = Window.partitionBy("source", "block").orderBy("p", "size")
-    met = rows.join(ends, rows.source.eqNullSafe(ends.source) & (rows.block == ends.block)).select(rows.source, rows.block, "size", "part", _place(F.col("doc_id"), F.col("size"), seed).alias("p"))
+    ends = turned.filter("part > 0 and part < words").select("rank", "block", "part")  # one of each source at most
+    inside = Window.partitionBy("rank", "block").orderBy("p", "size")
+    met = rows.join(_few(ends), ["rank", "block"]).select("rank", "block", "size", "part", _place(F.col("id"), F.col("size"), seed).alias("p"))
     met = met.withColumn("before", F.coalesce(F.sum("size").over(inside.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    cuts = met.filter("before < part and before + size >= part").select(F.col("source").alias("cs"), F.col("block").alias("cb"), F.col("p").alias("cut"), (F.col("part") - F.col("before")).alias("cut_words"))
-    # shards of the draws
+    cuts = met.filter("before < part and before + size >= part").select("rank", "block", F.col("p").alias("cut"), (F.col("part") - F.col("before")).alias("cut_words"))
     quotas = turned.groupBy("rank").agg(F.sum(F.col("passes") + F.col("extra")).alias("draws"))
     leaves = store.save(splitting_tree(quotas, depth, seed), "leaves")
-    run = Window.partitionBy("rank").orderBy("shard")
-    leaves = leaves.withColumn("end", F.sum("draws").over(run)).withColumn("start", F.col("end") - F.col("draws")).filter("draws > 0")
-    drawn = turned.select("rank", "block", "place", F.explode(F.expr("filter(sequence(0L, passes), e -> e < passes or extra = 1)")).alias("epoch"))
-    drawn = drawn.withColumn("position", F.row_number().over(Window.partitionBy("rank").orderBy("epoch", "place")) - 1)
-    dealt = drawn.join(leaves, "rank").filter("position >= start and position < end").groupBy("rank", "block").agg(F.sort_array(F.collect_list(F.struct("epoch", "shard"))).alias("draws"))
-    plan = turned.join(dealt, ["rank", "block"], "left").join(cuts, turned.source.eqNullSafe(cuts.cs) & (turned.block == cuts.cb), "left")
-    return store.save(plan.select("source", "block", "source_size", "target", "passes", "words", "part", "cut", "cut_words", "draws"), "plan")
-
-
-def _with_plan(rows: DataFrame, plan: DataFrame, seed: int) -> DataFrame:
-    """rows with id `_id`, `_source`, `_size` -> taken words and shards."""
-    named = plan.select(*(F.col(c).alias(f"_p_{c}") for c in plan.columns))
-    if plan.count() <= BROADCAST_ROWS:
-        named = F.broadcast(named)
-    rows = rows.withColumn("_block", _block(F.col("_id"), F.col("_size"), seed)).withColumn("_place", _place(F.col("_id"), F.col("_size"), seed))
-    both = rows.join(named, F.col("_source").eqNullSafe(F.col("_p_source")) & (F.col("_block") == F.col("_p_block")))
+    plan = turned.join(_dealt(turned, leaves), ["rank", "block"], "left").join(cuts, ["rank", "block"], "left")
+    return sources, store.save(plan.select("rank", "block", "passes", "words", "part", "cut", "cut_words", "draws"), "plan")
+
+
+def _with_draws(rows: DataFrame, sources: DataFrame, plan: DataFrame, seed: int) -> DataFrame:
+    """rows(id, source, size, ...) -> with source_size, target, taken and shards, both from the draws of the row's block."""
+    met = _in_blocks(rows, sources, seed).join(_few(plan), ["rank", "block"]).withColumn("place", _place(F.col("id"), F.col("size"), seed))
+    none = F.lit(0).cast("long")
     last = (
-        F.when(F.col("_p_part") <= 0, F.lit(0).cast("long"))
-        .when(F.col("_p_part") >= F.col("_p_words"), F.col("_size"))
-        .when(F.col("_place") < F.col("_p_cut"), F.col("_size"))
-        .when(F.col("_place") == F.col("_p_cut"), F.least(F.col("_p_cut_words"), F.col("_size")))
-        .otherwise(F.lit(0).cast("long"))
+        F.when(F.col("part") >= F.col("words"), F.col("size"))
+        .when(F.col("place") < F.col("cut"), F.col("size"))
+        .when(F.col("place") == F.col("cut"), F.least(F.col("cut_words"), F.col("size")))
+        .otherwise(none)
     )
-    both = both.withColumn("_last", last).withColumn("_taken", F.col("_p_passes") * F.col("_size") + F.col("_last"))
-    used = F.filter(F.coalesce("_p_draws", F.expr("cast(array() as array<struct<epoch:bigint,shard:bigint>>)")), lambda d: (F.col("_size") > 0) & ((d.epoch < F.col("_p_passes")) | (F.col("_last") > 0)))
-    return both.withColumn("_shards", F.transform(used, lambda d: d.shard))
+    of_draw = F.transform(F.coalesce("draws", F.expr("cast(array() as array<struct<epoch:bigint,shard:bigint>>)")), lambda d: F.struct(d.shard.alias("shard"), F.when(d.epoch < F.col("passes"), F.col("size")).otherwise(F.col("last")).alias("words")))
+    met = met.withColumn("last", last).withColumn("used", F.filter(of_draw, lambda d: d.words > 0))
+    return met.withColumn("taken", F.aggregate("used", none, lambda a, d: a + d.words)).withColumn("shards", F.transform("used", lambda d: d.shard))
+
+
+def _sized(docs: DataFrame, id_col: str, text_col: str, source_col: str, *more: Column) -> DataFrame:
+    return docs.select(*more, F.col(id_col).alias("id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"))
 
 
 def assign(docs: DataFrame, depth: int = DEPTH, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
     """(doc_id, size, source_size, target, taken, shards) for every row."""
     store = Durable(docs.sparkSession, "mixing")
-    rows = store.save(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size")), "sizes")
-    plan = block_plan(rows, store, depth, seed)
-    done = _with_plan(rows.select("doc_id", F.col("doc_id").alias("_id"), F.col("source").alias("_source"), F.col("size").alias("_size")), plan, seed)
-    return done.select("doc_id", F.col("_size").alias("size"), F.col("_p_source_size").alias("source_size"), F.col("_p_target").alias("target"), F.col("_taken").alias("taken"), F.concat_ws(",", "_shards").alias("shards"))
+    rows = store.save(_sized(docs, id_col, text_col, source_col), "sizes")
+    done = _with_draws(rows, *block_plan(rows, store, depth, seed), seed)
+    return done.select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken", F.concat_ws(",", "shards").alias("shards"))
 
 
 def mix_documents(docs: DataFrame, depth: int = DEPTH, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
     """docs with size, source_size, target, taken and shards; documents the mix doesn't take stay with taken = 0."""
     store = Durable(docs.sparkSession, "mixing")
-    rows = store.save(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size")), "sizes")
-    plan = block_plan(rows, store, depth, seed)
+    plan = block_plan(store.save(_sized(docs, id_col, text_col, source_col), "sizes"), store, depth, seed)
     mine = ("size", "source_size", "target", "taken", "shards")
-    wide = docs.select(*(c for c in docs.columns if c not in mine), F.col(id_col).alias("_id"), F.col(source_col).alias("_source"), word_count(F.col(text_col)).alias("_size"))
-    done = _with_plan(wide, plan, seed)
-    made = (F.col("_size").alias("size"), F.col("_p_source_size").alias("source_size"), F.col("_p_target").alias("target"), F.col("_taken").alias("taken"), F.col("_shards").alias("shards"))
-    return done.select(*(c for c in docs.columns if c not in mine), *made)
+    whole = F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("caller")
+    done = _with_draws(_sized(docs, id_col, text_col, source_col, whole), *plan, seed)
+    return done.select(*(F.col(f"caller.`{c}`") for c in docs.columns if c not in mine), *mine)
+
+
+def shard_rows(mixed: DataFrame, depth: int = DEPTH, seed: int = SEED, id_col: str = "doc_id") -> DataFrame:
+    """One row for each drawn copy, with its number and shard (`copy`, `shard`), shuffled inside the shard by a keyed hash.
+
+    A shard is one partition; documents that the mix doesn't take have no row.
+    """
+    kept = [F.col(f"`{c}`") for c in mixed.columns if c not in ("shards", "copy", "shard")]
+    copies = mixed.select(*kept, F.posexplode("shards").alias("copy", "shard"))
+    return copies.repartition(1 << depth, "shard").sortWithinPartitions("shard", F.xxhash64(F.lit(seed + 11), id_col, "copy"))
 
 
-def shard_rows(mixed: DataFrame, seed: int = SEED, id_col: str = "doc_id") -> DataFrame:
-    """One row for each drawn copy, with its shard, shuffled inside the shard by a keyed hash."""
-    copies = mixed.select("*", F.posexplode("shards").alias("copy", "shard"))
-    return copies.repartition("shard").sortWithinPartitions("shard", F.xxhash64(F.lit(seed + 11), id_col, "copy"))
+def depth_for(words: int, shard_words: int = SHARD_WORDS) -> int:
+    """Depth of a tree whose shards hold about shard_words words each, DEPTH at least."""
+    return max(DEPTH, (max(1, words) // shard_words).bit_length())
