@@ -25,7 +25,8 @@ import re
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .text import arrow_map, blob
+from ..plans.durable import Durable
+from .text import arrow_map, blob, one_of_each_new, with_class
 
 CACHE_SCHEMA = "content string, version string, n_tokens long"
 #: Pieces remembered by one worker at most.
@@ -103,11 +104,16 @@ def _stored(spark: SparkSession, cache: str) -> DataFrame:
 def token_counts(docs: DataFrame, tokenizer: str, cache: str, limit: int = 1024, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_bytes, n_tokens, over_limit) for every row; cache is extended by the contents it lacked."""
     spark, version = docs.sparkSession, tokenizer_version(tokenizer)
-    data = blob(F.col(text_col))
+    store, data = Durable(spark, "token-contents"), blob(F.col(text_col))
     rows = docs.select(F.col(id_col).alias("doc_id"), F.sha2(data, 256).alias("content"), F.octet_length(data).cast("long").alias("n_bytes"), data.alias("data"))
+    held = store.save(rows.drop("data"), "rows")
+    contents = store.save(held.groupBy("content").agg(F.count("*").alias("rows")), "contents")
     known = _stored(spark, cache).filter(F.col("version") == version)
-    misses = rows.groupBy("content").agg(F.first("data").alias("data")).join(known.select("content"), "content", "left_anti")
+    new = store.save(contents.select("content").join(known.select("content"), "content", "left_anti"), "new")
+    misses = one_of_each_new(rows.select("content", "data"), new, "content")
     counted = arrow_map(misses, lambda content, found: (content, [version] * len(content), _counts(tokenizer, [d.decode("utf-8", "replace") for d in found])), CACHE_SCHEMA)
     counted.write.mode("append").parquet(cache)
     known = _stored(spark, cache).filter(F.col("version") == version).groupBy("content").agg(F.max("n_tokens").alias("n_tokens"))
-    return rows.select("doc_id", "content", "n_bytes").join(known, "content").select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
+    found = store.save(contents.join(known, "content"), "found")
+    met = with_class(held, found, "content", "rows", "doc_id")
+    return met.select("doc_id", "n_bytes", "class.n_tokens", (F.col("class.n_tokens") > limit).alias("over_limit"))
