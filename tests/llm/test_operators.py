@@ -6,6 +6,7 @@ import json
 import math
 import random
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -175,6 +176,10 @@ def brute_near_copies(texts):
     return {i: top(i) for i in sets if top(i) != i}
 
 
+def near_members(spark, rows):
+    return {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, rows)).collect() if r.doc_id != r.group_id}
+
+
 def test_near_copies_match_all_pairs(spark):
     rng, vocabulary, texts = random.Random(11), [f"w{i}" for i in range(3000)], []
     for i in range(60):
@@ -183,7 +188,7 @@ def test_near_copies_match_all_pairs(spark):
     given = [(r.doc_id, r.text or "") for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").collect()]
     for rows in (texts, given):
         want = brute_near_copies(rows)
-        assert want and {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, rows)).collect()} == want
+        assert want and near_members(spark, rows) == want
 
 
 def test_near_copies_of_large_families_match_all_pairs(spark):
@@ -197,17 +202,25 @@ def test_near_copies_of_large_families_match_all_pairs(spark):
     texts += [(5000 + k, " ".join(head + [rng.choice(vocabulary) for _ in range(rng.randrange(1, 30))])) for k in range(150)]
     want = brute_near_copies(texts)
     assert len(set(want.values())) >= 3
-    assert {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, texts)).collect()} == want
+    assert near_members(spark, texts) == want
 
 
 def test_near_copies_odd_rows(odd, empty):
     got = {r.doc_id: r.group_id for r in near_copies.near_copy_groups(odd).collect()}
     assert got[7] == 6 and got[4] == 3 and got[1] == got[2] == 0
+    odd = odd.withColumn("rec", F.lit(1)).withColumn("d", F.lit(2)).withColumn("gone rec", F.lit("z"))
     kept = near_copies.one_of_each(odd)
     assert kept.columns == odd.columns and {r.doc_id for r in kept.collect()} == {0, 3, 5, 6, 8, 9, 10}
     assert near_copies.near_copy_groups(empty).count() == 0 and near_copies.one_of_each(empty).count() == 0
 
 
+def test_near_copies_with_repeated_and_null_ids(spark):
+    a, b, c = (" ".join(f"{x}{i}" for i in range(60)) for x in "abc")
+    rows = [(1, a), (2, a + " end"), (2, b), (None, b + " end"), (None, c), (5, c), (5, c), (6, "x y z")]
+    kept = [(r.doc_id, r.text) for r in near_copies.one_of_each(docs_of(spark, rows)).collect()]
+    assert sorted(kept, key=str) == sorted([(1, a), (2, b), (5, c), (5, c), (6, "x y z")], key=str)
+
+
 # -- exact dedup -------------------------------------------------------------------------------------
 
 
@@ -322,6 +335,12 @@ def test_mixing_odd_rows(spark, empty):
     assert mixed.count() == 62 and [c for c in docs.columns if c != "size"] == mixed.columns[:9]
     copies = mixing.shard_rows(mixed).collect()
     assert {r.doc_id for r in copies} == {r.doc_id for r in mixed.collect() if r.taken}
+    assert Counter((r.doc_id, r.shard) for r in copies) == Counter((r.doc_id, s) for r in mixed.collect() for s in r.shards)
+    clash = docs.select("*", *(F.lit(1).alias(c) for c in ("_id", "_size", "_block", "id", "block", "rank", "place", "words", "caller", "at source.x")))
+    assert sorted((r.doc_id, r.taken) for r in mixing.mix_documents(clash).collect()) == sorted((r.doc_id, r.taken) for r in got)
+    other = mixing.assign(docs, seed=5).collect()  # another tree and permutation: other documents, the same targets
+    check_mix(other, lambda r: sources[r.doc_id])
+    assert sorted((r.doc_id, r.taken) for r in other) != sorted((r.doc_id, r.taken) for r in got)
     assert mixing.assign(empty).count() == 0 and mixing.mix_documents(empty).count() == 0
 
 
@@ -366,24 +385,55 @@ def brute_tiles(item, text, least):
 def test_items_without_an_id_are_matched(spark):
     bench = spark.createDataFrame([(None, "a b c d e f g h"), (4, "q r s t u v"), (9, "i j k l m n o p"), (None, "i j k l m n o p")], "item_id long, text string")
     docs = docs_of(spark, [(0, "x a b c d e f g h y"), (1, "i j k l m n o p"), (2, "other words")])
-    for limit in (1 << 20, 10):
-        got = {r.doc_id: (r.contaminated, r.item_id, r.coverage) for r in decontaminate.decontaminate(docs, bench, limit=limit).collect()}
-        assert got == {0: (True, None, 1.0), 1: (True, 9, 1.0), 2: (False, None, 0.0)}
+    got = {r.doc_id: (r.contaminated, r.item_id, r.coverage) for r in decontaminate.decontaminate(docs, bench).collect()}
+    assert got == {0: (True, None, 1.0), 1: (True, 9, 1.0), 2: (False, None, 0.0)}
     assert [r.doc_id for r in decontaminate.keep_uncontaminated(docs, bench).collect()] == [2]
 
 
-def test_tiles_cover_what_greedy_tiling_covers():
+def test_tiles_equal_greedy_tiling():
     rng = random.Random(2)
-    for _ in range(150):
-        item = np.array([rng.randrange(1, 6) for _ in range(rng.randrange(1, 40))], dtype=np.uint64)
-        text = np.array([rng.randrange(1, 6) for _ in range(rng.randrange(1, 60))], dtype=np.uint64)
-        if rng.random() < 0.5 and len(item) > 10:
-            text = np.concatenate([text[:10], item[6:], text[10:], item[:6]])
-        mine, theirs = decontaminate.tiles(item, text, 3), brute_tiles(item.tolist(), text.tolist(), 3)
-        for i, t, n in mine:
-            assert (item[i : i + n] == text[t : t + n]).all() and n >= 3
-        assert len({x for i, _, n in mine for x in range(i, i + n)}) == sum(n for *_, n in mine)
-        assert abs(sum(n for *_, n in mine) - sum(n for *_, n in theirs)) <= max(6, 0.35 * sum(n for *_, n in theirs))
+    for least in (1, 3, 5):
+        for _ in range(120):
+            item = np.array([rng.randrange(1, 6) for _ in range(rng.randrange(1, 40))], dtype=np.uint64)
+            text = np.array([rng.randrange(1, 6) for _ in range(rng.randrange(1, 60))], dtype=np.uint64)
+            if rng.random() < 0.5 and len(item) > 10:
+                text = np.concatenate([text[:10], item[6:], text[10:], item[:6]])
+            assert decontaminate.tiles(item, text, least) == brute_tiles(item.tolist(), text.tolist(), least)
+
+
+def test_tiles_of_one_repeated_word_are_quick():
+    began = time.time()
+    assert decontaminate.tiles(np.full(400, 7, dtype=np.uint64), np.full(20_000, 7, dtype=np.uint64)) == [(0, 0, 400)]
+    assert decontaminate.tiles(np.full(400, 7, dtype=np.uint64), np.r_[np.full(150, 7), 8, np.full(90, 7)].astype(np.uint64)) == [(0, 0, 150), (150, 151, 90)]
+    assert time.time() - began < 1
+
+
+def brute_leaks(docs, bench, least=5, coverage=0.5):
+    """{doc id: (contaminated, item)} by tiling every pair."""
+    made = {}
+    for i, t in docs:
+        text, best = decontaminate.word_ids(t or "").tolist(), []
+        for key, body in bench:
+            item = decontaminate.word_ids(body or "").tolist()
+            if item:
+                share = sum(n for *_, n in brute_tiles(item, text, min(least, len(item)))) / len(item)
+                best.append((-share, key is None, key))
+        share, _, key = min(best, default=(0, True, None))
+        made[i] = (-share >= coverage, key if -share >= coverage else None)
+    return made
+
+
+def test_leaks_equal_tiling_of_all_pairs(spark):
+    rng, w = random.Random(6), [f"w{i}" for i in range(12)]
+    bench = [(f"q{i}", " ".join(rng.choice(w) for _ in range(rng.randrange(1, 24)))) for i in range(40)] + [(None, "w1 w2 w3"), ("q99", ""), ("q98", None)]
+    docs = [(i, " ".join(rng.choice(w) for _ in range(rng.randrange(0, 30)))) for i in range(60)]
+    for i in range(60, 120):  # parts of an item, in another order
+        item = rng.choice(bench[:40])[1].split()
+        cut = rng.randrange(len(item) + 1)
+        docs.append((i, " ".join(item[cut:] + ["pad"] * rng.randrange(3) + item[: rng.randrange(cut + 1)])))
+    got = decontaminate.decontaminate(docs_of(spark, docs), spark.createDataFrame(bench, "item_id string, text string")).collect()
+    want = brute_leaks(docs, bench)
+    assert {r.doc_id: (r.contaminated, r.item_id if r.contaminated else None) for r in got} == want and 20 < sum(c for c, _ in want.values()) < 115
 
 
 def test_leaks_whole_and_reordered(spark, odd, empty):
@@ -393,8 +443,8 @@ def test_leaks_whole_and_reordered(spark, odd, empty):
     texts = [(1, "pad " * 40 + item.upper() + " pad" * 9), (2, "start " + " mid words here ".join(reversed(parts)) + " end"), (3, "one two three four five six only"), (4, "nothing at all"), (5, "a Tiny, item b"), (6, None), (7, "")]
     got = {r.doc_id: r for r in decontaminate.decontaminate(docs_of(spark, texts), bench).collect()}
     assert [i for i in got if got[i].contaminated] == [1, 2, 5] and got[1].item_id == 1 and got[1].coverage == 1.0 and got[2].coverage == 1.0
-    split = decontaminate.decontaminate(docs_of(spark, texts), bench, limit=10)
-    assert {r.doc_id: r.contaminated for r in split.collect()} == {i: got[i].contaminated for i in got}
+    clash = docs_of(spark, texts).withColumn("name", F.lit(1)).withColumn("seed", F.lit(1)).withColumn("leaked", F.lit(1))
+    assert sorted(r.doc_id for r in decontaminate.keep_uncontaminated(clash, bench).collect()) == [3, 4, 6, 7]
     assert decontaminate.keep_uncontaminated(docs_of(spark, texts), bench).columns == odd.columns
     assert decontaminate.decontaminate(empty, bench).count() == 0
     none = decontaminate.decontaminate(odd, bench.limit(0)).collect()
@@ -511,6 +561,23 @@ def test_ledger_grows_by_unseen_blobs(spark, odd, empty, tmp_path):
     assert secrets.scan(empty, ledger).count() == 0
 
 
+def test_only_new_versions_and_rules_are_scanned(spark, tmp_path):
+    ledger = f"file://{tmp_path}/versions"
+    rows = [(1, "a.py", 1, "token=abcdef1"), (2, "a.py", 2, "token=abcdef2"), (3, "b.py", 1, "token=abcdef1"), (4, "c.py", 1, None)]
+    df = lambda more: spark.createDataFrame(rows + more, "doc_id bigint, path string, version int, text string")
+    assert secrets.scan(df([]), ledger, also=("path", "version")).count() == 4
+    seen = {r.blob for r in spark.read.parquet(ledger).collect()}
+    assert len(seen) == 3
+    more = [(5, "a.py", 3, "token=abcdef3"), (6, "d.py", 1, "token=abcdef2")]
+    got = {(r.path, r.version): r.n_assign for r in secrets.scan(df(more), ledger, also=("path", "version")).collect()}
+    assert got == {("a.py", 1): 1, ("a.py", 2): 1, ("b.py", 1): 1, ("c.py", 1): 0, ("a.py", 3): 1, ("d.py", 1): 1}
+    after = [r.blob for r in spark.read.parquet(ledger).collect()]
+    assert len(after) == 4 and len(set(after) - seen) == 1  # one new blob was scanned, the known ones were not
+    rules = [*secrets.RULES, ("ticket", r"TICKET-[0-9]+", 0, 1)]
+    assert secrets.scan(df(more), ledger, rules=rules).count() == 6
+    assert spark.read.parquet(ledger).groupBy("rules").count().count() == 2 and spark.read.parquet(ledger).count() == 8
+
+
 # -- PII ---------------------------------------------------------------------------------------------
 
 PEOPLE = "Write to Ann.Lee7@mail3.example.com or ann.lee7@mail3.example.com; call +1 (017) 555-7713, ip 10.20.30.40. Card 4111 1111 1111 1111 or 4111111111111111. Mrs. Anna Novak met Mr Karl Braun; id 123-45-6789."
