@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.durable import Durable
-from .text import arrow_map, blob, bound_batches, digest, free_name, with_class
+from .text import arrow_map, blob, bound_batches, digest, free_name, powers, with_class
 
 MIN_MATCH, COVERAGE = 5, 0.5
 #: Binary digits of the number of bits in the seed table: 32 bits for a seed, within these bounds (16 MB at most).
@@ -63,27 +63,15 @@ def word_ids(text: str) -> np.ndarray:
     return np.fromiter(map(_IDS.__getitem__, found), dtype=np.uint64, count=len(found))
 
 
-_POWERS = {base: np.array([1], dtype=np.uint64) for base in (_BASE, _INVERSE)}
-
-
-def _powers(base: int, n: int) -> np.ndarray:
-    """base^0 .. base^n modulo 2^64, from a table that grows with the longest text."""
-    if len(_POWERS[base]) <= n:
-        made = np.full(max(n + 1, 2 * len(_POWERS[base])), base, dtype=np.uint64)
-        made[0] = 1
-        _POWERS[base] = np.cumprod(made, dtype=np.uint64)
-    return _POWERS[base][: n + 1]
-
-
 def _running(ids: np.ndarray) -> np.ndarray:
     """Sums of id * base^place, from which the hash of any run follows."""
-    return np.concatenate((np.zeros(1, dtype=np.uint64), np.cumsum(ids * _powers(_BASE, len(ids))[: len(ids)], dtype=np.uint64)))
+    return np.concatenate((np.zeros(1, dtype=np.uint64), np.cumsum(ids * powers(_BASE, len(ids))[: len(ids)], dtype=np.uint64)))
 
 
 def _runs(running: np.ndarray, size: int) -> np.ndarray:
     """Hash of every run of `size` ids, the same wherever the run starts."""
     n = len(running) - size
-    return (running[size:] - running[:n]) * _powers(_INVERSE, n)[:n] if n > 0 else np.zeros(0, dtype=np.uint64)
+    return (running[size:] - running[:n]) * powers(_INVERSE, n)[:n] if n > 0 else np.zeros(0, dtype=np.uint64)
 
 
 def seeds(ids: np.ndarray, size: int) -> np.ndarray:

@@ -6,14 +6,14 @@ at least 0.8, and a group is a connected set of linked texts.  Groups are exact.
 First every text meets the least of those that SimHash's covering tables join it to (fingerprints of the same
 shingles, radius 2), which finds most copies.  A pair at 0.8 may differ in more bits than covering tables
 can reach, so a prefix filter finds the rest: a set of n shingles lies within 0.8 of another only if all but
-n // 5 of its shingles are in both, so in any one order of all shingles two such sets share one of their
-first n // 5 + 1.  The order puts shingles common in a sample last, which keeps buckets small; it has no
-influence on the result.
+n // 5 of its shingles are in both, so in any one order of all shingles two such sets share l of their
+first n // 5 + l, for any l; here l = 1 + n // 20.  The order puts shingles common in a sample last, which keeps
+buckets small; it has no influence on the result.
 
 A bucket holds the texts that share such a shingle.  Texts already in one group needn't be compared again:
 in a few turns each text meets one text of another group, the one it shares most buckets with, and buckets
-whose texts have become one group are done.  The last turn compares all pairs of different groups in the
-buckets left, but those whose set sizes or parities of shingle classes rule out the similarity.
+whose texts have become one group are done.  The last turn compares all pairs of different groups that share as
+many buckets as they must, but those whose set sizes or parities of shingle classes rule out the similarity.
 
 Defined cases: null texts count as empty; texts without words are alike; fewer than five words make
 one shingle; ids may be null or repeat, every row is judged by its own text; rows equal in id and text stand
@@ -27,53 +27,37 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.durable import Durable
 from .graph import components
 from .simhash import links
-from .text import arrow_map, blob, bound_batches, digest, free_name, words
+from .text import arrow_map, blob, bound_batches, digest, free_name, mixed, word_hashes
 
 SHINGLE_WORDS, SIMILARITY, RADIUS = 5, 0.8, 2
 #: Texts, about, from which common shingles are counted; the least count, and the most shingles, to be called common.
 SAMPLE, SEEN, COMMON = 4096, 3, 100_000
-#: Parity classes: powers of 2, and multiples of 64; the fewer go along with bucket rows.
-PARITIES, FEW_PARITIES = 1024, 256
+#: Parity classes of a sketch: the power of 2 from the set's size on, this at least; and of the one that goes along with bucket rows.
+LEAST_PARITIES, FEW_PARITIES = 256, 512
 #: Turns in which a text meets one other, before all pairs left are compared.
 TURNS = 2
 #: Rows of a table of ids or digests that may be broadcast, 24 bytes each.
 BROADCAST_ROWS = 300_000
-#: Words whose hashes a worker remembers at most.
-REMEMBERED = 500_000
 _EMPTY = np.array([0], dtype=np.int64)  # the bucket of texts without words
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 
 
-class _Ids(dict):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= REMEMBERED:
-            self.clear()
-        made = self[word] = xxhash.xxh64_intdigest(word, 7)
-        return made
-
-
-_IDS = _Ids()
-
-
 def _hashes(data: bytes, k: int = SHINGLE_WORDS) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the shingles: polynomials of word hashes, mixed."""
-    w = words(data)
-    ids = np.fromiter(map(_IDS.__getitem__, w), dtype=np.uint64, count=len(w))
+    ids = word_hashes(data)
     k = min(k, len(ids))
     if not k:
         return np.zeros(0, dtype=np.int64)
     h = np.full(len(ids) - k + 1, np.uint64(k))
     for i in range(k):
         h = h * _BASE + ids[i : len(ids) - k + 1 + i]
-    h = (h ^ (h >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
-    return np.unique((h ^ (h >> np.uint64(29))).view(np.int64))
+    return np.unique(mixed(h).view(np.int64))
 
 
 def shingle_set(data: bytes) -> list[int]:
@@ -81,8 +65,9 @@ def shingle_set(data: bytes) -> list[int]:
     return _hashes(data).tolist()
 
 
-def parities(found: np.ndarray, classes: int = PARITIES) -> np.ndarray:
-    """Whether each class of shingles has an odd number in the set, 64 to a word."""
+def parities(found: np.ndarray, classes: int | None = None) -> np.ndarray:
+    """Whether each class of shingles has an odd number in the set, 64 to a word.  Halves of a sketch add up to the next smaller one."""
+    classes = classes or max(LEAST_PARITIES, 1 << (len(found) - 1).bit_length() if len(found) else 0)
     odd = np.bincount(found & (classes - 1), minlength=classes) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view("<i8")
 
@@ -97,14 +82,14 @@ def fingerprint(found: np.ndarray) -> int:
 
 
 def prefix(found: np.ndarray, common: np.ndarray, rank: np.ndarray) -> np.ndarray:
-    """The first n // 5 + 1 of n sorted shingles: rare ones by hash, then common ones (sorted, with their ranks) by rank."""
+    """The first n // 5 + 1 + n // 20 of n sorted shingles: rare ones by hash, then common ones (sorted, with their ranks) by rank."""
     if not len(found):
         return _EMPTY
     place = np.zeros(len(found), dtype=np.int64)
     if len(common):
         at = np.minimum(np.searchsorted(common, found), len(common) - 1)
         place = np.where(common[at] == found, rank[at], 0)
-    return found[np.argsort(place, kind="stable")[: len(found) // 5 + 1]]
+    return found[np.argsort(place, kind="stable")[: len(found) // 5 + 1 + len(found) // 20]]
 
 
 def alike(a: np.ndarray, b: np.ndarray) -> bool:
@@ -166,17 +151,25 @@ def similar(pairs: DataFrame, nodes: DataFrame, texts: DataFrame, store: Durable
     return store.save(both.select("a", "b", "x", "y").mapInArrow(test, "a long, b long"), f"{name}-linked")
 
 
-def _fits(classes: int, kind: str) -> str:
+_SIZES = "5 * na >= 4 * nb and 5 * nb >= 4 * na"
+
+
+def _few_fit() -> str:
     """Sizes na, nb and parities of both sides allow the similarity: every class whose parities differ holds a
     shingle of one set only, of which there are at most a ninth of both sizes."""
-    differ = " + ".join(f"bit_count({kind}a[{i}] ^ {kind}b[{i}])" for i in range(classes // 64))
-    return f"5 * na >= 4 * nb and 5 * nb >= 4 * na and 9 * ({differ}) <= na + nb"
+    differ = " + ".join(f"bit_count(fewa[{i}] ^ fewb[{i}])" for i in range(FEW_PARITIES // 64))
+    return f"{_SIZES} and 9 * ({differ}) <= na + nb"
 
 
 def _passing(pairs: DataFrame, sketches: DataFrame) -> DataFrame:
-    """Pairs (a, b) that may be alike by all parities."""
+    """Pairs (a, b) that may be alike by all parities; sizes so near differ by one halving of a sketch at most."""
     side = lambda c: sketches.select(F.col("row").alias(c), F.col("n").alias(f"n{c}"), F.col("odd").alias(f"odd{c}"))
-    return pairs.join(side("a"), "a").join(side("b"), "b").filter(_fits(PARITIES, "odd")).select("a", "b")
+    xor = lambda x, y: x.bitwiseXOR(y)
+    met = pairs.join(side("a"), "a").join(side("b"), "b").filter(_SIZES)
+    words = F.least(F.size("odda"), F.size("oddb"))
+    folded = lambda c: F.when(F.size(c) > words, F.zip_with(F.slice(c, 1, words), F.slice(c, words + 1, words), xor)).otherwise(F.col(c))
+    differ = F.aggregate(F.zip_with(folded("odda"), folded("oddb"), xor), F.lit(0), lambda t, w: t + F.bit_count(w))
+    return met.filter(9 * differ <= F.col("na") + F.col("nb")).select("a", "b")
 
 
 def _ordered(a: str, b: str) -> list:
@@ -194,11 +187,12 @@ def with_one(open_: DataFrame, tested: DataFrame, turn: int) -> DataFrame:
 
 
 def with_all(open_: DataFrame, sketches: DataFrame, tested: DataFrame) -> DataFrame:
-    """(a, b), a < b, that may be alike: all rows of a bucket in different groups."""
+    """(a, b), a < b, that may be alike: all rows in different groups that share as many buckets as alike sets do."""
     sized = open_.join(sketches.select("row", "n", "few"), "row")
     side = lambda c: sized.select("token", F.col("row").alias(c), F.col("root").alias(f"r{c}"), F.col("n").alias(f"n{c}"), F.col("few").alias(f"few{c}"))
-    pairs = side("a").join(side("b"), "token").filter(f"a < b and ra <> rb and {_fits(FEW_PARITIES, 'few')}").select("a", "b").distinct()
-    return pairs.join(tested, ["a", "b"], "left_anti")
+    met = side("a").join(side("b"), "token").filter(f"a < b and ra <> rb and {_few_fit()}")
+    shared = met.groupBy("a", "b").agg(F.count("*").alias("shared"), F.min(F.least("na", "nb")).alias("n"))
+    return shared.filter("shared > n div 20").select("a", "b").join(tested, ["a", "b"], "left_anti")
 
 
 class _Groups:

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -20,6 +21,39 @@ def words(data: bytes) -> list[bytes]:
     return data.lower().split()
 
 
+_SPACE = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
+#: A number for each byte, and a base for places; both odd multiples of fixed values, mixed below.
+_BYTE = (np.arange(1, 257, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95)) ^ np.uint64(0x2545F4914F6CDD1D)
+_BASE = 0x9E3779B97F4A7C15
+_POWERS = {b: np.array([1], dtype=np.uint64) for b in (_BASE, pow(_BASE, -1, 1 << 64))}
+
+
+def powers(base: int, n: int) -> np.ndarray:
+    """base^0 .. base^n modulo 2^64, from a table that grows with the longest text."""
+    if len(_POWERS.setdefault(base, np.array([1], dtype=np.uint64))) <= n:
+        made = np.full(max(n + 1, 2 * len(_POWERS[base])), base, dtype=np.uint64)
+        made[0] = 1
+        _POWERS[base] = np.cumprod(made, dtype=np.uint64)
+    return _POWERS[base][: n + 1]
+
+
+def mixed(h: np.ndarray) -> np.ndarray:
+    """64-bit hashes whose bits all depend on all bits."""
+    h = (h ^ (h >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
+    h = (h ^ (h >> np.uint64(33))) * np.uint64(0xC4CEB9FE1A85EC53)
+    return h ^ (h >> np.uint64(33))
+
+
+def word_hashes(data: bytes) -> np.ndarray:
+    """64-bit hashes of the words() of a text, in order, without making the words."""
+    b = np.frombuffer(data.lower(), dtype=np.uint8)
+    edges = np.flatnonzero(np.diff(np.concatenate(([True], _SPACE[b], [True]))))
+    starts, ends = edges[::2], edges[1::2]
+    sums = np.concatenate((np.zeros(1, dtype=np.uint64), np.cumsum(_BYTE[b] * powers(_BASE, len(b))[: len(b)], dtype=np.uint64)))
+    inverse = powers(pow(_BASE, -1, 1 << 64), len(b))
+    return mixed((sums[ends] - sums[starts]) * inverse[starts] + (ends - starts).astype(np.uint64))
+
+
 def blob(text: Column) -> Column:
     """UTF-8 bytes of a text; null counts as empty."""
     return F.coalesce(text.cast("string"), F.lit("")).cast("binary")
