@@ -1,29 +1,31 @@
-"""Class-based bigram language model with classes from exchange clustering.
+"""Class-based bigram language model: every word of the learning documents has a class of its own bigrams.
 
-Training counts every token of the learning documents.  The most frequent words are clustering units
-of their own; every other word, seen or not, belongs to one of POOLS units by the end of its bytes, so
-each word has a class.  Unit bigrams of all learning documents are counted (at most UNITS+POOLS+1
-squared pairs), and exchange clustering moves units between classes while the class-bigram likelihood
-grows.  A token's probability is
+Training counts every token of the learning documents.  Exchange clustering moves the UNITS most frequent words
+between classes while the class-bigram likelihood of the corpus grows; all other words are one unit that stays
+where it is.  Then every other word of the vocabulary, however rare, is put into the class in which its own
+neighbours are likeliest, by one pass over all bigrams.  With these classes all learning tokens are read again
+for the class bigrams.  A token's probability is
 
-    MIX * P(class | previous class) * (c + 0.1) / (N_class + 0.1 (V_class + 1)) + (1 - MIX) * base
+    MIX * P(class | previous class) * (c + 0.1) / (N_class + 0.1 V_class) + (1 - MIX) * (c + 0.1) / (N + 0.1 (V + 1))
 
-with base = (c + 0.1) / (N + 0.1 (V + 1)); texts begin and end with the end token.  Both terms share
-c + 0.1, so a document's score needs, beside its classes, one sum of log10(c + 0.1).  Counts of up to
-DICTIONARY frequent words go to the tasks as a table of bounded size; all rarer tokens meet the full
-vocabulary in a join.
+where words never seen form one more class, which comes as often as words seen once do; for every previous
+class the probabilities of all words seen and of one unseen word sum to 1.  Texts begin and end with the end token.
+
+What is gathered grows with the corpus: the table of words with their classes and counts is stored, and tokens
+beyond a dictionary of the DICTIONARY most frequent words, whose counts and classes tasks hold, meet it in a join.
+A text's classes are then stored, one byte a token, so texts aren't read again.
 
 Defined cases: null texts count as empty; an empty text is its end token; without learning documents
-every count is 0 and scores are finite; repeated rows are scored alike and learned from each time; an
-empty table gives an empty result; further columns are ignored.
+every count is 0 and scores are finite; repeated rows are scored alike and learned from each time; rows with a
+null id are learned from; an empty table gives an empty result; further columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
 
-import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -31,23 +33,16 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.durable import Durable
-from .text import BATCH_ROWS, blob, words
+from .text import arrow_map, blob, bound_batches, words
 
-UNITS, POOLS, CLASSES, SWEEPS, MIX, ADD = 700, 128, 48, 8, 0.95, 0.1
-#: Words, of at most WORD_BYTES bytes each, whose counts are sent to every task.
+UNITS, CLASSES, SWEEPS, MIX, ADD = 2000, 48, 6, 0.95, 0.1
+#: Words, of at most WORD_BYTES bytes each, whose counts and classes are sent to every task.
 DICTIONARY, WORD_BYTES = 150_000, 64
-#: Distinct words a counting task holds before it hands them on.
+#: Distinct words, or words with their neighbours' classes, that a counting task holds before it hands them on.
 HELD = 300_000
+#: Weight of a class's share of all tokens in its share after another class.
+BACKOFF = 5.0
 END = b""  # no word is empty
-_SUFFIX = 3
-
-
-def pool_of(word: bytes) -> int:
-    return zlib.crc32(word[-_SUFFIX:]) % POOLS
-
-
-def _pool_column(word: Column) -> Column:
-    return F.crc32(F.substring(word, -_SUFFIX, _SUFFIX)) % POOLS
 
 
 def learning(doc_id: Column) -> Column:
@@ -55,11 +50,6 @@ def learning(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string")) % 10 != 0, F.lit(True))
 
 
-def _bounded(df: DataFrame) -> None:
-    if int(df.sparkSession.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
-        df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
-
-
 def vocabulary(texts: DataFrame) -> DataFrame:
     """texts(data) -> (word, n), the end token included."""
 
@@ -102,12 +92,14 @@ def _x_log_x(a: np.ndarray) -> np.ndarray:
 
 
 def exchange(pairs: np.ndarray, n_classes: int = CLASSES, sweeps: int = SWEEPS) -> np.ndarray:
-    """Classes of units from their bigram counts; unit 0 (the end token) keeps class 0 to itself."""
+    """Classes of units from their bigram counts.  Unit 0, the end token, keeps class 0 and the last unit, all words
+    that aren't units, the last class, each to itself."""
     units = len(pairs)
     size = pairs.sum(1) + pairs.sum(0)
-    order = 1 + np.argsort(-size[1:], kind="stable")
+    order = 1 + np.argsort(-size[1:-1], kind="stable")
     at = np.zeros(units, dtype=np.int64)
-    at[order] = 1 + np.arange(units - 1) % max(1, n_classes - 1)
+    at[order] = 1 + np.arange(units - 2) % max(1, n_classes - 2)
+    at[-1] = n_classes - 1
     member = np.zeros((units, n_classes))
     member[np.arange(units), at] = 1
     grid = member.T @ pairs @ member
@@ -130,7 +122,7 @@ def exchange(pairs: np.ndarray, n_classes: int = CLASSES, sweeps: int = SWEEPS)
             diagonal = grid[every, every]
             gain += _x_log_x(diagonal + right + left + own) - _x_log_x(diagonal + right) - _x_log_x(diagonal + left) + _x_log_x(diagonal)
             gain -= _x_log_x(rows + out_u[u]) - _x_log_x(rows) + _x_log_x(cols + in_u[u]) - _x_log_x(cols)
-            gain[0] = -np.inf
+            gain[0] = gain[-1] = -np.inf
             new = int(gain.argmax())
             if gain[new] <= gain[old] + 1e-9:
                 new = int(old)
@@ -144,156 +136,267 @@ def exchange(pairs: np.ndarray, n_classes: int = CLASSES, sweeps: int = SWEEPS)
     return at
 
 
-@dataclass
-class Model:
-    """What a scoring task needs; its size is bounded by DICTIONARY, UNITS, POOLS and CLASSES."""
-
-    index: dict[bytes, int]  # word -> place in counts
-    counts: np.ndarray
-    unit: np.ndarray  # of a place
-    unit_class: np.ndarray
-    local: np.ndarray  # [previous class, class]: log10 of a token's probability without the factor c + 0.1
-    train_tokens: int
-    base_log: float  # log10 of the base's denominator
+def unit_pairs(texts: DataFrame, table: dict[bytes, int], units: int) -> np.ndarray:
+    """Bigram counts of units over all texts; the last unit is any word that isn't in the table."""
 
-    def __post_init__(self):
-        self.log_counts = np.log10(self.counts + ADD)
-        self.pool_class = self.unit_class[len(self.unit_class) - POOLS :]
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.zeros(units * units, dtype=np.int32)
 
-    def places(self, text_words: list[bytes]) -> tuple[np.ndarray, list[bytes]]:
-        """Places of the words, -1 - pool for those that the dictionary lacks, and these."""
-        get, rare, out = self.index.get, [], []
-        for w in text_words:
-            i = get(w)
-            if i is None:
-                rare.append(w)
-                i = -1 - pool_of(w)
-            out.append(i)
-        return np.array(out, dtype=np.int64), rare
+        def out() -> pa.RecordBatch:
+            found = np.flatnonzero(held)
+            return pa.RecordBatch.from_pydict({"pair": pa.array(found, pa.int64()), "n": pa.array(held[found].astype(np.int64), pa.int64())})
 
-    def classes(self, places: np.ndarray) -> np.ndarray:
-        known = self.unit_class[self.unit[np.maximum(places, 0)]] if len(self.unit) else np.zeros(len(places), dtype=np.int64)
-        return np.where(places >= 0, known, self.pool_class[np.clip(-1 - places, 0, POOLS - 1)])
+        done = 0
+        for batch in batches:
+            for data in batch.column(0).to_pylist():
+                w = words(data)
+                seq = np.zeros(len(w) + 2, dtype=np.int64)
+                seq[1:-1] = np.fromiter(map(table.get, w, repeat(units - 1)), dtype=np.int64, count=len(w))
+                np.add.at(held, seq[:-1] * units + seq[1:], 1)
+                done += len(seq)
+                if done > 1 << 30:  # counts stay within their type
+                    yield out()
+                    held[:], done = 0, 0
+        yield out()
 
+    summed = texts.mapInArrow(count, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n"))
+    got = summed.toArrow()  # at most units squared rows
+    pairs = np.zeros(units * units)
+    pairs[got.column("pair").to_numpy()] = got.column("n").to_numpy()
+    return pairs.reshape(units, units)
 
-def unit_table(dictionary: list[tuple[bytes, int]], units: int = UNITS) -> dict[bytes, int]:
-    """Units of frequent words: 0 is the end token."""
-    own = [w for w, _ in dictionary if w != END][:units]
-    return {END: 0} | {w: i + 1 for i, w in enumerate(own)}
 
+def neighbour_counts(texts: DataFrame, table: dict[bytes, int], unit_class: np.ndarray) -> DataFrame:
+    """(word, around, n) of all words that aren't units: how often they stand between words of two classes,
+    one of which at least is a unit.
 
-def unit_pairs(texts: DataFrame, table: dict[bytes, int], units: int) -> np.ndarray:
-    """Bigram counts of units over all texts."""
-    total, first_pool = units, units - POOLS
+    around = class before * classes + class after; the last class stands for words that aren't units.
+    """
+    classes, other = int(unit_class[-1]) + 1, len(unit_class) - 1
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = np.zeros(total * total, dtype=np.int64)
-        suffix: dict[bytes, int] = {}
+        held: Counter = Counter()
+
+        def out() -> pa.RecordBatch:
+            keys = list(held)
+            arrays = [pa.array([w for w, _ in keys], pa.binary()), pa.array([c for _, c in keys], pa.int32()), pa.array(list(held.values()), pa.int64())]
+            return pa.RecordBatch.from_arrays(arrays, names=["word", "around", "n"])
+
         for batch in batches:
             for data in batch.column(0).to_pylist():
-                seq = [0]
-                for w in words(data):
-                    u = table.get(w)
-                    if u is None:
-                        u = suffix.get(w[-_SUFFIX:])
-                        if u is None:
-                            u = suffix[w[-_SUFFIX:]] = first_pool + pool_of(w)
-                            if len(suffix) > HELD:
-                                suffix.clear()
-                    seq.append(u)
-                seq.append(0)
-                codes = np.array(seq, dtype=np.int64)
-                codes = codes[:-1] * total + codes[1:]
-                if len(codes) > 4096:
-                    held += np.bincount(codes, minlength=total * total)
+                w = words(data)
+                seq = np.zeros(len(w) + 2, dtype=np.int64)
+                seq[1:-1] = np.fromiter(map(table.get, w, repeat(other)), dtype=np.int64, count=len(w))
+                c = unit_class[seq]
+                at = np.flatnonzero(seq == other)
+                around = c[at - 1] * classes + c[at + 1]
+                told = around < classes * classes - 1  # a neighbour is a unit
+                at, around = at[told], around[told]
+                held.update(zip(map(w.__getitem__, (at - 1).tolist()), around.tolist(), strict=True))
+                if len(held) >= HELD:
+                    yield out()
+                    held.clear()
+        yield out()
+
+    return texts.mapInArrow(count, "word binary, around int, n long")
+
+
+def likelihoods(grid: np.ndarray) -> np.ndarray:
+    """[around, class]: log-likelihood of a class between two classes; neighbours in the last class tell nothing."""
+    classes = len(grid)
+    after = np.log((grid + 0.5) / (grid.sum(1, keepdims=True) + 0.5 * classes))  # [class, next]
+    size = grid.sum(1) + 1.0
+    before = np.log((grid + 0.5) / (grid.sum(0, keepdims=True) + 0.5 * classes))  # [previous, class], per token of the class
+    made = np.zeros((classes, classes, classes))
+    made[: classes - 1] += before[: classes - 1, None, :]
+    made[:, : classes - 1] += after.T[None, : classes - 1, :]
+    made[:, :, 0] = made[:, :, -1] = -np.inf  # the end token and the pseudo class take no words
+    made[:, :, size <= 1.0] = -np.inf
+    return made.reshape(classes * classes, classes)
+
+
+#: Class of words whose neighbours tell nothing.
+NEUTRAL = 1
+
+
+def insert_words(counts: DataFrame, scores: np.ndarray) -> DataFrame:
+    """neighbour_counts -> (word, class): the class in which a word's neighbours are likeliest.
+
+    Rows of a word come one after the other, so a task holds one batch and one word's sums.
+    """
+    shared = counts.sparkSession.sparkContext.broadcast(np.nan_to_num(scores, neginf=-1e9))
+
+    def best(names: list[bytes], sums: list[np.ndarray]) -> pa.RecordBatch:
+        at = [int(s.argmax()) if s.max() > -1e8 else NEUTRAL for s in sums]
+        return pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.array(at, pa.int32())], names=["word", "class"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table, last, total = shared.value, None, None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            names = batch.column(0).to_pylist()
+            n = batch.column(2).to_numpy()
+            starts = [0] + [i for i in range(1, len(names)) if names[i] != names[i - 1]]
+            sums = np.add.reduceat(table[batch.column(1).to_numpy()] * n[:, None], starts, axis=0)
+            keys = [names[i] for i in starts]
+            if last is not None:
+                if keys[0] == last:
+                    sums[0] += total
                 else:
-                    np.add.at(held, codes, 1)
-        found = np.flatnonzero(held)
-        yield pa.RecordBatch.from_pydict({"pair": pa.array(found, pa.int64()), "n": pa.array(held[found], pa.int64())})
+                    yield best([last], [total])
+            yield best(keys[:-1], list(sums[:-1]))
+            last, total = keys[-1], sums[-1].copy()
+        if last is not None:
+            yield best([last], [total])
 
-    summed = texts.mapInArrow(count, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n"))
-    got = summed.toArrow()  # at most units squared rows
-    pairs = np.zeros(total * total)
-    pairs[got.column("pair").to_numpy()] = got.column("n").to_numpy()
-    return pairs.reshape(total, total)
+    together = counts.repartition("word").sortWithinPartitions("word")
+    return together.mapInArrow(run, "word binary, class int")
 
 
-def learn(texts: DataFrame, vocab: DataFrame, most: int = DICTIONARY, units: int = UNITS, classes: int = CLASSES) -> Model:
-    """texts(data) of the learning documents and their stored vocabulary."""
-    whole = vocab.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
-    dictionary = frequent(vocab, most)
-    table = unit_table(dictionary, units)
-    total = len(table) + POOLS
-    pairs = unit_pairs(texts, table, total)
-    unit_class = exchange(pairs, classes)
-    member = np.zeros((total, classes))
-    member[np.arange(total), unit_class] = 1
-    grid = member.T @ pairs @ member
-    # tokens and types of units: pools hold all words that aren't units
-    tokens, types = np.zeros(total), np.zeros(total)
-    for r in vocab.groupBy(_pool_column(F.col("word")).alias("p")).agg(F.sum("n").alias("n"), F.count("*").alias("v")).collect():  # POOLS rows
-        tokens[len(table) + r.p], types[len(table) + r.p] = r.n, r.v
-    for w, n in dictionary:
-        if w in table:
-            tokens[table[w]], types[table[w]] = n, 1
-            tokens[len(table) + pool_of(w)] -= n
-            types[len(table) + pool_of(w)] -= 1
-    n_class, v_class = member.T @ tokens, member.T @ types
-    smooth = 0.5
-    step = (grid + smooth) / (grid.sum(1, keepdims=True) + smooth * classes)
-    base = whole.n + ADD * (whole.v + 1)
-    local = np.log10(MIX * step / (n_class + ADD * (v_class + 1)) + (1 - MIX) / base)
-    first_pool = len(table)
-    unit = np.array([table.get(w, first_pool + pool_of(w)) for w, _ in dictionary], dtype=np.int64)
-    return Model({w: i for i, (w, _) in enumerate(dictionary)}, np.array([n for _, n in dictionary], dtype=float), unit, unit_class, local, int(whole.n), float(np.log10(base)))
-
-
-LOCAL = "row long, doc_id {id}, held_out boolean, n_tokens long, n_known long, s_known double, s_local double, rare array<binary>"
-
-
-def local_sums(docs: DataFrame, model: Model) -> DataFrame:
-    """docs(doc_id, held_out, data) -> LOCAL: all but the counts of rare words."""
+@dataclass
+class Dictionary:
+    """The most frequent words with their counts and classes; at most DICTIONARY of WORD_BYTES bytes."""
+
+    index: dict[bytes, int]
+    counts: np.ndarray
+    at: np.ndarray
+
+    def __post_init__(self):
+        self.log_counts = np.log10(self.counts + ADD)
+
+
+#: Class byte of a token that the dictionary lacks, until its word is looked up.
+OPEN = 255
+
+CODED = "row long, doc_id {id}, held_out boolean, n_tokens long, n_known long, s double, classes binary, places array<int>, rare array<binary>"
+
+
+def coded(docs: DataFrame, dictionary: Dictionary) -> DataFrame:
+    """docs(doc_id, held_out, data) -> CODED: classes and log counts of the dictionary's words; the other words with their places."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
-    schema = LOCAL.format(id=dict(docs.dtypes)["doc_id"])
+    schema = CODED.format(id=dict(docs.dtypes)["doc_id"])
     arrow = to_arrow_schema(docs.sparkSession.createDataFrame([], schema).schema)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = docs.sparkSession.sparkContext.broadcast(dictionary)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        m, row = shared.value, TaskContext.get().partitionId() << 36
+        d, row = shared.value, TaskContext.get().partitionId() << 36
+        at = np.append(d.at, OPEN).astype(np.uint8)
         for batch in batches:
             made: list[tuple] = []
             for doc_id, held_out, data in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 w = words(data)
                 w.append(END)
-                places, rare = m.places(w)
+                places = np.fromiter(map(d.index.get, w, repeat(-1)), dtype=np.int64, count=len(w))
+                open_ = np.flatnonzero(places < 0)
                 known = places[places >= 0]
-                classes = m.classes(places)
-                if w[-1] == END:
-                    classes[-1] = 0
-                s_local = float(m.local[np.r_[0, classes[:-1]], classes].sum())
-                made.append((row, doc_id, held_out, len(w), len(known), float(m.log_counts[known].sum()), s_local, rare))
+                made.append((row, doc_id, held_out, len(w), len(known), float(d.log_counts[known].sum()), at[places].tobytes(), open_.astype(np.int32), [w[i] for i in open_.tolist()]))
                 row += 1
             yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*made, strict=True) if made else [[]] * len(arrow), arrow, strict=True)], schema=arrow)
 
     return docs.mapInArrow(run, schema)
 
 
+def filled(mine: DataFrame, vocab: DataFrame, unseen: int) -> DataFrame:
+    """CODED and vocabulary(word, n, class) -> (row, doc_id, held_out, n_tokens, n_known, s, classes) with the looked-up words put in."""
+    rare = mine.select("row", F.explode(F.arrays_zip("places", "rare")).alias("t")).select("row", F.col("t.places").alias("place"), F.col("t.rare").alias("word"))
+    met = rare.join(vocab, "word", "left").select("row", "place", F.coalesce("class", F.lit(unseen)).alias("c"), F.coalesce("n", F.lit(0)).alias("n"))
+    per_row = met.groupBy("row").agg(F.collect_list(F.struct("place", "c")).alias("found"), F.sum(F.log10(F.col("n") + F.lit(ADD))).alias("s_rare"), F.sum(F.when(F.col("n") > 0, 1).otherwise(0)).alias("k_rare"))  # rare words of one text
+    both = mine.drop("places", "rare").join(per_row, "row", "left")
+    both = both.select("row", "doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("k_rare", F.lit(0))).alias("n_known"), (F.col("s") + F.coalesce("s_rare", F.lit(0.0))).alias("s"), "classes", F.col("found.place").alias("places"), F.col("found.c").alias("new"))
+
+    def put(row, doc_id, held_out, n_tokens, n_known, s, classes, places, new):
+        made = []
+        for c, p, v in zip(classes, places, new, strict=True):
+            if p:
+                seq = np.frombuffer(c, dtype=np.uint8).copy()
+                seq[p] = v
+                c = seq.tobytes()
+            made.append(c)
+        return row, doc_id, held_out, n_tokens, n_known, s, made
+
+    return arrow_map(both, put, f"row long, doc_id {dict(mine.dtypes)['doc_id']}, held_out boolean, n_tokens long, n_known long, s double, classes binary")
+
+
+def class_bigrams(texts: DataFrame, classes: int) -> np.ndarray:
+    """Counts of class pairs of all learning texts(held_out, classes), from the end token to the end token."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.zeros(classes * classes, dtype=np.int64)
+        for batch in batches:
+            for c in batch.column(0).to_pylist():
+                seq = np.concatenate(([0], np.frombuffer(c, dtype=np.uint8))).astype(np.int64)
+                held += np.bincount(seq[:-1] * classes + seq[1:], minlength=classes * classes)
+        found = np.flatnonzero(held)
+        yield pa.RecordBatch.from_pydict({"pair": pa.array(found, pa.int64()), "n": pa.array(held[found], pa.int64())})
+
+    got = texts.filter(~F.col("held_out")).select("classes").mapInArrow(count, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).toArrow()  # classes squared rows
+    grid = np.zeros(classes * classes)
+    grid[got.column("pair").to_numpy()] = got.column("n").to_numpy()
+    return grid.reshape(classes, classes)
+
+
+def step_logs(grid: np.ndarray, tokens: np.ndarray, types: np.ndarray, seen_once: int) -> np.ndarray:
+    """[previous class, class]: log10 of a token's probability without its factor c + 0.1; the last class is that of unseen words."""
+    seen, n, v = len(grid) - 1, tokens.sum(), types.sum()
+    share = (tokens[:seen] + ADD) / (tokens[:seen] + ADD).sum() if seen else tokens[:0]
+    share = np.where(types[:seen] > 0, share, 0.0)
+    share = share / share.sum() if share.sum() else share
+    unseen = (seen_once + 0.5) / (n + 1.0) if n else 1.0
+    step = np.zeros_like(grid)
+    step[:, :seen] = (1 - unseen) * (grid[:, :seen] + BACKOFF * share) / (grid[:, :seen].sum(1, keepdims=True) + BACKOFF)
+    step[:, seen] = unseen
+    mass = np.append(np.maximum(tokens[:seen] + ADD * types[:seen], ADD), ADD)
+    return np.log10(MIX * step / mass + (1 - MIX) / (n + ADD * (v + 1)))
+
+
 def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", most: int = DICTIONARY, units: int = UNITS, classes: int = CLASSES) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row."""
-    _bounded(docs)
+    bound_batches(docs)
     store = Durable(docs.sparkSession, "brown")
     rows = docs.select(F.col(id_col).alias("doc_id"), (~learning(F.col(id_col))).alias("held_out"), blob(F.col(text_col)).alias("data"))
     texts = rows.filter(~F.col("held_out")).select("data")
-    vocab = store.save(vocabulary(texts), "vocabulary")
-    model = learn(texts, vocab, most, units, classes)
-    mine = store.save(local_sums(rows, model), "local")
-    rare = mine.select("row", F.explode("rare").alias("word")).groupBy("row", "word").agg(F.count("*").alias("k"))
-    met = rare.join(vocab, "word", "left").groupBy("row").agg(F.sum(F.col("k") * F.log10(F.coalesce("n", F.lit(0)) + F.lit(ADD))).alias("s_rare"), F.sum(F.when(F.col("n") > 0, F.col("k")).otherwise(0)).alias("k_rare"))
-    both = mine.drop("rare").join(met, "row", "left").withColumn("s", F.col("s_known") + F.coalesce("s_rare", F.lit(0.0)))
-    return both.select(
-        "doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("k_rare", F.lit(0))).alias("n_known"), F.lit(model.train_tokens).cast("long").alias("train_tokens"),
-        (F.col("s") - F.col("n_tokens") * F.lit(model.base_log)).alias("base_score"), (F.col("s") + F.col("s_local")).alias("score"),
+    counts = store.save(vocabulary(texts), "counts")
+    whole = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.count("*").alias("v"), F.count_if(F.col("n") == 1).alias("once")).first()
+    listed = frequent(counts, most)
+    # exchange over the most frequent words, insertion of all others
+    own = [w for w, _ in listed if w != END][:units]
+    table = {END: 0} | {w: i + 1 for i, w in enumerate(own)}
+    pairs = unit_pairs(texts, table, len(table) + 1)
+    unit_class = exchange(pairs, classes)
+    member = np.eye(classes)[unit_class]
+    scores = likelihoods(member.T @ pairs @ member)
+    put = insert_words(neighbour_counts(texts, table, unit_class), scores)
+    core = docs.sparkSession.createDataFrame([(bytearray(w), int(unit_class[i])) for w, i in table.items()], "word binary, class int")  # at most units + 1 rows
+    unseen = classes - 1  # no word seen is in it
+    at = store.save(put.unionByName(core), "classes")
+    vocab = store.save(counts.join(at, "word", "left").select("word", "n", F.coalesce("class", F.lit(NEUTRAL)).alias("class")), "vocabulary")
+    classed = {bytes(r.word): r["class"] for r in vocab.join(F.broadcast(_words(docs, listed)), "word", "left_semi").select("word", "class").collect()}  # of the dictionary
+    dictionary = Dictionary({w: i for i, (w, _) in enumerate(listed)}, np.array([n for _, n in listed], dtype=float), np.array([classed[w] for w, _ in listed], dtype=np.int64))
+    done = store.save(filled(store.save(coded(rows, dictionary), "coded"), vocab, unseen), "filled")
+    per_class = vocab.groupBy("class").agg(F.sum("n").alias("n"), F.count("*").alias("v")).collect()  # a row for each class
+    tokens, types = np.zeros(classes), np.zeros(classes)
+    for r in per_class:
+        tokens[r["class"]], types[r["class"]] = r.n, r.v
+    logs = docs.sparkSession.sparkContext.broadcast(step_logs(class_bigrams(done, classes), tokens, types, whole.once))
+
+    def steps(doc_id, held_out, n_tokens, n_known, s, found):
+        seqs = [np.concatenate(([0], np.frombuffer(c, dtype=np.uint8))) for c in found]
+        return doc_id, held_out, n_tokens, n_known, s, [float(logs.value[q[:-1], q[1:]].sum()) for q in seqs]
+
+    made = arrow_map(done.select("doc_id", "held_out", "n_tokens", "n_known", "s", "classes"), steps, f"doc_id {dict(rows.dtypes)['doc_id']}, held_out boolean, n_tokens long, n_known long, s double, steps double")
+    base = float(np.log10(whole.n + ADD * (whole.v + 1)))
+    return made.select(
+        "doc_id", "held_out", "n_tokens", "n_known", F.lit(int(whole.n)).cast("long").alias("train_tokens"),
+        (F.col("s") - F.col("n_tokens") * F.lit(base)).alias("base_score"), (F.col("s") + F.col("steps")).alias("score"),
     )
+
+
+def _words(docs: DataFrame, listed: list[tuple[bytes, int]]) -> DataFrame:
+    """A bounded dictionary's words as a table."""
+    from pyspark.sql.types import BinaryType, StructField, StructType
+
+    return docs.sparkSession.createDataFrame(pa.table({"word": pa.array([w for w, _ in listed], pa.binary())}), StructType([StructField("word", BinaryType())]))
