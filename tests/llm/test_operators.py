@@ -476,40 +476,107 @@ def test_op6_base_score_and_counts(spark, sf_dir, given):
 
 def test_small_dictionary_gives_the_same_scores(spark, sf_dir):
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text").limit(60).cache()
-    a, b = ({r.doc_id: (r.n_known, round(r.base_score, 6)) for r in brown_lm.score(docs, most=m, units=20, classes=5).collect()} for m in (200, 100_000))
+    a, b = ({r.doc_id: (r.n_known, round(r.base_score, 6), round(r.score, 6)) for r in brown_lm.score(docs, most=m, units=20, classes=6).collect()} for m in (200, 100_000))
     assert a == b
 
 
-def test_probabilities_of_all_words_sum_to_one(spark):
-    texts = spark.createDataFrame([(b"a b a c d e f g",), (b"b a c c a zz",)], "data binary")
-    vocab = brown_lm.vocabulary(texts).cache()
-    model = brown_lm.learn(texts, vocab, most=100, units=3, classes=4)
-    every = {bytes(r.word): r.n for r in vocab.collect()}
-    unseen = np.bincount(model.pool_class, minlength=4) > 0
-    for prev in range(4):
-        total = 0.0
-        for w, n in every.items():
-            places, _ = model.places([w])
-            c = 0 if w == b"" else model.classes(places)[0]
-            total += 10 ** model.local[prev, c] * (n + 0.1)
-        total += sum(10 ** model.local[prev, c] * 0.1 for c in range(4))
-        assert 0.9 < total < 1.2 and unseen.any()
+def brute_brown(docs, units, classes):
+    """Scores by plain loops: counts, exchange of the most frequent words, insertion of the others, class bigrams."""
+    words = {i: WORDS.findall((t or "").translate(LOWER)) for i, t in docs}
+    learn = [i for i in words if zlib.crc32(str(i).encode()) % 10]
+    counts = Counter(w for i in learn for w in [*words[i], ""])
+    own = sorted((w for w in counts if w), key=lambda w: (-counts[w], w.encode()))[:units]
+    table = {"": 0} | {w: i + 1 for i, w in enumerate(own)}
+    other = len(table)
+    pairs = np.zeros((other + 1, other + 1))
+    for i in learn:
+        seq = [0, *(table.get(w, other) for w in words[i]), 0]
+        for x, y in zip(seq, seq[1:], strict=False):
+            pairs[x, y] += 1
+    of_unit = brown_lm.exchange(pairs, classes)
+    grid = np.zeros((classes, classes))
+    for x in range(other + 1):
+        for y in range(other + 1):
+            grid[of_unit[x], of_unit[y]] += pairs[x, y]
+    size_in, size_out = grid.sum(0), grid.sum(1)
+    gains = defaultdict(lambda: np.zeros(classes))
+    for i in learn:
+        seq = ["", *words[i], ""]
+        for k in range(1, len(seq) - 1):
+            if seq[k] not in table:
+                for side, w in ((0, seq[k - 1]), (1, seq[k + 1])):
+                    if w in table:
+                        for g in range(classes):
+                            x = of_unit[table[w]]
+                            gains[seq[k]][g] += math.log((grid[x, g] + 0.5) / (size_in[g] + 0.5 * classes)) if side == 0 else math.log((grid[g, x] + 0.5) / (size_out[g] + 0.5 * classes))
+    open_ = [g for g in range(1, classes - 1) if size_out[g]]
+    at = {w: int(of_unit[i]) for w, i in table.items()}
+    for w in counts:
+        if w not in at:
+            at[w] = max(open_, key=lambda g: (round(gains[w][g], 9), -g)) if w in gains else 1
+    tokens, types, big = np.zeros(classes), np.zeros(classes), np.zeros((classes, classes))
+    for w, n in counts.items():
+        tokens[at[w]] += n
+        types[at[w]] += 1
+    last = classes - 1
+    for i in learn:
+        seq = [0, *(at[w] for w in words[i]), 0]
+        for x, y in zip(seq, seq[1:], strict=False):
+            big[x, y] += 1
+    n, v = sum(counts.values()), len(counts)
+    new = (sum(c == 1 for c in counts.values()) + 0.5) / (n + 1)
+    held = sum(tokens[g] + 0.1 for g in range(last) if types[g])
+
+    def p(prev, w):
+        c, g = counts.get(w, 0), at.get(w, last)
+        if g == last:
+            step, mass = new, 0.1
+        else:
+            step = (1 - new) * (big[prev, g] + 5 * (tokens[g] + 0.1) / held) / (big[prev, :last].sum() + 5)
+            mass = tokens[g] + 0.1 * types[g]
+        return (c + 0.1) * (0.95 * step / mass + 0.05 / (n + 0.1 * (v + 1)))
+
+    made = {}
+    for i, w in words.items():
+        seq = ["", *w, ""]
+        made[i] = sum(math.log10(p(at.get(x, last), y)) for x, y in zip(seq, seq[1:], strict=False))
+    return made, p, counts, at
+
+
+def test_scores_equal_plain_loops(spark):
+    rng = random.Random(21)
+    vocabulary = [f"{c}{i}" for c in "abc" for i in range(20)]
+    texts = []
+    for i in range(150):
+        text, kind = [], rng.randrange(3)
+        for _ in range(rng.randrange(0, 40)):
+            text.append(f"{'abc'[kind]}{min(int(rng.expovariate(0.2)), 19)}" if rng.random() < 0.95 else f"x{rng.randrange(200)}")
+            kind = (kind + 1) % 3
+        texts.append((i, " ".join(text)))
+    texts += [(150, None), (151, ""), (152, "never seen words " + vocabulary[0])]
+    want, p, counts, at = brute_brown(texts, 12, 6)
+    for most in (40, 100_000):
+        got = {r.doc_id: r.score for r in brown_lm.score(docs_of(spark, texts), most=most, units=12, classes=6).collect()}
+        assert set(got) == set(want) and all(got[i] == pytest.approx(want[i], abs=1e-6) for i in want)
+    for prev in sorted(set(at.values()) | {5}):  # all words seen and one that was not
+        assert sum(p(prev, w) for w in counts) + p(prev, "not in any text") == pytest.approx(1, abs=1e-9)
 
 
 def test_exchange_raises_the_likelihood():
     rng = np.random.default_rng(0)
-    block = np.r_[0, np.repeat([1, 2, 3], 8)]
-    rate = np.where(block[:, None] == np.r_[0, 2, 3, 1][block][None, :], 30.0, 0.2)
+    block = np.r_[0, np.repeat([1, 2, 3], 8), 4]
+    rate = np.where(block[:, None] == np.r_[0, 2, 3, 1, 4][block][None, :], 30.0, 0.2)
     pairs = rng.poisson(rate).astype(float)
-    at = brown_lm.exchange(pairs, 4)
+    at = brown_lm.exchange(pairs, 5)
 
     def likelihood(at):
-        m = np.eye(4)[at]
+        m = np.eye(5)[at]
         g = m.T @ pairs @ m
         f = brown_lm._x_log_x
         return f(g).sum() - f(g.sum(1)).sum() - f(g.sum(0)).sum()
 
-    start = np.r_[0, 1 + np.arange(24) % 3]
+    assert at[0] == 0 and at[-1] == 4 and set(at[1:-1]) <= {1, 2, 3}
+    start = np.r_[0, 1 + np.arange(24) % 3, 4]
     assert likelihood(at) > likelihood(start) and likelihood(at) >= likelihood(block) - 1e-6
 
 
@@ -610,9 +677,33 @@ def test_surrogates_keep_type_and_format(spark, odd, empty):
 
 def test_surrogates_are_distinct(spark):
     mails = [f"{a}{b}@x.io" for a in "abcdefghij" for b in "abcdefghij"]  # few letters: collisions are certain
-    found = spark.createDataFrame([(m,) for m in mails], "entity string")
-    got = {r.entity: r.surrogate for r in pii.surrogate_table(found, Durable(spark, "t"), "k").collect()}
-    assert set(got) == set(mails) and len(set(got.values())) == 100 and not set(got.values()) & set(mails)
+    store = Durable(spark, "t")
+    people = [("surname", f"{a}{b}") for a in "ABCDEFGH" for b in "abcdefghij"] + [("given m", f"N{b}") for b in "abcdefghijklmnopqrstuvwxyz"]
+    rows = [("email", m) for m in mails] + people
+    found = store.save(spark.createDataFrame(rows, "kind string, entity string"), "found")
+    got = {(r.kind, r.entity): r.surrogate for r in pii.surrogate_table(found, store, "k").collect()}
+    assert set(got) == set(rows) and len({(k, s) for (k, _), s in got.items()}) == len(rows)
+    assert not {(k, s) for (k, _), s in got.items()} & set(rows)
+
+
+def test_one_entity_has_one_surrogate(spark):
+    texts = [
+        (1, "Mr Karl Braun came. Later Mr Braun left, Karl Braun that is, not Karl Brauner. Mrs Eva Braun stayed."),
+        (2, "Call +49 30 1234567 or +49301234567, card 4111 1111 1111 1111 or 4111111111111111, a.B@Mail.org or A.b@mail.ORG"),
+        (3, "Karl Braun has no title here. Mr Braun has."), (4, "Mr Karl Braun came."), (4, "Mr Karl Braun came."), (5, "+49-30-1234567"),
+    ]
+    docs = docs_of(spark, texts).withColumn("caller", F.lit(1)).withColumn("_d", F.lit("mine")).withColumn("found", F.lit(2)).withColumn("class", F.lit(3)).withColumn("d", F.lit(4))
+    rows = pii.pseudonymise(docs, "k").collect()
+    assert len(rows) == 6 and all((r["caller"], r["_d"], r["found"], r["class"], r["d"]) == (1, "mine", 2, 3, 4) for r in rows)
+    got = {r.doc_id: r.text for r in rows}
+    m = re.fullmatch(r"Mr (\w+) (\w+) came\. Later Mr (\w+) left, (\w+) (\w+) that is, not Karl Brauner\. Mrs (\w+) (\w+) stayed\.", got[1])
+    given, name, again, plain_given, plain_name, wife, wife_name = m.groups()
+    assert name == again == plain_name == wife_name != "Braun" and given == plain_given != "Karl" and wife not in ("Eva", given)
+    assert got[3] == f"Karl Braun has no title here. Mr {name} has." and got[4] == f"Mr {given} {name} came."
+    a, b, c, d, e, f = re.fullmatch(r"Call (\+49 \d\d \d{7}) or (\+49\d{9}), card ([\d ]{19}) or (\d{16}), (\S+) or (\S+)", got[2]).groups()
+    assert re.sub(r"\D", "", a) == b[1:] == re.sub(r"\D", "", got[5]) != "49301234567" and re.fullmatch(r"\+49-\d\d-\d{7}", got[5])
+    assert c.replace(" ", "") == d != "4111111111111111" and luhn([int(x) for x in d])
+    assert e.lower() == f.lower() != "a.b@mail.org" and e.endswith(".org") and re.fullmatch(r"[a-z]\.[A-Z]@[A-Z][a-z]{3}\.org", e) and re.fullmatch(r"[A-Z]\.[a-z]@[a-z]{4}\.ORG", f)
 
 
 def test_op8_leaves_no_entity(spark, sf_dir, given):
@@ -646,6 +737,47 @@ def test_classifier_on_held_out_rows(spark):
     assert all(0 <= r.score <= 1 and (r.predicted == 1) == (r.score >= 0.7) for r in got)
 
 
+def test_fit_equals_plain_loops(spark):
+    rng, texts, labels = random.Random(14), [], []
+    for i in range(160):
+        toxic = i % 3 == 0
+        w = ["".join(rng.choice("abcd") for _ in range(4)) for _ in range(12)] + (["Zorky"] if toxic and rng.random() < 0.8 else ["mild"] if rng.random() < 0.5 else [])
+        texts.append((i, " ".join(w)))
+        labels.append((i, int(toxic)))
+    learn = [i for i, _ in texts if zlib.crc32(str(i).encode()) % 3 != 1]
+    grams = {i: {(b" " + t.encode().lower() + b" ")[k : k + n] for n in (4, 5, 6) for k in range(len(t) + 3 - n)} for i, t in texts}
+    n_pos, n_neg = sum(i % 3 == 0 for i in learn), sum(i % 3 != 0 for i in learn)
+    pos, neg = (Counter(g for i in learn if (i % 3 == 0) == y for g in grams[i]) for y in (True, False))
+    chosen = {}
+    for g in set(pos) | set(neg):
+        a, b, n = pos[g], neg[g], n_pos + n_neg
+        cells = [(a, (a + b) * n_pos / n), (b, (a + b) * n_neg / n), (n_pos - a, (n - a - b) * n_pos / n), (n_neg - b, (n - a - b) * n_neg / n)]
+        if sum(2 * o * math.log(o / e) for o, e in cells if o) >= toxicity.TEST:
+            chosen[g] = math.log((a + 1) / (n_pos + 2)) - math.log((b + 1) / (n_neg + 2))
+    assert len(chosen) >= 5
+    keys = sorted(chosen)
+    x = np.array([[chosen[g] if g in grams[i] else 0.0 for g in keys] for i in learn])
+    y = np.array([i % 3 == 0 for i in learn], dtype=float)
+    w, b = np.zeros(len(keys)), 0.0
+    for _ in range(60):  # Newton's method on the same objective
+        q = 1 / (1 + np.exp(-(x @ w + b)))
+        z = np.c_[x, np.ones(len(y))]
+        hess = z.T @ (z * (q * (1 - q))[:, None]) / len(y) + np.diag(np.r_[np.full(len(keys), 1e-3), 1e-9])
+        step = np.linalg.solve(hess, z.T @ (q - y) / len(y) + np.r_[1e-3 * w, 0.0])
+        w, b = w - step[:-1], b - step[-1]
+    got = {r.doc_id: r.score for r in toxicity.toxicity(docs_of(spark, texts), spark.createDataFrame(labels, "doc_id bigint, toxic int")).collect()}
+    for i, _ in texts:
+        want = 1 / (1 + math.exp(-(sum(chosen[g] * w[j] for j, g in enumerate(keys) if g in grams[i]) + b)))
+        assert got[i] == pytest.approx(want, abs=0.03)
+
+
+def test_ngrams_of_long_texts_are_whole(monkeypatch):
+    data = bytes(random.Random(1).choices(b"abcde ", k=1000))
+    whole = toxicity.ngrams(data)
+    monkeypatch.setattr(toxicity, "PIECE", 64)
+    assert (toxicity.ngrams(data) == whole).all()
+
+
 def test_toxicity_odd_rows(spark, odd, empty):
     none = spark.createDataFrame([], "doc_id bigint, toxic int")
     some = spark.createDataFrame([(3, 1), (3, 0), (5, 0), (None, 1), (6, None)], "doc_id bigint, toxic int")
