@@ -9,7 +9,7 @@ import math
 from collections import Counter
 
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 
@@ -38,12 +38,19 @@ def canonical(mask: pd.Series) -> pd.Series:
 
 @pandas_udf("double")
 def entropy_agg(key: pd.Series) -> float:
-    """Entropy in nats of a grouped column of any keys; for masks, entropies of counts are the faster way."""
+    """Entropy in nats of a grouped column, for groups that fit a worker; group_entropy takes any."""
     counts = Counter(key.dropna())
     n = sum(counts.values())
     return math.log(n) - sum(c * math.log(c) for c in counts.values()) / n if n else 0.0
 
 
+def group_entropy(df: DataFrame, group: str, key: str) -> DataFrame:
+    """(group, h): entropy in nats of the keys of each group, by two aggregations; null keys don't count."""
+    counts = df.filter(F.col(key).isNotNull()).groupBy(group, key).agg(F.count("*").alias("n"))
+    summed = counts.groupBy(group).agg(F.sum("n").alias("rows"), F.sum(F.col("n") * F.log("n")).alias("s"))
+    return summed.select(group, F.abs(F.log("rows") - F.col("s") / F.col("rows")).alias("h"))
+
+
 @F.udtf(returnType="mask bigint, size int")
 class Subsets:
     """Non-empty subsets of a mask with at most max_size items."""

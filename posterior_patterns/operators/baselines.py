@@ -5,10 +5,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.durable import Durable
 from . import entropy as entropies
 from .bic import model_rows, required, score_models
 from .family import best_tree, saturated, singletons, tree
-from .patterns import cells, frequency as frequencies, itemset_table, support, total
+from .patterns import cells, itemset_table, next_level, single_items, support, total
+from .patterns import frequency as frequencies
 
 #: Upper chi-square points by degrees of freedom, at .05, .01 and .001.
 CHI_SQUARE = {1: (3.841459, 6.634897, 10.827566), 4: (9.487729, 13.276704, 18.466827), 11: (19.675138, 24.724970, 31.264134), 26: (38.885139, 45.641683, 54.051962)}
@@ -32,25 +34,31 @@ def index_gap(mask: Column) -> Column:
 
 
 def frequent(patterns: DataFrame, k: int, minsup: int, max_size: int | None = None) -> DataFrame:
-    """(mask, size, support) of itemsets with at least minsup rows, level by level."""
-    spark, made, level = patterns.sparkSession, [], [1 << i for i in range(k)]
-    for _ in range(max_size or k):
-        kept = [(r.mask, r.size, r.support) for r in support(patterns, itemset_table(spark, level)).filter(F.col("support") >= minsup).toLocalIterator()]
-        made += kept
-        held = {m for m, *_ in kept}
-        grown = {a | 1 << i for a in held for i in range(k) if not a >> i & 1}
-        level = [g for g in grown if all(g ^ 1 << i in held for i in range(k) if g >> i & 1)]
-        if not level:
+    """(mask, size, support) of itemsets with at least minsup rows, level by level; levels stay in stored tables."""
+    store, made, level = Durable(patterns.sparkSession, "frequent"), None, single_items(patterns.sparkSession, k)
+    for size in range(1, (max_size or k) + 1):
+        level = store.save(level, f"level{size}")
+        kept = support(patterns, level).filter(F.col("support") >= minsup).join(level.select("mask", "top"), "mask")
+        kept = store.save(kept, f"kept{size}")
+        made = kept if made is None else made.unionByName(kept)
+        if kept.isEmpty():
             break
-    return spark.createDataFrame(made, "mask bigint, size int, support bigint")
+        level = next_level(kept.select("mask", "size", "top"), k)
+    return made.select("mask", F.col("size").cast("int").alias("size"), "support")
+
+
+#: Copies of a pattern that one row stands for before it is repeated.
+COPIES = 4096
 
 
 def frequent_fpgrowth(patterns: DataFrame, k: int, minsup: int) -> DataFrame:
-    """The same by Spark's own FP-growth over weighted patterns, each repeated n times."""
+    """The same by Spark's own FP-growth, which knows no weights: each pattern is repeated n times, in runs of up to COPIES."""
     from pyspark.ml.fpm import FPGrowth
 
     items = F.filter(F.sequence(F.lit(1), F.lit(k)), lambda i: F.getbit("mask", i - 1) == 1)
-    rows = patterns.select(items.alias("items"), F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("n"))).alias("_")).select("items")
+    runs = patterns.filter("n > 0").select(items.alias("items"), "n", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1, F.lit(COPIES).cast("bigint"))).alias("start"))
+    left = F.least(F.col("n") - F.col("start"), F.lit(COPIES)).cast("int")
+    rows = runs.repartition(patterns.sparkSession.sparkContext.defaultParallelism).select("items", F.explode(F.array_repeat(F.lit(1), left)).alias("one")).select("items")
     found = FPGrowth(itemsCol="items", minSupport=minsup / max(1, total(patterns)) * (1 - 1e-9)).fit(rows).freqItemsets
     mask = F.aggregate("items", F.lit(0).cast("bigint"), lambda a, i: a.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("bigint"), i - 1)))
     return found.select(mask.alias("mask"), F.size("items").cast("int").alias("size"), F.col("freq").alias("support")).filter(F.col("support") >= minsup)

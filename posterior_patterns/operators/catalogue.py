@@ -8,7 +8,7 @@ from itertools import combinations, permutations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .family import closure, cliques, is_chordal, is_decomposable
+from .family import closure, cliques, is_chordal
 
 
 def pair_list(k: int) -> list[tuple[int, int]]:
@@ -90,8 +90,3 @@ def graphs(spark: SparkSession, k: int) -> DataFrame:
 def itemset_edges(spark: SparkSession, k: int) -> DataFrame:
     """(mask, size, edges): an itemset belongs to graph g iff g holds all its edges."""
     return spark.createDataFrame([(m, m.bit_count(), edge_mask(m, k)) for m in range(1, 1 << k)], "mask bigint, size int, edges bigint")
-
-
-def is_listed(maxs: list[int], k: int) -> bool:
-    return is_decomposable(maxs) and sorted(maxs) in decomposable(k)
-

@@ -12,10 +12,11 @@ from __future__ import annotations
 from collections import OrderedDict
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .patterns import cells, cells_from_frequencies, submasks, support
+from .patterns import BROADCAST_ITEMSETS, WORD_BITS, cells, cells_from_frequencies, submasks, support
 
 
 def n_log_n(n: Column) -> Column:
@@ -53,6 +54,22 @@ def entropy(patterns: DataFrame, itemsets: DataFrame, method: str = "batch", k:
     raise ValueError(f"no such method: {method}")
 
 
+def wide_entropy(patterns: DataFrame, wanted: DataFrame, words: int) -> DataFrame:
+    """patterns(words, n) and wanted(m), masks as decimal strings -> (m, h), all in one pass."""
+
+    @F.pandas_udf("array<bigint>")
+    def cut(masks: pd.Series) -> pd.Series:
+        low = (1 << WORD_BITS) - 1
+        return masks.map(lambda m: [int(m) >> (WORD_BITS * i) & low for i in range(words)])
+
+    sets = wanted.select("m", cut("m").alias("x"))
+    sets = F.broadcast(sets) if wanted.count() <= BROADCAST_ITEMSETS else sets
+    cell = F.zip_with("words", "x", lambda a, b: a.bitwiseAND(b))
+    found = patterns.crossJoin(sets).select("m", cell.alias("cell"), "n").groupBy("m", "cell").agg(F.sum("n").alias("n"))
+    summed = found.groupBy("m").agg(F.sum("n").alias("rows"), F.sum(n_log_n(F.col("n"))).alias("s"))
+    return summed.select("m", F.abs(F.log("rows") - F.col("s") / F.col("rows")).alias("h"))
+
+
 def mobius_weights(entropies: DataFrame, n: int, k: int) -> DataFrame:
     """(mask, size, w): a model's BIC weight is the sum of w over the members of its family.
 
@@ -72,13 +89,18 @@ class EntropyCache:
         self.counts = np.asarray(counts, dtype=float)
         self.n = float(self.counts.sum())
         self.wide = None
-        masks = list(masks)
-        if masks and max(masks) >> 62:
+        if isinstance(masks, np.ndarray):
+            if masks.ndim == 2:
+                self.wide = masks
+            else:
+                self.masks = masks
+        elif (masks := list(masks)) and max(masks) >> 62:
             words = (max(m.bit_length() for m in masks) + 61) // 62
             self.wide = np.array([[m >> (62 * i) & ((1 << 62) - 1) for i in range(words)] for m in masks], dtype=np.int64)
         else:
             self.masks = np.array(masks, dtype=np.int64)
         self.capacity, self.held, self.misses = capacity, OrderedDict(), 0
+        self.columns: dict[int, np.ndarray] = {}
 
     def __call__(self, mask: int) -> float:
         found = self.held.get(mask)
@@ -91,26 +113,38 @@ class EntropyCache:
             self.held.popitem(last=False)
         return value
 
+    def _column(self, item: int) -> np.ndarray:
+        """0 or 1 of an item in every pattern."""
+        made = self.columns.get(item)
+        if made is None:
+            if self.wide is None:
+                made = (self.masks >> item) & 1
+            elif item // WORD_BITS < self.wide.shape[1]:
+                made = (self.wide[:, item // WORD_BITS] >> (item % WORD_BITS)) & 1
+            else:
+                made = np.zeros(len(self.wide), dtype=np.int64)
+            made = self.columns[item] = made.astype(np.int16)
+        return made
+
     def _compute(self, mask: int) -> float:
         if not mask or not self.n:
             return 0.0
-        if self.wide is None:
-            cell = self.masks & mask
-            size = mask.bit_count()
-            if size <= 14:  # close the gaps between the items, then count by place
-                place, at, rest = np.zeros(len(cell), dtype=np.int64), 0, mask
-                while rest:
-                    low = rest & -rest
-                    place |= ((cell >> (low.bit_length() - 1)) & 1) << at
-                    at, rest = at + 1, rest ^ low
-                sums = np.bincount(place, self.counts)
-            else:
-                sums = np.bincount(np.unique(cell, return_inverse=True)[1], self.counts)
+        size = mask.bit_count()
+        if size <= 14:  # count by place
+            place, at, rest = None, 0, mask
+            while rest:
+                low = rest & -rest
+                bit = self._column(low.bit_length() - 1)
+                place = bit if place is None else place + (bit << at)
+                at, rest = at + 1, rest ^ low
+            sums = np.bincount(place, self.counts)
+        elif self.wide is None:
+            sums = np.bincount(np.unique(self.masks & mask, return_inverse=True)[1], self.counts)
         else:
             place = np.zeros(len(self.wide), dtype=np.int64)
             for i in range(self.wide.shape[1]):
-                part = self.wide[:, i] & (mask >> (62 * i) & ((1 << 62) - 1))
-                place = np.unique(place * (np.int64(1) << np.int64(20)) + np.unique(part, return_inverse=True)[1], return_inverse=True)[1]
+                part = self.wide[:, i] & (mask >> (WORD_BITS * i) & ((1 << WORD_BITS) - 1))
+                place = np.unique(place * (len(self.wide) + 1) + np.unique(part, return_inverse=True)[1], return_inverse=True)[1]
             sums = np.bincount(place, self.counts)
         sums = sums[sums > 0]
         return abs(float(np.log(self.n) - (sums * np.log(sums)).sum() / self.n))

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from .bic import log_n
 from .catalogue import general
-from .family import closure, junction_tree, maximal
+from .family import junction_tree, maximal
 
 
 def indicator(mask: Column, x: int | Column) -> Column:
@@ -105,7 +105,3 @@ def score_general(q: np.ndarray, n: int, k: int) -> dict[int, float]:
     w = np.exp(np.array(weights) - max(weights))
     w /= w.sum()
     return {m: float(sum(x for x, f in zip(w, families, strict=True) if m in f)) for m in range(1, 1 << k)}
-
-
-def same_family(a: list[int], b: list[int]) -> bool:
-    return closure(a) == closure(b)

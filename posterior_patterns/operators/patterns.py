@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 
 #: Itemsets that may be broadcast: 16 bytes each.
 BROADCAST_ITEMSETS = 1_000_000
+#: Items in a word of a wide transaction.
+WORD_BITS = 62
 
 
 def compress(baskets: DataFrame) -> DataFrame:
@@ -38,6 +40,25 @@ def _small(itemsets: DataFrame) -> DataFrame:
     return F.broadcast(itemsets) if itemsets.count() <= BROADCAST_ITEMSETS else itemsets
 
 
+def _bit(at: Column) -> Column:
+    return F.call_function("shiftleft", F.lit(1).cast("bigint"), at)
+
+
+def single_items(spark, k: int) -> DataFrame:
+    """(mask, size, top): the single items; top is the number of the greatest item, from 0."""
+    return spark.range(k).select(_bit(F.col("id").cast("int")).alias("mask"), F.lit(1).alias("size"), F.col("id").cast("int").alias("top"))
+
+
+def next_level(kept: DataFrame, k: int) -> DataFrame:
+    """kept(mask, size, top) of one size -> the itemsets one larger all of whose subsets are kept."""
+    rest = kept.select("mask", "size", "top", F.col("mask").bitwiseXOR(_bit(F.col("top"))).alias("rest"))
+    other = rest.select("rest", F.col("top").alias("new"))
+    grown = rest.join(other, "rest").filter("new > top").select(F.col("mask").bitwiseOR(_bit(F.col("new"))).alias("mask"), (F.col("size") + 1).alias("size"), F.col("new").alias("top"))
+    below = F.filter(F.transform(F.sequence(F.lit(0), F.lit(k - 1)), lambda i: F.when(F.getbit("mask", i) == 1, F.col("mask").bitwiseXOR(_bit(i)))), lambda m: m.isNotNull())
+    met = grown.select("mask", "size", "top", F.explode(below).alias("sub")).join(kept.select(F.col("mask").alias("sub")), "sub", "left_semi")
+    return met.groupBy("mask", "size", "top").agg(F.count("*").alias("held")).filter("held = size").select("mask", "size", "top")
+
+
 def total(patterns: DataFrame) -> int:
     return int(patterns.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).first().n)
 

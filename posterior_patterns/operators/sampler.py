@@ -5,15 +5,19 @@ min(1, exp(change of BIC weight) * d(M) / d(M')).  Chains start at the family of
 functions of (seed, chain id), and so come out the same for any partitioning and after any lost task.
 
 Where entropies come from depends on the size of the pattern table:
-  tier 1  patterns within BROADCAST_BYTES are shipped to the tasks, which compute and remember entropies;
-  tier 2  entropies of all itemsets up to a size are computed in one pass and shipped;
-  tier 3  chains run in supersteps: each runs until it lacks an entropy; the distinct missing itemsets
-          of all chains are computed in one batch pass over the patterns, and the chains go on.
+  patterns    a table within BROADCAST_BYTES is shipped to the tasks as arrays; they compute and remember entropies;
+  entropies   entropies of all itemsets of up to three items are computed in one pass before the chains start;
+              a chain that needs another goes on in supersteps;
+  supersteps  each chain runs until it lacks an entropy, and asks for those of all moves open to it; the distinct
+              itemsets asked for are computed in one batch pass over the patterns and joined back to the chains.
+States with their entropies are stored after every superstep, so nothing grows on the driver.  All tiers give the
+same chains and the same draws.
 """
 
 from __future__ import annotations
 
 import math
+from collections import ChainMap
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
@@ -24,9 +28,9 @@ from pyspark.sql import functions as F
 
 from ..plans.durable import Durable
 from .bic import log_bic, log_n
-from .entropy import EntropyCache, EntropyTable, entropy
+from .entropy import EntropyCache, EntropyTable, entropy, wide_entropy
 from .family import bits
-from .patterns import itemset_table, total
+from .patterns import WORD_BITS, total
 from .state import ChainState
 
 BROADCAST_BYTES = 200 << 20
@@ -96,6 +100,12 @@ class Chain:
                 return
             is_merge, s, x, y = state.move(rng.below(d))
             whole, pair = s | x | y, x | y
+            if is_merge and self.max_clique and whole.bit_count() > self.max_clique:  # refused whatever its weight
+                rng.unit()
+                self.done += 1
+                if self.trace is not None:
+                    self.trace.append((self.done, "merge", s, x, y, None, d, None, False))
+                continue
             change = known.get((whole, pair))
             if change is None:
                 try:
@@ -108,7 +118,7 @@ class Chain:
             limit = math.log(rng.unit())
             taken, deg_new = False, None
             # the new degree is at least 1, so most moves can be refused before they are made
-            if limit <= delta + math.log(d) and not (is_merge and self.max_clique and whole.bit_count() > self.max_clique):
+            if limit <= delta + math.log(d):
                 (state.merge if is_merge else state.split)(s, x, y)
                 deg_new = state.degree
                 taken = limit <= delta + math.log(d) - math.log(deg_new)
@@ -145,13 +155,15 @@ class Chain:
             if not legal:
                 continue
             whole = s | x | y
+            if not linked and self.max_clique and whole.bit_count() > self.max_clique:
+                continue
             try:
                 change = n * (h(whole) - h(s | x) - h(s | y) + h(s)) + half_log * 2.0 ** (whole.bit_count() - 3)
             except EntropyTable.Missing:
                 rng.state, self.done = before, self.done - 1
                 self.state = ChainState(k, cliques(near))
                 raise
-            if limit <= (change if linked else -change) and not (not linked and self.max_clique and whole.bit_count() > self.max_clique):
+            if limit <= (change if linked else -change):
                 near[x] ^= y
                 near[y] ^= x
                 self.accepted += 1
@@ -165,20 +177,26 @@ def _options(k, n, rebuild, proposal, max_clique):
 def run_chain(h: Callable[[int], float], k: int, n: float, steps: int, seed: int, *, rebuild=False, proposal="legal", max_clique=None, trace=None, thin=None) -> tuple[list, Chain]:
     """(families, chain): the last family, or every thin-th one."""
     chain = Chain(**_options(k, n, rebuild, proposal, max_clique), rng=Numbers(seed), trace=trace)
-    made, marks = [], range(thin, steps + 1, thin) if thin else [steps]
-    for mark in marks:
+    made = []
+    for mark in _marks(steps, thin):
         chain.run(h, mark)
         made.append(sorted(chain.state.maxs))
     return made, chain
 
 
-def _collect_patterns(patterns: DataFrame) -> tuple[list[int], np.ndarray]:
-    """Patterns on the driver; callers have checked their size."""
+def _marks(steps: int, thin: int | None) -> list[int]:
+    """Steps after which a family is drawn."""
+    return list(range(thin, steps + 1, thin)) if thin else [steps]
+
+
+def _collect_patterns(patterns: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Patterns on the driver as arrays, wide ones with a row for each; callers have checked their size."""
     got = patterns.toArrow()
     counts = got.column("n").to_numpy()
     if "mask" in got.column_names:
-        return got.column("mask").to_pylist(), counts
-    return [sum(int(w) << (62 * i) for i, w in enumerate(words)) for words in got.column("words").to_pylist()], counts
+        return got.column("mask").to_numpy(), counts
+    flat = got.column("words").combine_chunks().flatten().to_numpy()
+    return flat.reshape(len(counts), -1) if len(counts) else np.zeros((0, 1), dtype=np.int64), counts
 
 
 def plan(patterns: DataFrame, k: int) -> str:
@@ -201,17 +219,17 @@ def sample_models(
     patterns: DataFrame, k: int, restarts: int = 5000, steps: int | None = None, seed: int = 0, *, rebuild: bool = False, proposal: str = "legal",
     max_clique: int | None = None, thin: int | None = None, partitions: int | None = None, tier: str | None = None,
 ) -> DataFrame:
-    """(chain_id, draw, maximal, log_bic, steps, accepted, entropies): the last family of each chain, masks as decimal strings."""
+    """(chain_id, draw, maximal, log_bic, steps, accepted, entropies), stored: the last family of each chain, or every
+    thin-th one, masks as decimal strings.  The chains run once, however often the result is read.
+    """
     spark, steps = patterns.sparkSession, default_steps(k) if steps is None else steps
+    store = Durable(spark, "models")
     tier = tier or plan(patterns, k)
-    if tier == "supersteps":
-        return _supersteps(patterns, k, restarts, steps, seed, rebuild, proposal, max_clique)
-    if tier == "entropies":
-        n = total(patterns)
-        shared = spark.sparkContext.broadcast(("table", precomputed(patterns, k), n))
-    else:
-        masks, counts = _collect_patterns(patterns)
-        shared = spark.sparkContext.broadcast(("patterns", masks, counts))
+    if tier in SIZES:
+        return _supersteps(patterns, k, restarts, steps, seed, rebuild, proposal, max_clique, thin, partitions, store, SIZES[tier])
+    if tier != "patterns":
+        raise ValueError(f"no such tier: {tier}")
+    shared = spark.sparkContext.broadcast(_collect_patterns(patterns))  # within BROADCAST_BYTES
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         h = _source(shared)
@@ -223,14 +241,17 @@ def sample_models(
                     made.append({"chain_id": chain_id, "draw": draw, "maximal": [str(m) for m in maxs], "log_bic": log_bic(maxs, h, h.n), "steps": chain.done, "accepted": chain.accepted, "entropies": h.misses})
             yield pa.RecordBatch.from_pylist(made, schema=_arrow(_ROW))
 
-    return _chains(spark, restarts, partitions).mapInArrow(run, _ROW)
+    models = store.save(_chains(spark, restarts, partitions).mapInArrow(run, _ROW), "models")
+    shared.unpersist()
+    return models
 
 
 def trace_chains(patterns: DataFrame, k: int, restarts: int, steps: int, seed: int = 0, *, rebuild: bool = False, partitions: int | None = None) -> DataFrame:
-    """Every step of every chain."""
+    """Every step of every chain, for pattern tables that may be shipped."""
     spark = patterns.sparkSession
-    masks, counts = _collect_patterns(patterns)
-    shared = spark.sparkContext.broadcast(("patterns", masks, counts))
+    if plan(patterns, k) != "patterns":
+        raise ValueError("traces are written where patterns fit the tasks")
+    shared = spark.sparkContext.broadcast(_collect_patterns(patterns))  # within BROADCAST_BYTES
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         h = _source(shared)
@@ -251,80 +272,110 @@ def _source(shared):
     """The entropies of a broadcast, kept by a worker between its tasks."""
     value = shared.value
     if _HELD["value"] is not value:
-        kind, a, b = value
-        _HELD.update(value=value, source=EntropyCache(a, b) if kind == "patterns" else EntropyTable(a, b))
+        _HELD.update(value=value, source=EntropyCache(*value))
     return _HELD["source"]
 
 
 def _arrow(ddl: str) -> pa.Schema:
-    kinds = {"long": pa.int64(), "int": pa.int32(), "double": pa.float64(), "string": pa.string(), "boolean": pa.bool_(), "array<string>": pa.list_(pa.string()), "binary": pa.binary()}
+    kinds = {"long": pa.int64(), "int": pa.int32(), "double": pa.float64(), "string": pa.string(), "boolean": pa.bool_(), "array<string>": pa.list_(pa.string()), "array<double>": pa.list_(pa.float64()), "binary": pa.binary()}
     return pa.schema([(name, kinds[kind]) for name, kind in (x.split(" ") for x in ddl.split(", "))])
 
 
-def precomputed(patterns: DataFrame, k: int, size: int = 3) -> dict[int, float]:
-    """Entropies of all itemsets of up to `size` items in one pass."""
+#: Items of the itemsets whose entropies are computed before the chains start, by tier.
+SIZES = {"entropies": 3, "supersteps": 2}
+
+
+def precomputed(patterns: DataFrame, k: int, size: int = 3) -> DataFrame:
+    """(m, h): entropies of all itemsets of up to `size` items in one pass, masks as decimal strings."""
     from itertools import combinations
 
-    wanted = [sum(1 << i for i in c) for r in range(1, size + 1) for c in combinations(range(k), r)]
-    return {r.mask: r.h for r in entropy(patterns, itemset_table(patterns.sparkSession, wanted)).toLocalIterator()}
+    wanted = [(str(sum(1 << i for i in c)),) for r in range(1, min(size, k) + 1) for c in combinations(range(k), r)]
+    return entropies_of(patterns, patterns.sparkSession.createDataFrame(wanted, "m string"), k)
+
+
+def entropies_of(patterns: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
+    """wanted(m), masks of any width as decimal strings -> (m, h)."""
+    if "mask" in patterns.columns:
+        sets = wanted.select(F.col("m").cast("bigint").alias("mask")).withColumn("size", F.bit_count("mask").cast("int"))
+        return entropy(patterns, sets).select(F.col("mask").cast("string").alias("m"), "h")
+    return wide_entropy(patterns, wanted, -(-k // WORD_BITS))
 
 
-_STATE = "chain_id long, rng string, maxs array<string>, done long, accepted long, missing array<string>"
+_STATE = "chain_id long, rng string, maxs array<string>, done long, accepted long, draws array<string>, missing array<string>"
 
 
-def _supersteps(patterns, k, restarts, steps, seed, rebuild, proposal, max_clique, max_rounds: int = 10_000) -> DataFrame:
-    """Tier 3.  Chain states and the entropy table are stored after every superstep."""
-    if k > 62:
-        raise ValueError("supersteps take up to 62 items")
-    spark, n = patterns.sparkSession, total(patterns)
-    store = Durable(spark, "chains")
-    table = precomputed(patterns, k, 2)
+def _open_sets(state: ChainState) -> set[int]:
+    """Itemsets whose entropies decide the moves that a family has open."""
+    made: set[int] = set()
+    for pair in state.once:
+        whole = next(m for m in state.maxs if m & pair == pair)
+        x = pair & -pair
+        made |= {whole, whole & ~x, whole & ~(pair ^ x), whole & ~pair}
+    for s, parts in state.parts.items():
+        made.add(s)
+        for i, v in enumerate(parts):
+            for w in parts[:i]:
+                for x in bits(v):
+                    made.add(s | x)
+                    for y in bits(w):
+                        made |= {s | x | y, s | y}
+    return made - {0}
 
-    def advance(batches, shared):
+
+def _supersteps(patterns, k, restarts, steps, seed, rebuild, proposal, max_clique, thin, partitions, store, size, max_rounds: int = 100_000) -> DataFrame:
+    """Chains whose entropies are computed as they are asked for.  A state row holds the chain's own entropies."""
+    spark, n, marks = patterns.sparkSession, float(total(patterns)), _marks(steps, thin)
+    first = store.save(precomputed(patterns, k, size), "h")  # at most K^size / 6 rows, whatever the data
+    known = {int(r.m): r.h for r in first.collect()}
+    shared = spark.sparkContext.broadcast(known)
+    kind = _STATE + ", sets array<string>, h array<double>"
+
+    def begin(batches):
+        for batch in batches:
+            made = [{"chain_id": i, "rng": str(Numbers(chain_seed(seed, i)).state), "maxs": [str(1 << j) for j in range(k)], "done": 0, "accepted": 0, "draws": [], "missing": [], "sets": [], "h": []} for i in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_pylist(made, schema=_arrow(kind))
+
+    def advance(batches):
         for batch in batches:
             made = []
             for row in batch.to_pylist():
                 chain = Chain(**_options(k, n, rebuild, proposal, max_clique), rng=Numbers(int(row["rng"])), maxs=[int(m) for m in row["maxs"]], done=row["done"], accepted=row["accepted"])
-                missing: set[int] = set()
+                own, missing, draws = dict(zip(map(int, row["sets"]), row["h"], strict=True)), set(), row["draws"]
+                h = EntropyTable(ChainMap(own, shared.value), n)
                 try:
-                    chain.run(EntropyTable(shared.value, n), steps)
+                    for mark in marks[len(draws) :]:
+                        chain.run(h, mark)
+                        maxs = sorted(chain.state.maxs)
+                        draws.append(f"{log_bic(maxs, h, n)!r} " + " ".join(map(str, maxs)))
                 except EntropyTable.Missing as e:
-                    missing = _around(e.args[0], shared.value, k)
-                made.append(row | {"rng": str(chain.rng.state), "maxs": [str(m) for m in sorted(chain.state.maxs)], "done": chain.done, "accepted": chain.accepted, "missing": [str(m) for m in missing]})
-            yield pa.RecordBatch.from_pylist(made, schema=_arrow(_STATE))
-
-    def begin(batches):
-        for batch in batches:
-            yield pa.RecordBatch.from_pylist([{"chain_id": i, "rng": str(Numbers(chain_seed(seed, i)).state), "maxs": [str(1 << j) for j in range(k)], "done": 0, "accepted": 0, "missing": []} for i in batch.column(0).to_pylist()], schema=_arrow(_STATE))
+                    missing = {m for m in _open_sets(chain.state) if m not in own and m not in shared.value} | {e.args[0]}
+                made.append(row | {"rng": str(chain.rng.state), "maxs": [str(m) for m in sorted(chain.state.maxs)], "done": chain.done, "accepted": chain.accepted, "draws": draws, "missing": sorted(map(str, missing))})
+            yield pa.RecordBatch.from_pylist(made, schema=_arrow(kind))
 
-    states = _chains(spark, restarts, None).mapInArrow(begin, _STATE)
+    states = _chains(spark, restarts, partitions).mapInArrow(begin, kind)
     for i in range(max_rounds):
-        shared = spark.sparkContext.broadcast(table)  # entropies met so far: bounded by the chains' steps
-        states = store.save(states.mapInArrow(lambda b, shared=shared: advance(b, shared), _STATE), f"states{i}")
+        states = store.save(states.mapInArrow(advance, kind), f"states{i}")
         if i:
             store.drop(f"states{i - 1}")
-        wanted = [int(r.m) for r in states.select(F.explode("missing").alias("m")).distinct().toLocalIterator()]
-        if not wanted:
+            store.drop(f"h{i - 1}")
+        asked = states.select("chain_id", F.explode("missing").alias("m"))
+        if asked.isEmpty():
             break
-        table = table | {r.mask: r.h for r in entropy(patterns, itemset_table(spark, wanted)).toLocalIterator()}
-    h = spark.sparkContext.broadcast(table)
-
-    def finish(batches):
-        for batch in batches:
-            rows = batch.to_pylist()
-            yield pa.RecordBatch.from_pylist([{"chain_id": r["chain_id"], "draw": 0, "maximal": r["maxs"], "log_bic": log_bic([int(m) for m in r["maxs"]], EntropyTable(h.value, n), n), "steps": r["done"], "accepted": r["accepted"], "entropies": len(h.value)} for r in rows], schema=_arrow(_ROW))
-
-    return states.mapInArrow(finish, _ROW)
-
-
-def _around(mask: int, table: dict[int, float], k: int) -> set[int]:
-    """A missing itemset and its neighbours by one item, so that fewer supersteps are needed."""
-    near = {mask} | {mask | 1 << i for i in range(k)} | {mask & ~b for b in bits(mask)}
-    return {m for m in near if m and m not in table}
+        found = store.save(entropies_of(patterns, asked.select("m").distinct(), k), f"h{i}")
+        got = asked.join(found, "m").groupBy("chain_id").agg(F.collect_list(F.struct("m", F.col("h").alias("v"))).alias("got"))  # what one chain asked for
+        new = lambda c: F.concat("sets" if c == "m" else "h", F.coalesce(F.transform("got", lambda g: g[c]), F.array().cast("array<string>" if c == "m" else "array<double>")))
+        states = states.join(got, "chain_id", "left").withColumn("more", new("m")).withColumn("h", new("v")).withColumn("sets", F.col("more")).drop("more", "got")
+    else:
+        raise RuntimeError(f"chains were not done after {max_rounds} supersteps")
+    drawn = states.select("chain_id", F.posexplode("draws").alias("draw", "text"), "done", "accepted", (F.size("sets") + F.lit(len(known))).cast("long").alias("entropies"))
+    parts = F.split("text", " ")
+    cut = drawn.select("chain_id", "draw", F.slice(parts, 2, F.size(parts)).alias("maximal"), F.get(parts, F.lit(0)).cast("double").alias("log_bic"), F.col("done").alias("steps"), "accepted", "entropies")
+    return store.save(cut, "models")
 
 
 def diagnostics(models: DataFrame) -> DataFrame:
-    """One row: chains, steps, share of accepted moves, spread of the weight between chains."""
+    """One row: chains, steps, share of accepted moves, spread of the weight between chains.  Thinned chains count once."""
+    models = models.groupBy("chain_id").agg(F.max("steps").alias("steps"), F.max("accepted").alias("accepted"), F.max_by("log_bic", "draw").alias("log_bic"), F.max("entropies").alias("entropies"))
     return models.agg(
         F.count("*").alias("chains"), F.sum("steps").alias("steps"), (F.sum("accepted") / F.sum("steps")).alias("acceptance"),
         F.avg("log_bic").alias("mean_log_bic"), F.stddev_samp("log_bic").alias("sd_log_bic"), F.max("entropies").alias("entropies"),

@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+from itertools import combinations_with_replacement
+
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.durable import Durable
 from .bic import members, model_rows, required, score_models
 from .catalogue import decomposable
 from .entropy import entropy
-from .patterns import label, total
+from .family import bits
+from .patterns import _small, label, next_level, single_items, total
 
 
 def posterior(weighted: DataFrame, prior: Column | None = None) -> DataFrame:
@@ -30,12 +34,20 @@ def named(scores: DataFrame, k: int = 63) -> DataFrame:
     return scores.select(label("mask", k).alias("itemset"), F.bit_count("mask").cast("int").alias("size"), (F.round("score", 6) + F.lit(0.0)).alias("score"))
 
 
+def exact_over(patterns: DataFrame, families: list[list[int]], k: int, log_prior: list[float] | None = None) -> DataFrame:
+    """(mask, score) over a space of decomposable families of one's own, given by maximal sets, with log priors for them (else equal)."""
+    spark, n = patterns.sparkSession, total(patterns)
+    models = model_rows(spark, dict(enumerate(families)))
+    weighted = score_models(models, entropy(patterns, required(models)), n).select("model_id", "log_bic")
+    if log_prior is not None:
+        prior = spark.createDataFrame([(i, float(v)) for i, v in enumerate(log_prior)], "model_id bigint, log_prior double")
+        weighted = weighted.join(prior, "model_id").select("model_id", (F.col("log_bic") + F.col("log_prior")).alias("log_bic"))
+    return exact(weighted, members(models, k))
+
+
 def exact_decomposable(patterns: DataFrame, k: int) -> DataFrame:
     """(mask, score) over all decomposable families of k <= 6 items."""
-    spark, n = patterns.sparkSession, total(patterns)
-    models = model_rows(spark, dict(enumerate(decomposable(k))))
-    weighted = score_models(models, entropy(patterns, required(models)), n)
-    return exact(weighted.select("model_id", "log_bic"), members(models, k))
+    return exact_over(patterns, decomposable(k), k)
 
 
 def estimate(models: DataFrame, k: int, max_size: int | None = None, id_cols: tuple[str, ...] = ("chain_id", "draw")) -> DataFrame:
@@ -54,7 +66,7 @@ def estimate_wide(models: DataFrame, max_size: int = 3) -> DataFrame:
     """The same for any number of items, as (itemset, size, hits, n_models, score, se): itemsets of up to max_size items by name."""
     from itertools import combinations
 
-    from .family import bits, canonical
+    from .family import canonical
 
     def named_subsets(frames):
         for pdf in frames:
@@ -90,80 +102,106 @@ def mine_explode(models: DataFrame, k: int, sigma: float, strict: bool = True) -
 
 def mine_levelwise(models: DataFrame, k: int, sigma: float, max_size: int | None = None) -> DataFrame:
     """The same, level by level: an itemset is counted only if all its subsets one smaller are above sigma."""
-    keys = ("chain_id", "draw")
+    keys, store = ("chain_id", "draw"), Durable(models.sparkSession, "levels")
     cliques = models.select(*keys, F.explode("maximal").alias("m")).select(*keys, F.col("m").cast("bigint").alias("m"))
-    n = models.count()
-    level = models.sparkSession.range(k).select(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.col("id").cast("int")).alias("mask"))
-    made = None
+    n, level, made = models.count(), single_items(models.sparkSession, k), None
     for size in range(1, (max_size or k) + 1):
-        hits = cliques.join(F.broadcast(level), F.col("m").bitwiseAND(F.col("mask")) == F.col("mask")).select(*keys, "mask").distinct().groupBy("mask").agg(F.count("*").alias("hits"))
-        kept = hits.filter(F.col("hits") > sigma * n)
-        rows = [(r.mask, r.hits) for r in kept.toLocalIterator()]  # itemsets above the threshold of one size
-        if not rows:
-            break
-        now = models.sparkSession.createDataFrame(rows, "mask bigint, hits bigint")
-        made = now if made is None else made.unionByName(now)
-        held = {m for m, _ in rows}
-        grown = {a | 1 << i for a in held for i in range(k) if not a >> i & 1}
-        grown = {g for g in grown if all(g ^ 1 << i in held for i in range(k) if g >> i & 1)}
-        if not grown:
+        level = store.save(level, f"level{size}")
+        held = cliques.join(_small(level.select("mask")), F.col("m").bitwiseAND(F.col("mask")) == F.col("mask"))
+        hits = held.select(*keys, "mask").distinct().groupBy("mask").agg(F.count("*").alias("hits"))
+        kept = store.save(hits.filter(F.col("hits") > sigma * n).join(level, "mask"), f"kept{size}")
+        made = kept if made is None else made.unionByName(kept)
+        if kept.isEmpty():
             break
-        level = models.sparkSession.createDataFrame([(g,) for g in sorted(grown)], "mask bigint")
-    made = made if made is not None else models.sparkSession.createDataFrame([], "mask bigint, hits bigint")
-    return _shares(made, models)
+        level = next_level(kept.select("mask", "size", "top"), k)
+    return _shares(made.select("mask", "hits"), models)
 
 
-def vertical(models: DataFrame, k: int) -> DataFrame:
-    """(x, y, models): for every pair of items, and every item with itself, the models that link them."""
-    pairs = models.select(F.struct("chain_id", "draw").alias("id"), F.explode("maximal").alias("m")).select("id", F.col("m").cast("bigint").alias("m"))
-    items = F.filter(F.sequence(F.lit(1), F.lit(k)), lambda i: F.getbit("m", i - 1) == 1)
-    return pairs.select("id", F.explode(items).alias("x"), items.alias("all")).select("id", "x", F.explode("all").alias("y")).filter("x <= y").distinct()
+_PAIRS = "number long, x int, y int"
 
 
-def mine_dfs(models: DataFrame, k: int, sigma: float) -> DataFrame:
-    """The same, depth first from each least item: a set's models are the common models of its pairs.
+def vertical(models: DataFrame) -> DataFrame:
+    """(number, x, y): for every pair of items, and every item with itself, the models that link them; any number of items."""
+    numbered = models.select("maximal", (F.row_number().over(Window.orderBy("chain_id", "draw")) - 1).cast("long").alias("number"))
 
-    In a family of a chordal graph an itemset belongs iff all its pairs do, so the models of a set are an AND of
-    bitmaps.  The pair bitmaps have K^2 / 2 times R bits; each group holds those of one least item.
+    def linked(frames):
+        for pdf in frames:
+            rows = []
+            for number, maximal in zip(pdf["number"], pdf["maximal"], strict=True):
+                pairs = {p for m in maximal for p in combinations_with_replacement([b.bit_length() for b in bits(int(m))], 2)}
+                rows += [(number, x, y) for x, y in pairs]
+            yield pd.DataFrame(rows, columns=["number", "x", "y"])
+
+    return numbered.select("number", "maximal").mapInPandas(linked, _PAIRS)
+
+
+def pair_bitmaps(models: DataFrame) -> dict[tuple[int, int], int]:
+    """The models of each pair as one number, from K^2 / 2 times R / 62 words: bounded by items and models, not by data."""
+    word, bit = F.floor(F.col("number") / 62).alias("word"), F.call_function("shiftleft", F.lit(1).cast("bigint"), (F.col("number") % 62).cast("int"))
+    made: dict[tuple[int, int], int] = {}
+    for r in vertical(models).groupBy("x", "y", word).agg(F.bit_or(bit).alias("bits")).toArrow().to_pylist():
+        made[r["x"], r["y"]] = made.get((r["x"], r["y"]), 0) | r["bits"] << (62 * r["word"])
+    return made
+
+
+def _dig(pair: dict[tuple[int, int], int], k: int, first: int, least: float):
+    """(items, hits) of all itemsets from a least item on with more hits than `least`, depth first."""
+    stack = [((first,), pair.get((first, first), 0))]
+    while stack:
+        items, held = stack.pop()
+        if held.bit_count() <= least:
+            continue
+        yield items, held.bit_count()
+        for new in range(items[-1] + 1, k + 1):
+            both = held
+            for i in items:
+                both &= pair.get((i, new), 0)
+                if not both:
+                    break
+            if both:
+                stack.append(((*items, new), both))
+
+
+def mine_dfs_named(models: DataFrame, k: int, sigma: float) -> DataFrame:
+    """(itemset, size, hits, n_models, score, se) of all itemsets above sigma, for any number of items.
+
+    Depth first from each least item: in a family of a chordal graph an itemset belongs iff all its pairs do, so
+    the models of a set are an AND of bitmaps of its pairs.
     """
     n = models.count()
-    ids = models.select("chain_id", "draw").distinct().orderBy("chain_id", "draw")
-    numbered = {(r.chain_id, r.draw): i for i, r in enumerate(ids.toLocalIterator())}  # one number for each chain
-    bitmaps: dict[tuple[int, int], int] = {}
-    for r in vertical(models, k).toLocalIterator():
-        key = (r.x, r.y)
-        bitmaps[key] = bitmaps.get(key, 0) | 1 << numbered[r.id.chain_id, r.id.draw]
-    shared = models.sparkSession.sparkContext.broadcast(bitmaps)
-
-    def dig(pdf: pd.DataFrame) -> pd.DataFrame:
-        pair, rows = shared.value, []
-        for first in pdf["id"]:
-            first = int(first) + 1
-            stack = [((first,), pair.get((first, first), 0))]
-            while stack:
-                items, held = stack.pop()
-                hits = held.bit_count()
-                if hits <= sigma * n:
-                    continue
-                rows.append((sum(1 << (i - 1) for i in items), hits))
-                for new in range(items[-1] + 1, k + 1):
-                    both = held
-                    for i in items:
-                        both &= pair.get((i, new), 0)
-                        if not both:
-                            break
-                    if both:
-                        stack.append(((*items, new), both))
-        return pd.DataFrame(rows, columns=["mask", "hits"])
-
-    first = models.sparkSession.range(0, k, 1, k)
-    return _shares(first.groupBy("id").applyInPandas(dig, "mask bigint, hits bigint"), models)
+    shared = models.sparkSession.sparkContext.broadcast(pair_bitmaps(models))
+
+    def dig(frames):
+        for pdf in frames:
+            rows = [("-".join(map(str, items)), len(items), hits) for first in pdf["id"] for items, hits in _dig(shared.value, k, int(first) + 1, sigma * n)]
+            yield pd.DataFrame(rows, columns=["itemset", "size", "hits"])
+
+    made = models.sparkSession.range(0, k, 1, k).mapInPandas(dig, "itemset string, size int, hits bigint")
+    score = F.col("hits") / F.lit(max(1, n))
+    return made.select("*", F.lit(n).cast("bigint").alias("n_models"), score.alias("score"), F.sqrt(score * (1 - score) / F.lit(max(1, n))).alias("se"))
+
+
+def mine_dfs(models: DataFrame, k: int, sigma: float) -> DataFrame:
+    """The same as (mask, size, hits, n_models, score, se), for up to 62 items."""
+    bit = lambda i: F.call_function("shiftleft", F.lit(1).cast("bigint"), i.cast("int") - 1)
+    mask = F.aggregate(F.split("itemset", "-"), F.lit(0).cast("bigint"), lambda a, i: a.bitwiseOR(bit(i)))
+    return mine_dfs_named(models, k, sigma).select(mask.alias("mask"), "size", "hits", "n_models", "score", "se")
 
 
 def top_k(scores: DataFrame, size: int = 2, k: int = 4) -> DataFrame:
     return scores.filter(F.col("size") == size).orderBy(F.col("score").desc(), "itemset" if "itemset" in scores.columns else "mask").limit(k)
 
 
+def holders(models: DataFrame, itemset: int) -> DataFrame:
+    """The sampled models whose family holds an itemset, of any width: what its score is made of."""
+
+    @F.pandas_udf("boolean")
+    def holds(maximal: pd.Series) -> pd.Series:
+        return maximal.map(lambda ms: any(int(m) & itemset == itemset for m in ms))
+
+    return models.filter(holds("maximal"))
+
+
 def explain(patterns: DataFrame, pairs: DataFrame) -> DataFrame:
     """pairs(x, y) of masks -> fr(x), fr(xy), p(y | x)."""
     from .patterns import support

@@ -20,7 +20,7 @@ def _least(part: int) -> int:
 
 
 class ChainState:
-    __slots__ = ("k", "maxs", "occ", "once", "parts", "weights", "md", "rebuild")
+    __slots__ = ("k", "maxs", "occ", "once", "parts", "weights", "md", "rebuild", "order", "merges")
 
     def __init__(self, k: int, maxs: list[int] | None = None, rebuild: bool = False):
         self.k, self.rebuild = k, rebuild
@@ -34,6 +34,8 @@ class ChainState:
         self.parts = joints(listed)
         self.weights = {s: pair_count(parts) for s, parts in self.parts.items()}
         self.md = sum(self.weights.values())
+        self.order: list[int] | None = None  # joints in order, and the merges of those drawn from, until they change
+        self.merges: dict[int, list[tuple[bool, int, int, int]]] = {}
 
     @property
     def degree(self) -> int:
@@ -49,18 +51,19 @@ class ChainState:
             x = pair & -pair
             return False, whole & ~pair, x, pair ^ x
         n -= len(self.once)
-        for s in sorted(self.parts):
+        if self.order is None:
+            self.order = sorted(self.parts)
+        for s in self.order:
             count = self.weights[s]
             if n >= count:
                 n -= count
                 continue
-            for v, w in combinations(self.parts[s], 2):
-                here = v.bit_count() * w.bit_count()
-                if n < here:
-                    i, j = divmod(n, w.bit_count())
-                    x, y = list(bits(v))[i], list(bits(w))[j]
-                    return True, s, min(x, y), max(x, y)
-                n -= here
+            made = self.merges.get(s)
+            if made is None:
+                items = [list(bits(p)) for p in self.parts[s]]
+                made = [(True, s, x, y) if x < y else (True, s, y, x) for v, w in combinations(items, 2) for x in v for y in w]
+                self.merges[s] = made
+            return made[n]
         raise IndexError("no such move")
 
     # -- moves ---------------------------------------------------------------------------------
@@ -104,6 +107,8 @@ class ChainState:
                         insort(self.once, pair)
 
     def _put(self, s: int, parts: list[int]) -> None:
+        self.order = None
+        self.merges.pop(s, None)
         if s in self.parts:
             del self.parts[s]
             self.md -= self.weights.pop(s)

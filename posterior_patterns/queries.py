@@ -5,6 +5,7 @@ Sampled results are turned into verdicts that don't depend on a seed.
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 from itertools import combinations
 
@@ -15,6 +16,7 @@ from . import oracles as O
 from . import workloads as W
 from .operators import baselines, bic, catalogue, entropy, expmodel, family, measures, moves, patterns, sampler, score
 from .operators.family import mask_of
+from .plans.durable import Durable
 from .sources import encode
 from .sources.encode import SPECS, to_baskets
 from .sources.tables import example, load
@@ -465,27 +467,18 @@ def mcmc_partition_invariance(spark, d):
     return made
 
 
-@query(_values([("supersteps", 0), ("entropies", 0)], "tier, differing", "tier, CAST(differing AS BIGINT) AS differing"))
+@query(_values([(t, n, 0) for t in ("supersteps", "entropies") for n in ("last", "thinned", "bounded")], "tier, draws, differing", "tier, draws, CAST(differing AS BIGINT) AS differing"))
 def mcmc_tiers_agree(spark, d):
-    """The same chains whether tasks hold patterns, computed entropies, or ask for them in supersteps."""
-    pick = lambda t, **o: W.sampled(spark, d, "line5", 16, 300, tier=t, **o).select("chain_id", F.col("maximal").cast("string").alias("m"))
-    base = pick("patterns", max_clique=3)
-    made = None
-    for t in ("supersteps", "entropies"):
-        # itemsets proposed beyond the computed sizes would be missing, so cliques are bounded and sets of four tabled
-        other = pick(t, max_clique=3) if t == "supersteps" else _table_tier(spark, d)
-        one = base.exceptAll(other).agg(F.count("*").alias("differing")).select(F.lit(t).alias("tier"), "differing")
-        made = one if made is None else made.unionByName(one)
+    """The same chains and draws whether tasks hold patterns, computed entropies, or ask for them in supersteps; eight items."""
+    p, made = patterns.compress(to_baskets(spark, d, SPECS["line"])).persist(), None
+    for name, options in (("last", {}), ("thinned", {"thin": 40}), ("bounded", {"max_clique": 3})):
+        base, *others = (sampler.sample_models(p, 8, 12, 200, 1, tier=t, **options).select("chain_id", "draw", F.col("maximal").cast("string").alias("m")) for t in ("patterns", "supersteps", "entropies"))
+        for tier, other in zip(("supersteps", "entropies"), others, strict=True):
+            one = base.exceptAll(other).unionByName(other.exceptAll(base)).agg(F.count("*").alias("differing")).select(F.lit(tier).alias("tier"), F.lit(name).alias("draws"), "differing")
+            made = one if made is None else made.unionByName(one)
     return made
 
 
-def _table_tier(spark, d):
-    p = W.patterns_of(spark, d, "line5")
-    table, n = sampler.precomputed(p, 5, 5), patterns.total(p)
-    rows = [(i, str([str(m) for m in sampler.run_chain(entropy.EntropyTable(table, n), 5, n, 300, sampler.chain_seed(1, i), max_clique=3)[0][0]])) for i in range(16)]
-    return _rows(spark, [(i, m.replace("'", "")) for i, m in rows], "chain_id bigint, m string")
-
-
 @query()
 def mcmc_diagnostics(spark, d):
     return sampler.diagnostics(W.sampled(spark, d, "path_1000", CHAINS))
@@ -600,24 +593,135 @@ def default_steps(spark, d):
     return _rows(spark, [(k, sampler.default_steps(k)) for k in (15, 100, 139, 90)], "k int, steps bigint")
 
 
-@query()
+#: Chains of the curves; the least threshold, 0.01, is more than two of them.
+CURVE_CHAINS = 256
+_SYNTHETIC = ("ind_100", "ind_1000", "ind_10000", "path_100", "path_1000", "path_10000")
+
+
+def _curve_verdicts(spark, name, k, found, sigmas, ideal=None):
+    """Checks of a curve that hold for any seed."""
+    points = {r.sigma: r.n_itemsets for r in measures.curve(found, sigmas).collect()}  # one row a threshold
+    ordered = [points[s] for s in sorted(points)]
+    rows = [(name, "falls", ordered == sorted(ordered, reverse=True)), (name, "single items", all(n >= k for n in ordered))]
+    if ideal is not None:
+        rows.append((name, "ideal from 0.2 on", all(n == ideal for s, n in points.items() if s >= 0.2)))
+    return rows
+
+
+def _curve_rows(names, ideal=()):
+    return _values([(n, c, True) for n in names for c in ("falls", "single items", *(("ideal from 0.2 on",) if n in ideal else ()))], "name, check_, ok", 'name, check_ AS "check", ok')
+
+
+@query(_curve_rows(_SYNTHETIC, ("ind_10000", "path_10000")))
 def curve_ind_path(spark, d):
+    """How many itemsets score above each threshold, at all three sizes; the large sets reach the ideal numbers."""
+    rows = []
+    for name in _SYNTHETIC:
+        found = score.estimate(W.sampled(spark, d, name, CURVE_CHAINS), 15)
+        rows += _curve_verdicts(spark, name, 15, found, W.SIGMAS_SYNTHETIC, len(W.ideal_family(name)) if name.endswith("_10000") else None)
+    return _rows(spark, rows, "name string, check string, ok boolean")
+
+
+@query()
+def curve_synthetic_points(spark, d):
+    """The points of the same curves."""
     made = None
-    for name in ("ind_100", "ind_1000", "ind_10000", "path_100", "path_1000", "path_10000"):
+    for name in _SYNTHETIC:
         one = W.curve_of(spark, d, name, CHAINS, W.SIGMAS_SYNTHETIC).select(F.lit(name).alias("name"), "sigma", "n_itemsets")
         made = one if made is None else made.unionByName(one)
     return made
 
 
-@query()
+#: Sets of real data with their chains in the queries.
+_REAL = {"words15": 128, "words30": 48, "brand": 48, "size": 8}
+
+
+@query(_curve_rows(_REAL))
+def curve_real(spark, d):
+    """The curves of the word, brand and size sets."""
+    rows = []
+    for name, chains in _REAL.items():
+        p, k = W.named_patterns(spark, d, name)
+        rows += _curve_verdicts(spark, name, k, score.estimate(sampler.sample_models(p, k, chains, seed=1), k), W.SIGMAS_REAL)
+    return _rows(spark, rows, "name string, check string, ok boolean")
+
+
+@query(_values([("words15", True), ("words30", True), ("size", True), ("path_100", True), ("thermo", True)], "name, ok", "name, ok"))
 def correlations_sampled(spark, d):
+    """Correlations of sampled scores with frequency, entropy and index gap are numbers from -1 to 1, or null where a side is constant; ordered chains score near pairs higher."""
+    rows = []
+    for name, chains in {"words15": 128, "words30": 48, "size": 8, "path_100": CHAINS, "thermo": CHAINS}.items():
+        p, k = W.named_patterns(spark, d, name)
+        r = measures.correlations(measures.scatter(score.estimate(sampler.sample_models(p, k, chains, seed=1), k), p, 0.05)).first()
+        ok = all(c is None or -1 - 1e-9 <= c <= 1 + 1e-9 for c in (r.corr_fr, r.corr_h, r.corr_gap))
+        rows.append((name, ok and (name not in ("path_100", "thermo") or r.corr_gap is None or r.corr_gap < 0)))
+    return _rows(spark, rows, "name string, ok boolean")
+
+
+@query()
+def correlations_points(spark, d):
+    """The same correlations as numbers."""
     made = None
-    for name in ("path_100", "cust", "thermo"):
-        one = W.score_against(spark, d, name, CHAINS).select(F.lit(name).alias("name"), "n", "corr_fr", "corr_h", "corr_gap")
+    for name in ("words15", "path_100", "cust", "thermo"):
+        p, k = W.named_patterns(spark, d, name)
+        found = measures.correlations(measures.scatter(score.estimate(sampler.sample_models(p, k, CHAINS, seed=1), k), p, 0.05))
+        one = found.select(F.lit(name).alias("name"), "n", "corr_fr", "corr_h", "corr_gap")
+        made = one if made is None else made.unionByName(one)
+    return made
+
+
+@query(_values([(i, True) for i in range(1, 5)], "place, ok", "CAST(place AS INT) AS place, ok"))
+def top4_words_sampled(spark, d):
+    """The four pairs of words with the greatest sampled scores, by name: in order, and none left out scores more."""
+    labels = [r.label for r in encode.words_catalog(load(spark, d, "documents"), 15).orderBy("ord").collect()]  # 15 rows
+    p, k = W.named_patterns(spark, d, "words15")
+    found = score.estimate(sampler.sample_models(p, k, CHAINS, seed=1), k)
+    every = sorted((r.score for r in found.filter("size = 2").collect()), reverse=True)  # at most 105 pairs
+    top = [(r.score, [labels[i] for i in range(k) if r.mask >> i & 1]) for r in score.top_k(found, 2, 4).collect()]
+    return _rows(spark, [(i + 1, s == every[i] and len(set(words)) == 2) for i, (s, words) in enumerate(top)], "place int, ok boolean")
+
+
+@query(_values([("dfs", 0), ("levelwise", 0)], "miner, differing", "miner, CAST(differing AS BIGINT) AS differing"))
+def mine_sampled_agree(spark, d):
+    """The miners find the same itemsets of sampled models as counting every member does."""
+    p, k = W.named_patterns(spark, d, "words15")
+    models, made = sampler.sample_models(p, k, 24, 800, 5), None
+    base = score.mine_explode(models, k, 0.1).select("mask", "hits")
+    for name, mine in (("dfs", score.mine_dfs), ("levelwise", score.mine_levelwise)):
+        other = mine(models, k, 0.1).select("mask", "hits")
+        one = base.exceptAll(other).unionByName(other.exceptAll(base)).agg(F.count("*").alias("differing")).select(F.lit(name).alias("miner"), "differing")
         made = one if made is None else made.unionByName(one)
     return made
 
 
+@query(_values([("up to three items", 0)], "sets, differing", "sets, CAST(differing AS BIGINT) AS differing"))
+def mine_wide_words(spark, d):
+    """Depth-first mining of 90 items, beyond one word of bits, against counting the members of up to three items."""
+    p, k = W.named_patterns(spark, d, "words90")
+    models = sampler.sample_models(p, k, 6, 1200, 3)
+    found = score.mine_dfs_named(models, k, 0.4).filter("size <= 3").select("itemset", "hits")
+    base = score.estimate_wide(models).filter("score > 0.4").select("itemset", "hits")
+    return base.exceptAll(found).unionByName(found.exceptAll(base)).agg(F.count("*").alias("differing")).select(F.lit("up to three items").alias("sets"), "differing")
+
+
+_LOG_PRIOR = -0.75
+
+
+@query(f"""{O.exact_cte(O.patterns_cte('word5'), 5)}, prior AS (SELECT g, b + {_LOG_PRIOR} * bit_count(g) AS b FROM bic), pe AS (SELECT g, exp(b - (SELECT max(b) FROM prior)) AS e FROM prior)
+SELECT xs.itemset, xs.size, round(sum(pe.e) / (SELECT sum(e) FROM pe), 6) + 0.0 AS score FROM held JOIN pe USING (g) JOIN xs USING (x) GROUP BY xs.itemset, xs.size""")
+def exact_score_with_prior(spark, d):
+    """A model space and a prior of one's own: all decomposable families, each pair of items costing a factor."""
+    space = catalogue.decomposable(5)
+    prior = [_LOG_PRIOR * len({p for m in f for p in combinations(family.bits(m), 2)}) for f in space]
+    return score.named(score.exact_over(W.patterns_of(spark, d, "word5"), space, 5, prior), 5)
+
+
+@query(f"{_FIXED_SQL} SELECT CAST(id AS BIGINT) AS chain_id FROM m WHERE m & 12 = 12 GROUP BY id")
+def explain_holders(spark, d):
+    """Which models a score is made of."""
+    return score.holders(fixed_models(spark), 12).select("chain_id")
+
+
 @query(f"WITH {O.patterns_cte('cust')} SELECT '1' AS x, '5' AS y, round(sum(CASE WHEN mask & 1 = 1 THEN n ELSE 0 END) / sum(n), 6) AS fr_x, round(sum(CASE WHEN mask & 17 = 17 THEN n ELSE 0 END) / sum(n), 6) AS fr_xy, round(sum(CASE WHEN mask & 17 = 17 THEN n ELSE 0 END) / sum(CASE WHEN mask & 1 = 1 THEN n ELSE 0 END), 6) AS p_y_given_x FROM p")
 def explain_pair(spark, d):
     found = score.explain(W.patterns_of(spark, d, "cust"), _rows(spark, [(1, 16)], "x bigint, y bigint"))
@@ -674,16 +778,41 @@ def rel_rollup_events(spark, d):
     return load(spark, d, "events").rollup("event_type", F.to_date("ts").cast("string").alias("day")).agg(F.count("*").alias("n"))
 
 
-@query("SELECT user_id, CAST(count(*) FILTER (event_type = 'view') AS BIGINT) AS views, CAST(count(*) FILTER (event_type = 'click') AS BIGINT) AS clicks FROM events GROUP BY user_id")
+_TYPES = streams.TYPES
+
+
+@query("SELECT user_id, " + ", ".join(f"CAST(count(*) FILTER (event_type = '{t}') AS BIGINT) AS {t}s" for t in _TYPES) + " FROM events GROUP BY user_id")
 def rel_pivot_items(spark, d):
-    e = load(spark, d, "events").groupBy("user_id").pivot("event_type", ["view", "click"]).agg(F.count("event_id"))
-    return e.select("user_id", F.coalesce("view", F.lit(0)).alias("views"), F.coalesce("click", F.lit(0)).alias("clicks"))
+    e = load(spark, d, "events").groupBy("user_id").pivot("event_type", list(_TYPES)).agg(F.count("event_id"))
+    return e.select("user_id", *(F.coalesce(t, F.lit(0)).alias(f"{t}s") for t in _TYPES))
 
 
-@query("SELECT user_id, item, v AS value FROM (SELECT user_id, CAST(max(CASE WHEN event_type = 'view' THEN 1 ELSE 0 END) AS INT) AS a, CAST(max(CASE WHEN event_type = 'click' THEN 1 ELSE 0 END) AS INT) AS b FROM events GROUP BY user_id) AS t, LATERAL (VALUES ('view', a), ('click', b)) AS u(item, v)")
+@query("SELECT user_id, item, v AS value FROM (SELECT user_id, " + ", ".join(f"CAST(max(CASE WHEN event_type = '{t}' THEN 1 ELSE 0 END) AS INT) AS c{i}" for i, t in enumerate(_TYPES)) + " FROM events GROUP BY user_id) AS t, LATERAL (VALUES " + ", ".join(f"('{t}', c{i})" for i, t in enumerate(_TYPES)) + ") AS u(item, v)")
 def rel_unpivot_items(spark, d):
-    e = load(spark, d, "events").groupBy("user_id").agg(F.max(F.when(F.col("event_type") == "view", 1).otherwise(0)).alias("view"), F.max(F.when(F.col("event_type") == "click", 1).otherwise(0)).alias("click"))
-    return e.unpivot("user_id", ["view", "click"], "item", "value")
+    e = load(spark, d, "events").groupBy("user_id").agg(*(F.max(F.when(F.col("event_type") == t, 1).otherwise(0)).alias(t) for t in _TYPES))
+    return e.unpivot("user_id", list(_TYPES), "item", "value")
+
+
+@query("SELECT event_type, count(DISTINCT user_id) > 0 AS ok, round(quantile_cont(value, 0.5), 4) AS median, round(corr(value, user_id), 4) AS r FROM events GROUP BY event_type")
+def rel_quantiles(spark, d):
+    """Exact median and correlation; the approximate distinct count and percentile lie near the exact ones."""
+    near = F.abs(F.approx_count_distinct("user_id", 0.02) / F.count_distinct("user_id") - 1) < 0.1
+    close = F.abs(F.percentile_approx("value", 0.5, 10_000) - F.percentile("value", F.lit(0.5))) <= F.lit(0.02) * (F.max("value") - F.min("value"))
+    return load(spark, d, "events").groupBy("event_type").agg((near & close).alias("ok"), F.round(F.percentile("value", F.lit(0.5)), 4).alias("median"), F.round(F.corr("value", "user_id"), 4).alias("r"))
+
+
+@query("SELECT event_id, lead(event_type) OVER w AS next_type, CAST(sum(1) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 1 FOLLOWING) AS BIGINT) AS around FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+def rel_window_moving(spark, d):
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    return load(spark, d, "events").select("event_id", F.lead("event_type").over(w).alias("next_type"), F.sum(F.lit(1)).over(w.rowsBetween(-2, 1)).alias("around"))
+
+
+@query("SELECT user_id, CAST(count(DISTINCT event_type) AS BIGINT) AS kinds, CAST(max(c) AS BIGINT) AS most FROM (SELECT user_id, event_type, count(*) AS c FROM events GROUP BY user_id, event_type) AS t GROUP BY user_id")
+def fn_maps_of_counts(spark, d):
+    """Item counts of a user as a map: its size and its greatest value."""
+    counts = load(spark, d, "events").groupBy("user_id", "event_type").agg(F.count("*").alias("c"))
+    maps = counts.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "c"))).alias("m"))  # one entry a type
+    return maps.select("user_id", F.size("m").cast("bigint").alias("kinds"), F.array_max(F.map_values(F.map_filter("m", lambda k, v: v > 0))).alias("most"))
 
 
 @query(f"{_FIXED_SQL} SELECT CAST(lo AS DOUBLE) AS lo, CAST(hi AS DOUBLE) AS hi, itemset FROM s JOIN (VALUES (0.0, 0.25), (0.25, 0.55), (0.55, 1.01)) AS b(lo, hi) ON score >= lo AND score < hi")
@@ -719,11 +848,11 @@ def rel_anti_unlabelled(spark, d):
     return load(spark, d, "documents").join(load(spark, d, "labels"), "doc_id", "left_anti").select("doc_id")
 
 
-@query("SELECT user_id, event_id, CAST(r AS INT) AS r, CAST(n4 AS INT) AS n4, event_type IS NOT DISTINCT FROM p AS same FROM (SELECT user_id, event_id, event_type, row_number() OVER w AS r, ntile(4) OVER w AS n4, lag(event_type) OVER w AS p FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) AS t WHERE r <= 5")
+@query("SELECT user_id, event_id, CAST(r AS INT) AS r, CAST(n4 AS INT) AS n4, event_type IS NOT DISTINCT FROM p AS same FROM (SELECT user_id, event_id, event_type, row_number() OVER w AS r, ntile(4) OVER w AS n4, lag(event_type) OVER w AS p FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) AS t")
 def rel_window_runs(spark, d):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
     e = load(spark, d, "events").select("user_id", "event_id", "event_type", F.row_number().over(w).alias("r"), F.ntile(4).over(w).alias("n4"), F.lag("event_type").over(w).alias("p"))
-    return e.filter("r <= 5").select("user_id", "event_id", "r", "n4", F.col("event_type").eqNullSafe(F.col("p")).alias("same"))
+    return e.select("user_id", "event_id", "r", "n4", F.col("event_type").eqNullSafe(F.col("p")).alias("same"))
 
 
 @query("SELECT event_id, CAST(sum(CASE WHEN event_type = 'click' THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) % 2 AS BIGINT) AS parity FROM events")
@@ -766,7 +895,8 @@ def udtf_subsets(spark, d):
     return spark.sql("SELECT canonical(m) AS itemset, count(*) AS subsets FROM VALUES (3L), (7L), (1L) AS t(m), LATERAL subsets(m, 3) GROUP BY m")
 
 
-@query(f"SELECT CAST(id AS INT) AS id, CAST(n AS BIGINT) AS n FROM (VALUES (1, {moves.degrees(F1)[2]}), (2, {moves.degrees(F2)[2]}), (3, {moves.degrees(F3)[2]})) AS t(id, n)")
+@query(f"""WITH {O._graphs(5)}, e AS (SELECT * FROM (VALUES {', '.join(f'({1 << i})' for i in range(10))}) AS t(e)), f AS (SELECT * FROM (VALUES {', '.join(f'({i}, {_graph_number(m, 5)})' for i, m in _FAMILIES.items())}) AS t(id, start))
+SELECT CAST(id AS INT) AS id, CAST(count(*) AS BIGINT) AS n FROM f, e WHERE xor(f.start, e.e) IN (SELECT g FROM g) GROUP BY id""")
 def udtf_legal_moves(spark, d):
     from .functions.udfs import register
 
@@ -777,9 +907,9 @@ def udtf_legal_moves(spark, d):
 
 @query("SELECT event_type, round(-sum(q * ln(q)), 6) AS h FROM (SELECT event_type, count(*) / sum(count(*)) OVER (PARTITION BY event_type) AS q FROM events GROUP BY event_type, user_id) AS t GROUP BY event_type")
 def udaf_entropy(spark, d):
-    from .functions.udfs import entropy_agg
+    from .functions.udfs import group_entropy
 
-    return load(spark, d, "events").groupBy("event_type").agg(F.round(entropy_agg(F.col("user_id").cast("string")), 6).alias("h"))
+    return group_entropy(load(spark, d, "events"), "event_type", "user_id").select("event_type", F.round("h", 6).alias("h"))
 
 
 @query("SELECT a.event_type AS x, b.event_type AS y, CAST(count(*) AS BIGINT) AS users FROM (SELECT DISTINCT user_id, event_type FROM events) AS a JOIN (SELECT DISTINCT user_id, event_type FROM events) AS b ON a.user_id = b.user_id AND a.event_type < b.event_type GROUP BY 1, 2")
@@ -839,5 +969,40 @@ def stream_static_join(spark, d):
     return streams.run_to_end(streams.with_catalog(_event_stream(spark, d), catalog).groupBy("item_id").agg(F.count("*").alias("n")), "static_join")
 
 
+@query("SELECT event_type, round(sum(pow(0.5, (epoch(last) - epoch(ts)) / 86400.0)), 3) AS weight FROM events JOIN (SELECT event_type, max(ts) AS last FROM events GROUP BY event_type) AS l USING (event_type) GROUP BY event_type")
+def stream_decayed_support(spark, d):
+    """Support that halves every day, as of each type's last event."""
+    found = streams.run_to_end(streams.decayed_support(_event_stream(spark, d)), "decayed", "update")
+    return found.groupBy("event_type").agg(F.round(F.max_by("weight", "last"), 3).alias("weight"))
+
+
+@query("SELECT 'late users' AS what, CAST(count(DISTINCT user_id) AS BIGINT) AS dropped FROM events")
+def stream_late_rows(spark, d):
+    """Rows behind the watermark are dropped and counted: after all events, and the last once more, come one of each user from long before."""
+    store, events = Durable(spark, "late"), load(spark, d, "events")
+    old = events.groupBy("user_id").agg(F.min("event_id").alias("event_id")).select("event_id", F.lit("2020-01-01").cast("timestamp").alias("ts"), "user_id", F.lit("view").alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
+    for part in (events, events.orderBy(F.col("ts").desc()).limit(1), old):  # a batch each; a batch's rows meet the watermark of the one before
+        part.coalesce(1).write.mode("append").parquet(store.path("in"))
+        time.sleep(1.1)  # files are taken in the order of their times
+    progress: list = []
+    streams.run_to_end(streams.tumbling_baskets(streams.read_events(spark, store.path("in"))), "late", "append", progress).count()
+    return _rows(spark, [("late users", streams.dropped_late(progress))], "what string, dropped bigint")
+
+
+@query(_values([(str(i), True) for i in range(1, 6)], "itemset, ok", "itemset, ok"))
+def stream_rescore(spark, d):
+    """The masks of every micro-batch are scored anew: single items score 1 in each."""
+    sink = Durable(spark, "rescore").path("scores")
+    streams.rescore(_event_stream(spark, d).select(streams.event_mask().alias("mask")), 5, 8, 200, sink).start().awaitTermination()
+    found = spark.read.parquet(sink).filter("size = 1").groupBy("mask").agg((F.min("score") == 1).alias("ok"))
+    return found.select(patterns.label("mask", 5).alias("itemset"), "ok")
+
+
+@query()
+def general_scores_ex9_k4(spark, d):
+    """Scores over all 114 models of four items beside those over the 61 decomposable ones."""
+    return _named(W.general_and_decomposable(spark, 4).withColumn("size", F.bit_count("mask")), F.round("general", 6).alias("general"), F.round("decomposable", 6).alias("decomposable"), k=4)
+
+
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _exact(spark, W.patterns_of(spark, sf_dir, "word5_en"))

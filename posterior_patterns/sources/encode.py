@@ -13,10 +13,9 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.patterns import WORD_BITS
 from .tables import TABLES, load
 
-#: Items in a word of a wide transaction.
-WORD_BITS = 62
 
 
 @dataclass(frozen=True)

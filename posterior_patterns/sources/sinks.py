@@ -4,17 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 
-from ..plans.durable import Durable
-
 
 def write(df: DataFrame, path: str, partition_by: tuple[str, ...] = ()) -> None:
     """Parquet, partitioned (scores by size, models by run)."""
     df.write.mode("overwrite").partitionBy(*partition_by).parquet(path)
-
-
-def checkpoint_states(states: DataFrame, store: Durable, turn: int) -> DataFrame:
-    """Chain states of one superstep; the one before last is deleted."""
-    made = store.save(states, f"chain-states-{turn}")
-    if turn:
-        store.drop(f"chain-states-{turn - 1}")
-    return made

@@ -11,6 +11,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.durable import Durable
+
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
 TYPES = ("view", "click", "signup", "purchase", "error")
 #: Predicates of a running event transaction.
@@ -77,21 +79,31 @@ def decayed_support(events: DataFrame, half_life_s: float = 86_400.0) -> DataFra
     return events.select("event_type", "ts").groupBy("event_type").applyInPandasWithState(update, "event_type string, weight double, last double", "weight double, last double", "update", "NoTimeout")
 
 
-def run_to_end(stream: DataFrame, name: str, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
-    """Run over all that is there now and return the result table."""
-    spark = stream.sparkSession
-    spark.sql(f"DROP VIEW IF EXISTS {name}")
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    if checkpoint:
-        writer = writer.option("checkpointLocation", checkpoint)
-    query = writer.start()
+def run_to_end(stream: DataFrame, name: str, mode: str = "complete", progress: list | None = None) -> DataFrame:
+    """Run over all that is there now and return the result, which is written batch by batch to the shared folder.
+
+    Complete mode gives the last batch, the others all batches with repeats of a retried one replaced.  The
+    checkpoint lies in the shared folder too; `progress` receives the query's progress reports.
+    """
+    store, done = Durable(stream.sparkSession, f"stream-{name}"), []
+
+    def keep(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(store.path(f"result/batch={batch_id}"))
+        done.append(batch_id)
+
+    query = stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", store.path("checkpoint")).trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(name)
+    if progress is not None:
+        progress += query.recentProgress
+    if not done:
+        return stream.sparkSession.createDataFrame([], stream.schema)
+    paths = [store.path(f"result/batch={i}") for i in sorted(set(done))]
+    return stream.sparkSession.read.schema(stream.schema).parquet(*(paths[-1:] if mode == "complete" else paths))
 
 
-def dropped_late(query) -> int:
-    """Rows that a running query dropped behind its watermark, from its progress."""
-    return sum(op.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for op in (p["stateOperators"] if isinstance(p, dict) else []))
+def dropped_late(progress: list) -> int:
+    """Rows, or groups of them, dropped behind the watermark, from the progress reports of a query."""
+    return sum(op["numRowsDroppedByWatermark"] for p in progress for op in p["stateOperators"])
 
 
 def rescore(stream: DataFrame, k: int, restarts: int, steps: int, sink: str, seed: int = 0):
@@ -106,4 +118,4 @@ def rescore(stream: DataFrame, k: int, restarts: int, steps: int, sink: str, see
         models = sample_models(compress(batch.select("mask")), k, restarts, steps, seed + batch_id)
         estimate(models, k).withColumn("batch", F.lit(batch_id)).write.mode("append").parquet(sink)
 
-    return stream.writeStream.foreachBatch(each).outputMode("append").trigger(availableNow=True)
+    return stream.writeStream.foreachBatch(each).outputMode("append").option("checkpointLocation", Durable(stream.sparkSession, "rescore").path("checkpoint")).trigger(availableNow=True)

@@ -8,10 +8,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .operators import baselines, bic, entropy, expmodel, measures, sampler, score
-from .operators.family import mask_of, singletons, tree
+from .operators.family import mask_of, singletons
 from .operators.patterns import compress, itemset_table, total
-from .sources.encode import SPECS, to_baskets
-from .sources.tables import example
+from .plans.durable import Durable
+from .sources.encode import SPECS, to_baskets, word_baskets
+from .sources.tables import example, load
 
 #: The worked example's tree: pairs 12, 23, 24, 45.
 EXAMPLE_TREE = [mask_of(p) for p in ((1, 2), (2, 3), (2, 4), (4, 5))]
@@ -20,7 +21,17 @@ SIGMAS_REAL = [0.05, 0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9]
 
 
 def patterns_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return compress(to_baskets(spark, sf_dir, SPECS[name]))
+    """Patterns of an encoding, stored: whatever reads them, the rows are read once."""
+    return Durable(spark, f"patterns-{name}").save(compress(to_baskets(spark, sf_dir, SPECS[name])), "patterns")
+
+
+def named_patterns(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, int]:
+    """(patterns, items) of an encoding, or of the most common words of all documents, as in words90."""
+    if not name.startswith("words"):
+        return patterns_of(spark, sf_dir, name), SPECS[name].k
+    k = int(name.removeprefix("words"))
+    baskets = word_baskets(load(spark, sf_dir, "documents"), k)
+    return Durable(spark, f"patterns-{name}").save(compress(baskets), "patterns"), k
 
 
 def ideal_family(name: str) -> list[int]:
@@ -57,20 +68,17 @@ def curve_of(spark: SparkSession, sf_dir: str, name: str, restarts: int, sigmas:
 
 def score_against(spark: SparkSession, sf_dir: str, name: str, restarts: int, least: float = 0.05, **options) -> DataFrame:
     """One row of correlations of the score with frequency, entropy and index gap."""
-    patterns = patterns_of(spark, sf_dir, name).persist()
+    patterns = patterns_of(spark, sf_dir, name)
     found = score.estimate(sampler.sample_models(patterns, SPECS[name].k, restarts, seed=1, **options), SPECS[name].k)
     return measures.correlations(measures.scatter(found, patterns, least))
 
 
-def run_report(spark: SparkSession, sf_dir: str, name: str, restarts: int, steps: int | None = None) -> dict:
-    patterns = patterns_of(spark, sf_dir, name).persist()
+def run_report(spark: SparkSession, sf_dir: str, name: str, restarts: int, steps: int | None = None, **options) -> dict:
+    """Time, steps and acceptance of a sampling run; patterns are compressed before the clock starts."""
+    patterns, k = named_patterns(spark, sf_dir, name)
     n, began = total(patterns), time.time()
-    models = sampler.sample_models(patterns, SPECS[name].k, restarts, steps, 1).persist()
-    models.count()
-    made = measures.run_report(models, n, SPECS[name].k, time.time() - began)
-    models.unpersist()
-    patterns.unpersist()
-    return made
+    models = sampler.sample_models(patterns, k, restarts, steps, 1, partitions=restarts, **options)
+    return measures.run_report(models, n, k, time.time() - began)
 
 
 def general_and_decomposable(spark: SparkSession, k: int = 3) -> DataFrame:

@@ -152,3 +152,32 @@ def test_wide_patterns_have_the_same_entropies():
 def test_seeds_give_the_same_chain():
     a = sampler.run_chain(cache(), 5, 9, 500, 8)[0]
     assert a == sampler.run_chain(cache(), 5, 9, 500, 8)[0] == sampler.run_chain(cache(), 5, 9, 500, 8, rebuild=True)[0]
+
+
+def test_separators_do_not_depend_on_the_junction_tree():
+    """All spanning trees of greatest weight over the maximal sets have the same intersections."""
+    for f in catalogue.decomposable(5):
+        want = sorted(s for *_, s in family.junction_tree(f))
+        pairs = list(combinations(range(len(f)), 2))
+        best = -1
+        for edges in combinations(pairs, len(f) - 1):
+            home = list(range(len(f)))
+            for a, b in edges:
+                home = [home[a] if x == home[b] else x for x in home]
+            if len(set(home)) > 1:
+                continue
+            cuts = sorted(f[a] & f[b] for a, b in edges)
+            weight = sum(c.bit_count() for c in cuts)
+            if weight > best:
+                best, found = weight, {tuple(cuts)}
+            elif weight == best:
+                found.add(tuple(cuts))
+        if len(f) > 1:
+            assert found == {tuple(want)}
+
+
+def test_a_clique_bound_is_kept():
+    h = entropy.EntropyCache([31] * 20 + [0] * 20, [1] * 40)
+    for proposal in ("legal", "flip"):
+        families, _ = sampler.run_chain(h, 5, 40, 2000, 2, proposal=proposal, max_clique=3, thin=50)
+        assert max(m.bit_count() for f in families for m in f) == 3

@@ -10,12 +10,12 @@ from pyspark.sql import functions as F
 
 from posterior_patterns import queries as Q
 from posterior_patterns import workloads as W
-from posterior_patterns.operators import entropy, patterns, sampler, score
+from posterior_patterns.operators import entropy, expmodel, patterns, sampler, score
 from posterior_patterns.plans.durable import Durable
 from posterior_patterns.sources import sinks, tables
 
 #: They need 10,000 events, or take long for a test; compared at a larger scale by the driver.
-SKIPPED = {"synth_ind_10000_patterns", "mcmc_ind_ideal", "mcmc_path_ideal", "mcmc_planted_pair", "mcmc_thermo_chain", "curve_ind_path", "best_tree_edges", "correlations_sampled", "mcmc_variants", "synth_path_10000_patterns", "independence_explosion_count"}
+SKIPPED = {"synth_ind_10000_patterns", "mcmc_ind_ideal", "mcmc_path_ideal", "mcmc_planted_pair", "mcmc_thermo_chain", "curve_ind_path", "best_tree_edges", "correlations_sampled", "mcmc_variants", "synth_path_10000_patterns", "independence_explosion_count", "curve_real", "mine_wide_words", "top4_words_sampled"}
 
 
 @pytest.fixture(scope="module")
@@ -85,6 +85,45 @@ def test_tiers_and_partitions_give_one_result(spark):
         assert base == sorted((r.chain_id, tuple(r.maximal)) for r in sampler.sample_models(p, 5, 6, 80, 2, **options).collect())
 
 
+def test_wide_patterns_in_supersteps(spark):
+    """More items than a word has bits: the same chains and draws as with shipped patterns; models are stored once."""
+    rows = [([1 << (i % 5) | (1 << 61 if i % 2 else 0), 1 << (i % 3)],) for i in range(40)]
+    p = patterns.compress(spark.createDataFrame(rows, "words array<bigint>"))
+    pick = lambda tier: sampler.sample_models(p, 66, 3, 60, 4, tier=tier, thin=20)
+    base, other = ({(r.chain_id, r.draw): (sorted(r.maximal), round(r.log_bic, 6)) for r in pick(t).collect()} for t in ("patterns", "supersteps"))
+    assert base == other and len(base) == 9
+    with pytest.raises(ValueError):
+        pick("no such tier")
+
+
+def test_chains_that_are_not_done_are_an_error(spark):
+    p = patterns.compress(tables.example(spark))
+    with pytest.raises(RuntimeError):
+        sampler._supersteps(p, 5, 2, 200, 1, False, "legal", None, None, 1, Durable(spark, "t"), 1, max_rounds=1)
+
+
+def test_bounded_cliques_and_holders(spark):
+    p = patterns.compress(spark.createDataFrame([(31,)] * 40 + [(0,)] * 40, "mask bigint"))  # all five items as one
+    models = sampler.sample_models(p, 5, 6, 400, 1, max_clique=2)
+    assert {max(int(m).bit_count() for m in r.maximal) for r in models.collect()} == {2}
+    free = sampler.sample_models(p, 5, 6, 400, 1)
+    assert score.holders(free, 3).count() == next((r.hits for r in score.estimate(free, 5).collect() if r.mask == 3), 0)
+
+
+def test_entropies_of_groups(spark):
+    from posterior_patterns.functions.udfs import entropy_agg, group_entropy
+
+    df = spark.createDataFrame([("a", 1), ("a", 1), ("a", 2), ("b", 5), ("b", None)], "g string, k int")
+    one = {r.g: r.h for r in df.groupBy("g").agg(entropy_agg("k").alias("h")).collect()}
+    two = {r.g: r.h for r in group_entropy(df, "g", "k").collect()}
+    assert one == pytest.approx(two) and two["b"] == 0
+
+
+def test_indicators(spark):
+    p = spark.createDataFrame([(m,) for m in range(8)], "mask bigint")
+    assert p.agg(F.sum(expmodel.indicator(F.col("mask"), 5))).first()[0] == 2
+
+
 def test_durable_tables(spark):
     store = Durable(spark, "t")
     saved = store.save(spark.range(3), "a")
