@@ -194,26 +194,44 @@ def assign(docs: DataFrame, depth: int = DEPTH, seed: int = SEED, id_col: str =
     return done.select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken", F.concat_ws(",", "shards").alias("shards"))
 
 
-def mix_documents(docs: DataFrame, depth: int = DEPTH, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """docs with size, source_size, target, taken and shards; documents the mix doesn't take stay with taken = 0."""
-    store = Durable(docs.sparkSession, "mixing")
-    plan = block_plan(store.save(_sized(docs, id_col, text_col, source_col), "sizes"), store, depth, seed)
-    mine = ("size", "source_size", "target", "taken", "shards")
-    whole = F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("caller")
-    done = _with_draws(_sized(docs, id_col, text_col, source_col, whole), *plan, seed)
-    return done.select(*(F.col(f"caller.`{c}`") for c in docs.columns if c not in mine), *mine)
+def depth_for(words: float, shard_words: int = SHARD_WORDS) -> int:
+    """Depth of a tree whose shards hold about shard_words words each, DEPTH at least."""
+    return max(DEPTH, (int(words) // shard_words).bit_length())
 
 
-def shard_rows(mixed: DataFrame, depth: int = DEPTH, seed: int = SEED, id_col: str = "doc_id") -> DataFrame:
+def shard_rows(mixed: DataFrame, depth: int = DEPTH, seed: int = SEED, id_col: str = "doc_id", with_rest: bool = False) -> DataFrame:
     """One row for each drawn copy, with its number and shard (`copy`, `shard`), shuffled inside the shard by a keyed hash.
 
-    A shard is one partition; documents that the mix doesn't take have no row.
+    A shard lies in one partition.  Documents that the mix doesn't take have no row, or with_rest one without a shard.
     """
     kept = [F.col(f"`{c}`") for c in mixed.columns if c not in ("shards", "copy", "shard")]
-    copies = mixed.select(*kept, F.posexplode("shards").alias("copy", "shard"))
-    return copies.repartition(1 << depth, "shard").sortWithinPartitions("shard", F.xxhash64(F.lit(seed + 11), id_col, "copy"))
+    copies = mixed.select(*kept, (F.posexplode_outer if with_rest else F.posexplode)("shards").alias("copy", "shard"))
+    order = F.xxhash64(F.lit(seed + 11), F.col(id_col), F.col("copy"))
+    home = F.coalesce(F.col("shard"), F.pmod(order, F.lit(1 << depth)))  # those without a shard are spread
+    return copies.repartition(1 << depth, home).sortWithinPartitions("shard", order)
 
 
-def depth_for(words: int, shard_words: int = SHARD_WORDS) -> int:
-    """Depth of a tree whose shards hold about shard_words words each, DEPTH at least."""
-    return max(DEPTH, (max(1, words) // shard_words).bit_length())
+def mix_documents(docs: DataFrame, depth: int = DEPTH, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """docs with size, source_size, target, taken and shards; documents the mix doesn't take stay with taken = 0."""
+    return _mixed(docs, depth, seed, id_col, text_col, source_col)[0]
+
+
+def mix_shards(docs: DataFrame, depth: int | None = None, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """The mix itself: shard_rows() of mix_documents(), with as many shards as its words need if no depth is given.
+
+    Documents that it doesn't take stay, without a shard.
+    """
+    mixed, depth = _mixed(docs, depth, seed, id_col, text_col, source_col)
+    return shard_rows(mixed, depth, seed, id_col, with_rest=True)
+
+
+def _mixed(docs, depth, seed, id_col, text_col, source_col) -> tuple[DataFrame, int]:
+    store = Durable(docs.sparkSession, "mixing")
+    sizes = store.save(_sized(docs, id_col, text_col, source_col), "sizes")
+    if depth is None:
+        depth = depth_for(BUDGET * (sizes.agg(F.sum("size").alias("n")).first().n or 0))
+    plan = block_plan(sizes, store, depth, seed)
+    mine = ("size", "source_size", "target", "taken", "shards")
+    whole = F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("caller")
+    done = _with_draws(_sized(docs, id_col, text_col, source_col, whole), *plan, seed)
+    return done.select(*(F.col(f"caller.`{c}`") for c in docs.columns if c not in mine), *mine), depth

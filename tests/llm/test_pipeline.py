@@ -20,7 +20,11 @@ def test_stages_keep_columns_on_odd_and_empty_tables(spark, tmp_path):
         for i, (_, stage) in enumerate(corpus_pipeline.STAGES):
             got = stage(spark, docs, f"{tmp_path}/{name}")
             assert i == 4 or got.columns == docs.columns
-            assert got.count() <= len(texts)
+            assert got.count() <= len(texts) * (2 if i == 4 else 1)
+            if i == 4:
+                rows = got.collect()
+                assert sum(r.size for r in rows if r.shard is not None) >= sum({(r.doc_id, r.text): r.taken for r in rows}.values())
+                assert all((r.taken == 0) == (r.shard is None) for r in rows)
 
 
 def test_planted_cases(spark, tmp_path):
