@@ -2,6 +2,15 @@
 
 Every stage takes (spark, docs, sf_dir) and works on all rows its predecessor kept; its result is
 written as Parquet to the shared folder and read again for the next one.
+
+Defined cases, for all stages: a null text counts as empty, and a null id is a document like others; an
+empty text is not toxic unless empty texts are learned to be, equals other empty texts, is near only to
+them, holds no benchmark item and is never drawn by the mix; of equal texts, and of each group of near copies,
+the least id stays, null last; repeated rows are one document to the second stage; empty tables give empty
+results, and an empty benchmark or table of labels drops nothing; columns beyond those of documents are kept,
+whatever their names, but for those the last stage adds (size, source_size, target, taken, copy, shard).
+
+This module needs posterior_patterns.llm and is deleted with it.
 """
 
 from __future__ import annotations
@@ -31,8 +40,8 @@ def drop_leaks(spark, docs, sf_dir):
 
 
 def mix_sources(spark, docs, sf_dir):
-    """How many words of each document the mix takes, and for which output shards."""
-    return mixing.mix_documents(docs)
+    """One row for each copy of a document that the mix draws, dealt to output shards and shuffled inside them; documents it doesn't draw stay without a shard."""
+    return mixing.mix_shards(docs)
 
 
 STAGES = [
