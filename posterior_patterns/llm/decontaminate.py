@@ -34,8 +34,8 @@ from ..plans.durable import Durable
 from .text import arrow_map, blob, bound_batches, digest, free_name, powers, with_class
 
 MIN_MATCH, COVERAGE = 5, 0.5
-#: Binary digits of the number of bits in the seed table: 32 bits for a seed, within these bounds (16 MB at most).
-TABLE_BITS = (16, 27)
+#: Binary digits of the number of bits in the seed table: 512 bits for a seed, two of them set, within these bounds (16 MB at most).
+TABLE_BITS = (22, 27)
 #: Parts into which the hits of a seed are split that has more than one in a thousand of all hits.
 SALTS = 64
 #: Leaked texts of which a broadcast may list the digests.
@@ -172,11 +172,12 @@ def item_seeds(items: DataFrame, least: int, coverage: float) -> DataFrame:
 
 
 def seed_table(wanted: DataFrame) -> tuple[np.ndarray, int]:
-    """A bit for every seed hash, as 64-bit words, and the number of bits in binary digits: bounded by TABLE_BITS."""
-    bits = min(max(int(32 * max(1, wanted.count())).bit_length(), TABLE_BITS[0]), TABLE_BITS[1])
-    place = F.shiftrightunsigned("seed", 64 - bits)
-    one = F.call_function("shiftleft", F.lit(1).cast("bigint"), (place % 64).cast("int"))
-    got = wanted.groupBy((place / 64).cast("bigint").alias("word")).agg(F.bit_or(one).alias("bits")).toArrow()  # at most 2^(bits - 6) rows
+    """Two bits for every seed hash, as 64-bit words, and the number of bits in binary digits: bounded by TABLE_BITS."""
+    bits = min(max(int(512 * max(1, wanted.count())).bit_length(), TABLE_BITS[0]), TABLE_BITS[1])
+    places = F.array(F.shiftrightunsigned("seed", 64 - bits), F.col("seed").bitwiseAND(F.lit((1 << bits) - 1)))
+    one = F.call_function("shiftleft", F.lit(1).cast("bigint"), (F.col("place") % 64).cast("int"))
+    set_ = wanted.select(F.explode(places).alias("place")).groupBy((F.col("place") / 64).cast("bigint").alias("word")).agg(F.bit_or(one).alias("bits"))
+    got = set_.toArrow()  # at most 2^(bits - 6) rows
     table = np.zeros(1 << (bits - 6), dtype=np.int64)
     table[got.column("word").to_numpy()] = got.column("bits").to_numpy()
     return table.view(np.uint64), bits
@@ -186,13 +187,15 @@ def seed_hits(docs: DataFrame, table: np.ndarray, bits: int, sizes: list[int]) -
     """docs(name, data) -> (name, data, seeds): texts that may hold a wanted seed, with these."""
     shared = docs.sparkSession.sparkContext.broadcast(table)  # bounded by TABLE_BITS
 
+    def held(place: np.ndarray) -> np.ndarray:
+        return ((shared.value[place >> np.uint64(6)] >> (place & np.uint64(63))) & np.uint64(1)).astype(bool)
+
     def find(text: str) -> list[int]:
         ids, found = word_ids(text), []
         for size in sizes:
             h = seeds(ids, size)
-            place = h >> np.uint64(64 - bits)
-            held = (shared.value[place >> np.uint64(6)] >> (place & np.uint64(63))) & np.uint64(1)
-            found.append(np.unique(h[held.astype(bool)]))
+            h = h[held(h >> np.uint64(64 - bits))]
+            found.append(np.unique(h[held(h & np.uint64((1 << bits) - 1))]))
         return np.concatenate(found).view(np.int64).tolist() if found else []
 
     def hits(names, data):
