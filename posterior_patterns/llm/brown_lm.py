@@ -166,21 +166,35 @@ def unit_pairs(texts: DataFrame, table: dict[bytes, int], units: int) -> np.ndar
     return pairs.reshape(units, units)
 
 
+#: A class pair and how often, as a word's row holds them.
+TOLD = np.dtype([("around", "<u2"), ("n", "<u4")])
+#: Places of words that aren't units that a counting task holds before it hands them on.
+PLACES = 1 << 21
+#: Entries of TOLD that are weighed against all classes at once.
+PIECE = 1 << 16
+
+
 def neighbour_counts(texts: DataFrame, table: dict[bytes, int], unit_class: np.ndarray) -> DataFrame:
-    """(word, around, n) of all words that aren't units: how often they stand between words of two classes,
-    one of which at least is a unit.
+    """(word, told) of all words that aren't units: how often they stand between words of two classes,
+    one of which at least is a unit.  told is an array of TOLD; a word may have several rows.
 
     around = class before * classes + class after; the last class stands for words that aren't units.
     """
     classes, other = int(unit_class[-1]) + 1, len(unit_class) - 1
+    square = classes * classes
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: Counter = Counter()
+        names: dict[bytes, int] = {}
+        held: list[np.ndarray] = []
+        size = 0
 
         def out() -> pa.RecordBatch:
-            keys = list(held)
-            arrays = [pa.array([w for w, _ in keys], pa.binary()), pa.array([c for _, c in keys], pa.int32()), pa.array(list(held.values()), pa.int64())]
-            return pa.RecordBatch.from_arrays(arrays, names=["word", "around", "n"])
+            keys, n = np.unique(np.concatenate(held) if held else np.zeros(0, dtype=np.int64), return_counts=True)
+            told = np.empty(len(keys), dtype=TOLD)
+            told["around"], told["n"] = keys % square, n
+            ends = np.searchsorted(keys, np.arange(len(names) + 1) * square) * TOLD.itemsize
+            packed = pa.BinaryArray.from_buffers(pa.binary(), len(names), [None, pa.py_buffer(ends.astype(np.int32)), pa.py_buffer(told.tobytes())])
+            return pa.RecordBatch.from_arrays([pa.array(list(names), pa.binary()), packed], names=["word", "told"])
 
         for batch in batches:
             for data in batch.column(0).to_pylist():
@@ -190,15 +204,17 @@ def neighbour_counts(texts: DataFrame, table: dict[bytes, int], unit_class: np.n
                 c = unit_class[seq]
                 at = np.flatnonzero(seq == other)
                 around = c[at - 1] * classes + c[at + 1]
-                told = around < classes * classes - 1  # a neighbour is a unit
+                told = around < square - 1  # a neighbour is a unit
                 at, around = at[told], around[told]
-                held.update(zip(map(w.__getitem__, (at - 1).tolist()), around.tolist(), strict=True))
-                if len(held) >= HELD:
+                ids = np.fromiter((names.setdefault(w[i], len(names)) for i in (at - 1).tolist()), dtype=np.int64, count=len(at))
+                held.append(ids * square + around)
+                size += len(at)
+                if size >= PLACES or len(names) >= HELD:
                     yield out()
-                    held.clear()
+                    names, held, size = {}, [], 0
         yield out()
 
-    return texts.mapInArrow(count, "word binary, around int, n long")
+    return texts.mapInArrow(count, "word binary, told binary")
 
 
 def likelihoods(grid: np.ndarray) -> np.ndarray:
@@ -219,6 +235,17 @@ def likelihoods(grid: np.ndarray) -> np.ndarray:
 NEUTRAL = 1
 
 
+def weighed(table: np.ndarray, told: np.ndarray, firsts: np.ndarray) -> np.ndarray:
+    """Sums of table[around] * n for rows of entries, none empty, that start at `firsts`."""
+    rows, ends, low = np.empty((len(firsts), table.shape[1])), np.append(firsts[1:], len(told)), 0
+    while low < len(firsts):
+        high = max(low + 1, int(np.searchsorted(ends, firsts[low] + PIECE, "right")))
+        part = told[firsts[low] : ends[high - 1]]
+        rows[low:high] = np.add.reduceat(table[part["around"]] * part["n"][:, None], firsts[low:high] - firsts[low], axis=0)
+        low = high
+    return rows
+
+
 def insert_words(counts: DataFrame, scores: np.ndarray) -> DataFrame:
     """neighbour_counts -> (word, class): the class in which a word's neighbours are likeliest.
 
@@ -226,8 +253,8 @@ def insert_words(counts: DataFrame, scores: np.ndarray) -> DataFrame:
     """
     shared = counts.sparkSession.sparkContext.broadcast(np.nan_to_num(scores, neginf=-1e9))
 
-    def best(names: list[bytes], sums: list[np.ndarray]) -> pa.RecordBatch:
-        at = [int(s.argmax()) if s.max() > -1e8 else NEUTRAL for s in sums]
+    def best(names: list[bytes], sums: np.ndarray) -> pa.RecordBatch:
+        at = np.where(sums.max(1) > -1e8, sums.argmax(1), NEUTRAL)
         return pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.array(at, pa.int32())], names=["word", "class"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -235,20 +262,22 @@ def insert_words(counts: DataFrame, scores: np.ndarray) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            names = batch.column(0).to_pylist()
-            n = batch.column(2).to_numpy()
+            names, packed = (c.to_pylist() for c in batch.columns)
+            told = np.frombuffer(b"".join(packed), dtype=TOLD)
+            firsts = np.concatenate(([0], np.cumsum([len(x) for x in packed])[:-1])) // TOLD.itemsize
             starts = [0] + [i for i in range(1, len(names)) if names[i] != names[i - 1]]
-            sums = np.add.reduceat(table[batch.column(1).to_numpy()] * n[:, None], starts, axis=0)
+            sums = np.add.reduceat(weighed(table, told, firsts), starts, axis=0)
             keys = [names[i] for i in starts]
             if last is not None:
                 if keys[0] == last:
                     sums[0] += total
                 else:
-                    yield best([last], [total])
-            yield best(keys[:-1], list(sums[:-1]))
+                    yield best([last], total[None])
+            if len(keys) > 1:
+                yield best(keys[:-1], sums[:-1])
             last, total = keys[-1], sums[-1].copy()
         if last is not None:
-            yield best([last], [total])
+            yield best([last], total[None])
 
     together = counts.repartition("word").sortWithinPartitions("word")
     return together.mapInArrow(run, "word binary, class int")

@@ -580,6 +580,28 @@ def test_exchange_raises_the_likelihood():
     assert likelihood(at) > likelihood(start) and likelihood(at) >= likelihood(block) - 1e-6
 
 
+def test_neighbours_of_a_word_go_in_one_row(spark, monkeypatch):
+    """A task hands on a row for each word, not for each word and pair of classes; sums are the same in pieces of any size."""
+    texts = [("a x b y x",), ("x b x a x x",), ("y a",)]
+    df = spark.createDataFrame(texts, "t string").select(F.col("t").cast("binary").alias("data")).coalesce(1)
+    at = np.array([0, 1, 2, 3])  # the end token, a, b, all other words
+    got = {bytes(r.word): np.frombuffer(r.told, dtype=brown_lm.TOLD) for r in brown_lm.neighbour_counts(df, {b"": 0, b"a": 1, b"b": 2}, at).collect()}
+    want = defaultdict(Counter)
+    for (t,) in texts:
+        seq = ["", *t.split(), ""]
+        code = [{"": 0, "a": 1, "b": 2}.get(w, 3) for w in seq]
+        for i in range(1, len(seq) - 1):
+            if code[i] == 3 and (code[i - 1], code[i + 1]) != (3, 3):
+                want[seq[i].encode()][code[i - 1] * 4 + code[i + 1]] += 1
+    assert {w: dict(zip(*(told[c].tolist() for c in ("around", "n")), strict=True)) for w, told in got.items()} == want
+    table, told = np.random.default_rng(1).random((16, 4)), np.concatenate([got[b"x"], got[b"y"], got[b"x"]])
+    firsts = np.array([0, len(got[b"x"]), len(got[b"x"]) + len(got[b"y"])])
+    whole = brown_lm.weighed(table, told, firsts)
+    monkeypatch.setattr(brown_lm, "PIECE", 1)
+    assert np.allclose(whole, brown_lm.weighed(table, told, firsts)) and np.allclose(whole[0], whole[2])
+    assert np.allclose(whole[1], sum(table[e["around"]] * e["n"] for e in got[b"y"]))
+
+
 def test_brown_odd_rows(odd, empty):
     got = brown_lm.score(odd).collect()
     assert len(got) == len(ODD) + 1 and all(math.isfinite(r.score) and math.isfinite(r.base_score) for r in got)
