@@ -2,6 +2,7 @@
 
 import glob
 import os
+import random
 
 import duckdb
 import pandas as pd
@@ -129,3 +130,43 @@ def test_durable_tables(spark):
     saved = store.save(spark.range(3), "a")
     assert saved.count() == 3 and "a" in saved.inputFiles()[0]
     store.drop()
+
+
+def test_masks_of_integer_values_are_one_shift(spark):
+    """Dozens of cases in one sum aren't compiled; the shift gives the same masks, 0 for null and other values."""
+    from posterior_patterns.sources.encode import SPECS, BasketSpec
+
+    assert "p_size = 2 " not in SPECS["size"].spark() and "hour(ts) = 2 " not in SPECS["hour"].spark()
+    assert SPECS["brand"].shifted() is None and SPECS["line"].shifted() is None
+    spec = BasketSpec("t", "{part}", tuple(f"p_size = {i}" for i in range(3, 53)))
+    part = spark.createDataFrame([(i,) for i in (None, -1, 0, 2, 3, 4, 30, 52, 53, 1000)], "p_size int")
+    one = [r.mask for r in spark.sql(spec.spark(), part=part).collect()]
+    assert one == [r.mask for r in spark.sql(spec.sql({"part": "{part}"}, "regexp_like", "element_at"), part=part).collect()]
+
+
+def test_projections_equal_one_pass_counts(spark, monkeypatch):
+    from posterior_patterns.operators import measures
+
+    rng = random.Random(3)
+    p = patterns.compress(spark.createDataFrame([(sum(1 << rng.randrange(9) for _ in range(3)) & 511,) for _ in range(400)], "mask bigint"))
+    scores = spark.createDataFrame([(m, m.bit_count(), rng.random()) for m in range(1, 1024)], "mask bigint, size int, score double")  # item 10 never occurs
+    base = {r.mask: r for r in measures.scatter(scores, p).collect()}
+    monkeypatch.setattr(measures, "MANY_ITEMSETS", 10)
+    got = {r.mask: r for r in measures.scatter(scores, p).collect()}
+    assert got.keys() == base.keys() and len(got) > 900
+    for m, r in base.items():
+        assert (got[m].size, got[m].score, got[m].gap) == (r.size, r.score, r.gap)
+        assert got[m].fr == pytest.approx(r.fr) and got[m].h == pytest.approx(r.h, abs=1e-12)
+    none = spark.createDataFrame([], "mask bigint")
+    assert entropy.projections(p, none).count() == 0
+
+
+def test_entropies_of_many_patterns_by_bits(monkeypatch):
+    rng = random.Random(5)
+    masks, counts = list({rng.getrandbits(20) for _ in range(3000)}), None
+    counts = [rng.choice([1, 1, 2, 70_000]) for _ in masks]
+    sets = [sum(1 << i for i in rng.sample(range(22), n)) for n in (1, 2, 3, 4, 5, 6, 9, 15) for _ in range(5)]
+    few = entropy.EntropyCache(masks, counts)
+    monkeypatch.setattr(entropy, "MANY", 100)
+    many = entropy.EntropyCache(masks, counts)
+    assert many.many and not few.many and [few(m) for m in sets] == [many(m) for m in sets]
