@@ -181,3 +181,12 @@ def test_a_clique_bound_is_kept():
     for proposal in ("legal", "flip"):
         families, _ = sampler.run_chain(h, 5, 40, 2000, 2, proposal=proposal, max_clique=3, thin=50)
         assert max(m.bit_count() for f in families for m in f) == 3
+
+
+def test_candidate_extensions_of_independence_and_chain():
+    """105 pairs extend 15 single items, 13 triples the chain of 15."""
+    from posterior_patterns.operators import measures
+
+    chain = family.maximal([*family.singletons(15), *(3 << i for i in range(14))])
+    assert measures.candidate_extensions(family.singletons(15)) == 105
+    assert sum((s | x | y).bit_count() == 3 for s, x, y in moves.legal_merges(chain)) == 13
