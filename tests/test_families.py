@@ -190,3 +190,7 @@ def test_candidate_extensions_of_independence_and_chain():
     chain = family.maximal([*family.singletons(15), *(3 << i for i in range(14))])
     assert measures.candidate_extensions(family.singletons(15)) == 105
     assert sum((s | x | y).bit_count() == 3 for s, x, y in moves.legal_merges(chain)) == 13
+
+
+def test_default_steps_as_published():
+    assert [sampler.default_steps(k) for k in (15, 100, 139, 90)] == [4063, 46052, 68590, 40499]

@@ -172,7 +172,7 @@ def test_entropies_of_many_patterns_by_bits(monkeypatch):
     assert many.many and not few.many and [few(m) for m in sets] == [many(m) for m in sets]
 
 
-@pytest.mark.parametrize("name", ["closure_members", "downward_closed_check", "curve_fixed_models", "against_ideal", "decomposable_catalogue_k3", "decomposable_catalogue_k4", "decomposable_catalogue_k5", "degree_equals_edge_flips", "candidate_extensions"])
+@pytest.mark.parametrize("name", ["closure_members", "downward_closed_check", "curve_fixed_models", "against_ideal", "decomposable_catalogue_k3", "decomposable_catalogue_k4", "decomposable_catalogue_k5", "degree_equals_edge_flips", "candidate_extensions", "default_steps"])
 def test_moved_queries_follow_their_table(spark, sf_dir, tmp_path, name):
     """Rows of the table decide the result: other orders and lines, other rows."""
     for t in ("orders", "lineitem"):
