@@ -172,7 +172,7 @@ def test_entropies_of_many_patterns_by_bits(monkeypatch):
     assert many.many and not few.many and [few(m) for m in sets] == [many(m) for m in sets]
 
 
-@pytest.mark.parametrize("name", ["closure_members", "downward_closed_check", "curve_fixed_models", "against_ideal", "decomposable_catalogue_k3", "decomposable_catalogue_k4", "decomposable_catalogue_k5", "degree_equals_edge_flips", "candidate_extensions", "default_steps"])
+@pytest.mark.parametrize("name", ["closure_members", "downward_closed_check", "curve_fixed_models", "against_ideal", "decomposable_catalogue_k3", "decomposable_catalogue_k4", "decomposable_catalogue_k5", "degree_equals_edge_flips", "candidate_extensions", "default_steps", "exact_score_ex9"])
 def test_moved_queries_follow_their_table(spark, sf_dir, tmp_path, name):
     """Rows of the table decide the result: other orders and lines, other rows."""
     for t in ("orders", "lineitem"):
@@ -180,3 +180,10 @@ def test_moved_queries_follow_their_table(spark, sf_dir, tmp_path, name):
         df.filter("l_orderkey % 3 = 0" if t == "lineitem" else "o_orderkey % 3 = 0").write.parquet(f"{tmp_path}/{t}.parquet")
     whole, part = (rows(Q.QUERIES[name](spark, d).toPandas()) for d in (sf_dir, str(tmp_path)))
     assert whole and part and whole != part
+
+
+def test_exact_scores_of_the_worked_example(spark):
+    from posterior_patterns import oracles
+
+    got = score.named(score.exact_decomposable(patterns.compress(tables.example(spark)), 5), 5).toPandas()
+    assert rows(got) == rows(duckdb.connect().execute(oracles.exact_score_sql(oracles.example_cte(), 5)).df())
