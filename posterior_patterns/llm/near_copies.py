@@ -11,8 +11,8 @@ first n // 5 + l, for any l; here l = 1 + n // 20.  The order puts shingles comm
 buckets small; it has no influence on the result.
 
 A bucket holds the texts that share such a shingle.  Texts already in one group needn't be compared again:
-in a few turns each text meets one text of another group, the one it shares most buckets with, and buckets
-whose texts have become one group are done.  The last turn compares all pairs of different groups that share as
+in a few turns, more while they find links, each text meets one text of another group, the one it shares most buckets
+with, and buckets whose texts have become one group are done.  The last turn compares all pairs of different groups that share as
 many buckets as they must, but those whose set sizes or parities of shingle classes rule out the similarity.
 
 Defined cases: null texts count as empty; texts without words are alike; fewer than five words make
@@ -40,8 +40,9 @@ SHINGLE_WORDS, SIMILARITY, RADIUS = 5, 0.8, 2
 SAMPLE, SEEN, COMMON = 4096, 3, 100_000
 #: Parity classes of a sketch: the power of 2 from the set's size on, this at least; and of the one that goes along with bucket rows.
 LEAST_PARITIES, FEW_PARITIES = 256, 512
-#: Turns in which a text meets one other, before all pairs left are compared.
-TURNS = 2
+#: Turns in which a text meets one other, before all pairs left are compared: these at least, then more while one pair
+#: in FRUITFUL that a turn compares is linked, as each link spares the pairs of two whole groups.
+TURNS, FRUITFUL, MOST_TURNS = 2, 20, 12
 #: Rows of a table of ids or digests that may be broadcast, 24 bytes each.
 BROADCAST_ROWS = 300_000
 _EMPTY = np.array([0], dtype=np.int64)  # the bucket of texts without words
@@ -177,8 +178,9 @@ def _ordered(a: str, b: str) -> list:
 
 
 def with_one(open_: DataFrame, tested: DataFrame, turn: int) -> DataFrame:
-    """(a, b), a < b: each row of open_(token, row, root) with the row of another group that it shares most of the buckets' least (greatest) with."""
-    pick = (F.min, F.max)[turn % 2](F.struct("root", "row"))
+    """(a, b), a < b: each row of open_(token, row, root) with the row of another group that it shares most of the buckets' least (greatest, then any) with."""
+    order = [] if turn < 2 else [F.xxhash64(F.lit(turn), "root").alias("any")]
+    pick = (F.min, F.max)[turn % 2](F.struct(*order, "root", "row"))
     chosen = open_.groupBy("token").agg(pick.alias("p")).select("token", F.col("p.row").alias("o"), F.col("p.root").alias("other"))
     met = open_.join(chosen, "token").filter("root <> other").groupBy("row", "o").agg(F.count("*").alias("shared"))
     met = met.select("row", "o", "shared", *_ordered("row", "o")).join(tested, ["a", "b"], "left_anti")
@@ -248,19 +250,25 @@ def near_copy_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     groups.add(similar(tested, nodes, texts, store, "simhash"))
     # prefix filter
     shared = store.save(buckets(live.select("row", "tokens")), "buckets")
-    for turn in range(TURNS + 1):
+    fruitful = True
+    for turn in range(MOST_TURNS + 1):
         same = Window.partitionBy("token")
         left = groups.rooted(shared).withColumn("x", F.min("root").over(same)).withColumn("y", F.max("root").over(same)).filter("x <> y")
         shared = store.save(left.select("token", "row"), f"open{turn}")
         if shared.isEmpty():
             break
         open_ = groups.rooted(shared)
-        if turn < TURNS:
+        one = turn < TURNS or fruitful and turn < MOST_TURNS
+        if one:
             pairs = _passing(with_one(open_, tested, turn), sketches)
         else:
             pairs = _passing(with_all(open_, rows.select("row", "n", "few"), tested), sketches)
         pairs = store.save(pairs, f"pairs{turn}")
-        groups.add(similar(pairs, nodes, texts, store, f"turn{turn}"))
+        linked = similar(pairs, nodes, texts, store, f"turn{turn}")
+        groups.add(linked)
+        if not one:
+            break
+        fruitful = linked.count() * FRUITFUL > pairs.count()
         tested = tested.unionByName(pairs)
     ids = docs.select(_records(docs, id_col, text_col).alias("rec"), F.col(id_col).alias("doc_id"))
     named = store.save(groups.table.join(rows.select("row", "rec"), "row").select("rec", "root").distinct(), "named")
