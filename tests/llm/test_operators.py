@@ -221,6 +221,25 @@ def test_near_copies_with_repeated_and_null_ids(spark):
     assert sorted(kept, key=str) == sorted([(1, a), (2, b), (5, c), (5, c), (6, "x y z")], key=str)
 
 
+def test_all_pairs_are_left_to_groups_that_do_not_link(spark, monkeypatch):
+    """While turns find links they go on, so a chain of versions is one group before all pairs are compared; groups are those of two turns."""
+    rng, words, rows = random.Random(4), [f"w{i}" for i in range(3000)], []
+    text = [rng.choice(words) for _ in range(120)]
+    for i in range(48):
+        rows.append((i, " ".join(text)))
+        text = [*text]
+        text[rng.randrange(120)] = rng.choice(words)
+    left, every = [], near_copies.with_all
+    monkeypatch.setattr(near_copies, "with_all", lambda *a: left.append(made := every(*a).cache()) or made)
+    many = {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, rows)).collect()}
+    more = sum(df.count() for df in left)
+    monkeypatch.setattr(near_copies, "MOST_TURNS", 0)
+    monkeypatch.setattr(near_copies, "TURNS", 0)
+    left.clear()
+    assert many == {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, rows)).collect()}
+    assert more < sum(df.count() for df in left)
+
+
 # -- exact dedup -------------------------------------------------------------------------------------
 
 
