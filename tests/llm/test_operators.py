@@ -240,6 +240,43 @@ def test_all_pairs_are_left_to_groups_that_do_not_link(spark, monkeypatch):
     assert more < sum(df.count() for df in left)
 
 
+def test_a_turn_meets_texts_that_may_be_alike(spark):
+    """Row 9 shares most buckets with row 1, which is five times as large, and fewer with row 2: it meets row 2."""
+    open_ = spark.createDataFrame([(t, r, r) for r, tokens in ((1, range(6)), (2, (6, 7, 8)), (9, range(9))) for t in tokens], "token long, row long, root long")
+    odd = [0] * (near_copies.LEAST_PARITIES // 64)
+    sketches = spark.createDataFrame([(1, 100, odd), (2, 20, odd), (9, 20, odd)], "row long, n int, odd array<long>")
+    tested = spark.createDataFrame([], "a long, b long")
+    met = lambda turn: {tuple(r) for r in near_copies.with_one(open_, sketches, tested, turn).collect()}
+    assert met(0) == met(1) == {(2, 9)}
+    assert not near_copies.with_one(open_, sketches, spark.createDataFrame([(2, 9)], "a long, b long"), 0).count()
+
+
+def test_rest_of_a_large_group_joins_it_without_all_its_pairs(spark, monkeypatch):
+    """A group of 40 and three other texts in its buckets: one row of the group meets the three, not all 40."""
+    rows = [(t, r, r if r >= 40 else 0) for t in range(5) for r in range(43)]
+    kept = near_copies.one_a_group(spark.createDataFrame(rows, "token long, row long, root long")).collect()
+    assert len(kept) == 5 * 4 and {(r.token, r.root) for r in kept} == {(t, g) for t in range(5) for g in (0, 40, 41, 42)}
+    assert len({r.row for r in kept}) == 4
+    rng, words, tables = random.Random(12), [f"w{i}" for i in range(3000)], []
+    base = [rng.choice(words) for _ in range(200)]
+    texts = [(i, edited(rng, base, 3)) for i in range(60)]
+    every = near_copies.with_all
+    monkeypatch.setattr(near_copies, "with_all", lambda open_, *a: tables.append(open_) or every(open_, *a))
+    got = {r.doc_id: r.group_id for r in near_copies.near_copy_groups(docs_of(spark, texts)).collect()}
+    want = brute_near_copies(texts)
+    assert {i: g for i, g in got.items() if i != g} == want
+    assert all(df.groupBy("token", "root").count().filter("count > 1").count() == 0 for df in tables[:1])
+
+
+def test_few_links_are_joined_as_many_are(spark):
+    rng = random.Random(7)
+    for n, many in ((1, 0), (30, 20), (400, 380), (300, 900)):
+        rows = [(rng.randrange(n), rng.randrange(n)) for _ in range(many)] + [(i, i + 1) for i in range(n, 2 * n)]
+        links = spark.createDataFrame(rows, "a long, b long")
+        roots = [{tuple(r) for r in graph.components(links, Durable(spark, "few"), few=few).collect()} for few in (0, 10_000, len(rows) // 2)]
+        assert roots[0] == roots[1] == roots[2]
+    assert graph.components(links.limit(0), Durable(spark, "few"), few=10).count() == 0
+
 # -- exact dedup -------------------------------------------------------------------------------------
 
 
